@@ -211,6 +211,9 @@ class Xor:
         self.third = max(4, math.ceil((n * expansion + 32) / 3))
         self.m = 3 * self.third
         for self.seed in range(seeds):
+            if self.seed and self.seed % 8 == 0:  # small sets need more room than the asymptotic expansion
+                self.third = math.ceil(self.third * 1.05)
+                self.m = 3 * self.third
             pos = self._positions(keys)
             order, core = peel(pos, self.m)
             if not len(core) or solve_core:
@@ -337,7 +340,7 @@ class SortedBand:
     def solve(cls, start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray) -> SortedBand:
         order = np.argsort(start, kind="stable")
         s = start[order].tolist()
-        rows = [sum(int(lane[k]) << (64 * i) for i, lane in enumerate(coeff)) << start[k] % 64 for k in order.tolist()]
+        rows = [sum(int(lane[k]) << (64 * i) for i, lane in enumerate(coeff)) << int(start[k] % 64) for k in order.tolist()]
         base = [x - x % 64 for x in s]
         b = [int(rhs[k]) for k in order.tolist()]
         steps = additions = 0
@@ -384,7 +387,7 @@ def build(family: str, keys: np.ndarray, **params):
         "xor": lambda: Xor(keys, **params),
         "xor_word": lambda: Xor(keys, **({"cells_per_word": 6} | params)),
         "xor_plus": lambda: Xor(keys, **params, plus=True),
-        "xor_coupled": lambda: Xor(keys, **({"expansion": 1.18, "window": 0.05} | params)),
+        "xor_coupled": lambda: Xor(keys, **({"expansion": 1.18, "window": 0.05 if len(keys) >= 20_000 else 0.3, "seeds": 96} | params)),
         "sparse_gauss": lambda: Xor(keys, **({"expansion": 1.10} | params), solve_core=True),
     }
     if family not in made:
