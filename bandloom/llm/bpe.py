@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+from array import array
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -28,6 +29,7 @@ from bandloom.runtime import ship
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 SHORT = 64
 CACHE = 400_000
+KEEP = 256  # longer pre-tokens are not kept
 NONE = np.iinfo(np.int64).max
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
@@ -90,13 +92,13 @@ class Codec:
         n, merges = len(ids), self.merges
         width = 1 << max(1, (n - 1).bit_length())
         far = width << 40
-        tree = [far] * (2 * width)
+        tree = array("q", [far]) * (2 * width)
         for i in range(n - 1):
             if m := merges.get((ids[i] << 32) | ids[i + 1]):
                 tree[width + i] = m[0] * width + i
         for k in range(width - 1, 0, -1):
             tree[k] = min(tree[2 * k], tree[2 * k + 1])
-        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+        after, before = array("q", range(1, n + 1)), array("q", range(-1, n - 1))
 
         def put(i: int, value: int) -> None:
             k = width + i
@@ -198,10 +200,14 @@ class Codec:
         new: set[str] = set()
         for parts in words:
             new.update(*parts)
-        self.learn(new.difference(self.cache).difference(self.specials))
+        new.difference_update(self.cache, self.specials)
+        self.learn(new)
         self.cache.update((s, i.to_bytes(4, "little")) for s, i in self.specials.items())
         known = self.cache.__getitem__
-        return [b"".join([b"".join(map(known, p)) for p in parts]) for parts in words]
+        out = [b"".join([b"".join(map(known, p)) for p in parts]) for parts in words]
+        for w in [w for w in new if len(w) > KEEP]:
+            del self.cache[w]
+        return out
 
     def decode(self, ids: bytes) -> bytes:
         pieces = self.pieces

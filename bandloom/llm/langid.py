@@ -21,6 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from bandloom.llm.common import bounded_per_class, fit_logistic, held_out, learnable
 from bandloom.llm.ngrams import code_points, pieces
@@ -154,11 +155,12 @@ def fit(docs: DataFrame, per_lang: int = PER_LANG, max_chars: int = MAX_CHARS) -
     return train([r["text"] for r in rows], [r["lang"] for r in rows])
 
 
-def identified(docs: DataFrame, model: LangModel) -> DataFrame:
-    """All columns of docs, with lang_pred, score and ambiguous."""
+def identified(docs: DataFrame, model: LangModel, prefix: str = "") -> DataFrame:
+    """All columns of docs (but those with the new names), with lang_pred, score and ambiguous under the prefix."""
     spark = docs.sparkSession
     ship(spark)
     shared = spark.sparkContext.broadcast(model)  # 2^BITS weights per code bit
+    names = [prefix + n for n in ("lang_pred", "score", "ambiguous")]
 
     def run(it):
         m = shared.value
@@ -166,10 +168,11 @@ def identified(docs: DataFrame, model: LangModel) -> DataFrame:
             at = batch.schema.get_field_index("text")
             got = [m.predict(t.as_py()) for t in batch.column(at)]
             cols = [pa.array([g[i] for g in got], kind) for i, kind in enumerate((pa.string(), pa.float64(), pa.bool_()))]
-            yield pa.RecordBatch.from_arrays([*batch.columns, *cols], [*batch.schema.names, "lang_pred", "score", "ambiguous"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, *cols], [*batch.schema.names, *names])
 
-    plain = docs.drop("lang_pred", "score", "ambiguous")
-    return plain.mapInArrow(run, ", ".join(f"`{n}` {t}" for n, t in plain.dtypes) + ", lang_pred string, score double, ambiguous boolean")
+    plain = docs.drop(*names)
+    added = [T.StructField(n, t()) for n, t in zip(names, (T.StringType, T.DoubleType, T.BooleanType), strict=True)]
+    return plain.mapInArrow(run, T.StructType([*plain.schema.fields, *added]))
 
 
 def language_id(docs: DataFrame) -> DataFrame:

@@ -76,7 +76,7 @@ def search_block(ids: np.ndarray, rows: np.ndarray, query_ids: np.ndarray, queri
         bar = best.bar(n)
         # Terms from `cut` on are non-essential: a row with no residual before it stays below the bar.
         cut = len(q) if bar is None else int(np.argmax(floor_ + tail < bar)) if (floor_ + tail < bar).any() else len(q)
-        if cut == 0:
+        if cut == 0 and len(q):
             continue  # no row of this block can compete
         weight = q[order].astype(kind)
         alive = np.flatnonzero(ids != own)

@@ -19,6 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from bandloom.llm.common import held_out, labelled_texts, sigmoid
 from bandloom.llm.ngrams import hashed, pieces
@@ -125,8 +126,8 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, max_char
     return train(*labelled_texts(docs, labels, "toxic", FOLDS, HELD, per_class, max_chars))
 
 
-def scored(docs: DataFrame, model, schema_tail: str = "score double") -> DataFrame:
-    """All columns of docs and the model's score of the whole text. model: anything with score(text)."""
+def scored(docs: DataFrame, model, out: str = "score") -> DataFrame:
+    """All columns of docs (but one named `out`) and the model's score of the whole text. model: anything with score(text)."""
     spark = docs.sparkSession
     ship(spark)
     shared = spark.sparkContext.broadcast(model)  # at most FEATURES weights
@@ -136,10 +137,10 @@ def scored(docs: DataFrame, model, schema_tail: str = "score double") -> DataFra
         for batch in it:
             at = batch.schema.get_field_index("text")
             score = pa.array([m.score(t.as_py()) for t in batch.column(at)], pa.float64())
-            yield pa.RecordBatch.from_arrays([*batch.columns, score], [*batch.schema.names, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, score], [*batch.schema.names, out])
 
-    plain = docs.drop("score")
-    return plain.mapInArrow(run, ", ".join(f"`{n}` {t}" for n, t in plain.dtypes) + ", " + schema_tail)
+    plain = docs.drop(out)
+    return plain.mapInArrow(run, T.StructType([*plain.schema.fields, T.StructField(out, T.DoubleType())]))
 
 
 def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:

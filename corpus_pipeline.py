@@ -17,13 +17,13 @@ from bandloom.runtime import delete, scratch, table
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    got = langid.identified(docs, langid.fit(table(spark, sf_dir, "documents")))
-    return got.where((F.col("lang_pred") != langid.UND) & ~F.col("ambiguous")).select(*docs.columns)
+    got = langid.identified(docs, langid.fit(table(spark, sf_dir, "documents")), "__lid_")
+    return got.where((F.col("__lid_lang_pred") != langid.UND) & ~F.col("__lid_ambiguous")).select(*docs.columns)
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = toxicity.fit(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
-    return toxicity.scored(docs, model).where(F.col("score") < toxicity.THRESHOLD).select(*docs.columns)
+    return toxicity.scored(docs, model, "__toxicity").where(F.col("__toxicity") < toxicity.THRESHOLD).select(*docs.columns)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
