@@ -8,6 +8,7 @@ executor costs a read, not a rebuild.
 from __future__ import annotations
 
 from dataclasses import dataclass, replace
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -22,6 +23,7 @@ from bandloom.runtime import ship, written
 from bandloom.spec import FilterSpec
 
 SEGMENTS_PER_TASK = 8
+HEAD = 1024
 META = (
     "segment int, m long, seed int, n_rows long, n_redundant long, attempts int, additions long, displacement long, "
     "split_block int, bits long, build_ns long, shards array<int>, alpha double, cuts array<long>, defer array<int>, deferred array<long>"
@@ -51,6 +53,12 @@ class BandFilter:
     def but(self, **changes) -> BandFilter:
         return replace(self, **changes)
 
+    @cached_property
+    def head(self) -> list | None:
+        """segment, m, seed and bits of every segment, if there are at most HEAD of them; read once."""
+        rows = self.meta.select("segment", "m", "seed", "bits").limit(HEAD + 1).collect()
+        return rows if len(rows) <= HEAD else None
+
 
 def words_array(rows: np.ndarray, widths: np.ndarray) -> pa.Array:
     """A list array of the leading `widths` words of each row."""

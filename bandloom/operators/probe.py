@@ -75,8 +75,11 @@ def located(df: DataFrame, keys: list[str] | str, flt: BandFilter, run: str | No
         rows = rows.withColumn("_segment", (F.col(run) * flt.parts + segment_of(F.col("_key"), flt.parts)).cast("int"))
     else:
         rows = rows.withColumn("_segment", F.when(F.col("_key").isNotNull(), segment_of(F.col("_key"), flt.segments)))
+    one = flt.head if not flt.fixed_m and flt.segments == 1 and not flt.by_run and spec.variant != "balanced" else None
     if flt.fixed_m:
         m, seed = F.lit(flt.fixed_m).cast("long"), F.lit(0)
+    elif one is not None and len(one) == 1:
+        m, seed = F.lit(one[0].m).cast("long"), F.lit(one[0].seed)
     else:
         extra = ["cuts", "shards", "defer"] if spec.variant == "balanced" else []
         rows = rows.join(flt.meta.select(F.col("segment").alias("_segment"), F.col("m").alias("_m"), F.col("seed").alias("_seed"), *extra), "_segment", "left")
@@ -127,7 +130,8 @@ def probe_expr(flt: BandFilter, short_circuit: bool | str = "auto") -> Column:
 
 def relation_bytes(flt: BandFilter) -> tuple[int, int]:
     """Bytes of the compact form and of the block relation."""
-    bits = flt.meta.agg(F.coalesce(F.sum("bits"), F.lit(0))).first()[0]
+    head = flt.head
+    bits = sum(r.bits for r in head) if head is not None else flt.meta.agg(F.sum("bits")).first()[0]
     return bits // 8, (bits // 8) * (3 if flt.spec.w == 128 else 2) + bits // (64 * flt.spec.r_hi) * 40
 
 
