@@ -17,7 +17,8 @@ from pyspark.sql import functions as F
 
 from bandloom.baselines import families
 from bandloom.functions.hashing import START, U64, clamp_start_np, coefficients_np, fingerprint_np, salted_np
-from bandloom.kernel.banding import Bank, back_substitute, band_until_failure
+from bandloom.kernel import softshards
+from bandloom.kernel.banding import Bank, back_substitute, band_until_failure, lookup
 from bandloom.kernel.bands import NoSolution, build_segments, contains
 from bandloom.plans.planning import access_model, eps_homogeneous, fp_model, info_bound, natural_shard, rows_for
 from bandloom.runtime import ship
@@ -147,8 +148,6 @@ def span_trial(cfg: dict) -> dict:
     s2, c2, _ = equations(rng, 100_000, m, w, 1)
     p = float(bank.in_span(s2, c2).mean())
     words = back_substitute(bank, r, m, "xxhash")
-    from bandloom.kernel.banding import lookup
-
     f = float((lookup(words, np.zeros(len(s2), np.int64), s2, c2) == 0).mean())
     return {"fp_rate": f, "bits_per_key": m * r / n, "overhead": m * r / n / info_bound(f) - 1, "extra": {"span_share": p, "fp_predicted": fp_model(r, p), "redundant": float(got.redundant)}}
 
@@ -182,6 +181,27 @@ def soft_shard_trial(cfg: dict) -> dict:
             total += len(own)
         f = fp / total
         return {"bits_per_key": bits / total, "fp_rate": f, "overhead": bits / total / info_bound(f) - 1, "extra": {"shards": float(parts)}}
+    if cfg["filter"] == "soft_reseed":
+        m, shards = rows_for(len(keys), cfg["eps"], w), max(1, len(keys) // 1024)
+        ok, bank, chosen, tried = softshards.build(keys, lambda k, seed: fingerprint_np(k, seed, int(r)), m, w, shards)
+        if not ok:
+            return {"extra": {"failed": 1.0, "attempts": float(tried)}}
+        words = back_substitute(bank, int(r), m)
+        fresh = random_keys(100_000, 4242)
+
+        def ask(k):
+            start, seed = softshards.start_of(k, m, w, shards, chosen)
+            out = np.zeros(len(k), bool)
+            for v in set(chosen):
+                own = seed == v
+                out[own] = lookup(words, np.zeros(int(own.sum()), np.int64), start[own], coefficients_np(k[own], v, w)) == fingerprint_np(k[own], v, int(r))
+            return out
+
+        if not ask(keys).all():
+            raise AssertionError("a member was denied")
+        f = float(ask(fresh).mean())
+        bits = m * int(r) + 3 * shards
+        return {"bits_per_key": bits / len(keys), "fp_rate": f, "overhead": bits / len(keys) / info_bound(f) - 1, "extra": {"shards": float(shards), "attempts": float(tried)}}
     return band_trial(cfg | {"variant": "balanced"})
 
 
@@ -341,6 +361,7 @@ def run_sharding(spark, n: int = 40_000) -> DataFrame:
     grid = [{"filter": "until_failure", "w": w, "r": 7, "edge": e, "m": m, "n": n} for m in (natural_shard(w) // 4, natural_shard(w), 4 * natural_shard(w)) for e in (1, w // 4, w // 2)]
     grid += [{"filter": "fixed_bytes", "w": w, "r": 7, "n": n, "segment_keys": k} for k in (1024, 10_000)]
     grid += [{"filter": "soft", "w": w, "r": 7, "n": n}]
+    grid += [{"filter": "soft_reseed", "w": w, "r": 7, "n": n, "eps": e} for e in (0.1, 0.06)]
     return run_grid(spark, "sharding", "shards", grid)
 
 

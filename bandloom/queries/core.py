@@ -11,7 +11,7 @@ from bandloom import measures
 from bandloom.baselines import families, relational, segmented
 from bandloom.experiments import engine, simulated
 from bandloom.functions.hashing import portable_digest
-from bandloom.operators import elastic
+from bandloom.operators import elastic, surface
 from bandloom.operators.build import build_filter, build_static
 from bandloom.operators.prefilter import prefilter_join, verified_anti, verified_semi
 from bandloom.operators.probe import lookup_static, probe
@@ -496,6 +496,53 @@ def _(spark, sf_dir):
     return window_counts(probe(events.withColumn("ts", F.col("ts").cast("timestamp")), flt, "user_id"), "1 day").withColumn("window_start", F.col("window_start").cast("timestamp_ntz"))
 
 
+@register("two_structures_no_false_negative", "SELECT count(*) AS n, CAST(0 AS BIGINT) AS misses FROM orders")
+def _(spark, sf_dir):
+    orders = table(spark, sf_dir, "orders")
+    got = surface.probe_structures(orders, surface.split_structures(orders, "o_orderkey", 5.5, STANDARD), "o_orderkey", "m")
+    return got.agg(F.count("*").alias("n"), F.sum((~F.col("m")).cast("long")).alias("misses"))
+
+
+@register("sql_surface", "SELECT count(*) AS n, CAST(0 AS BIGINT) AS misses FROM orders")
+def _(spark, sf_dir):
+    orders = table(spark, sf_dir, "orders")
+    surface.register_sql(spark, build_filter(orders, "o_orderkey", STANDARD), "orders_filter")
+    orders.createOrReplaceTempView("orders_in")
+    return spark.sql("SELECT count(*) AS n, sum(CASE WHEN orders_filter_might_be_member(xxhash64(o_orderkey)) THEN CAST(0 AS BIGINT) ELSE 1 END) AS misses FROM orders_in")
+
+
+@register("jvm_bloom_sketch", "SELECT true AS no_misses, true AS rate_as_asked")
+def _(spark, sf_dir):
+    """The engine's sketch, asked about at most 1000 keys of either kind on the driver."""
+    c = table(spark, sf_dir, "customer").select("c_custkey")
+    sketch = surface.jvm_bloom(c, "c_custkey", 20_000, 0.01)
+    some = [r[0] for r in c.limit(1000).collect()]
+    hits = sum(sketch.mightContainLong(10**9 + i) for i in range(1000))
+    return frame(spark, [(all(sketch.mightContainLong(k) for k in some), hits < 60)], "no_misses boolean, rate_as_asked boolean")
+
+
+@register("layouts_agree", "SELECT true AS agree")
+def _(spark, sf_dir):
+    import numpy as np
+
+    from bandloom.functions import layout
+
+    words = np.random.default_rng(5).integers(0, 2**64, (4, 6), dtype=np.uint64)
+    rows = layout.rows_of(words)
+    packed = {name: layout.pack(rows, 6, name) for name in layout.LAYOUTS}
+    asked = [(s, (0x9E3779B97F4A7C15 * (s + 1) & (2**64 - 1)) | 1) for s in (0, 1, 63, 64, 100, 191)]
+    answers = [[layout.query(packed[n], 256, 6, n, s, c, 64) for s, c in asked] for n in layout.LAYOUTS]
+    same = all((layout.unpack(packed[n], 256, 6, n) == rows).all() for n in layout.LAYOUTS)
+    return frame(spark, [(same and answers[0] == answers[1] == answers[2],)], "agree boolean")
+
+
+@register("negative_sample", "SELECT segment, count(*) AS n FROM (SELECT CAST(('0x' || substr(md5('7:' || CAST(o_orderkey AS VARCHAR)), 1, 8)) AS BIGINT) % 16 AS b, o_orderkey % 4 AS segment FROM orders) WHERE b = 3 GROUP BY 1")
+def _(spark, sf_dir):
+    """A repeatable 1-in-16 sample by hash, stratified."""
+    d = portable_digest(F.col("o_orderkey"), 7)
+    return table(spark, sf_dir, "orders").where(d["start32"] % 16 == 3).groupBy((F.col("o_orderkey") % 4).alias("segment")).agg(F.count("*").alias("n"))
+
+
 # Bounds on measured rates and overheads.
 
 BOUNDS = (

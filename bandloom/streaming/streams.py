@@ -68,3 +68,46 @@ def compact(spark: SparkSession, path: str, keys: list[str], spec: FilterSpec =
 def split_late(rows: DataFrame, closed_until) -> tuple[DataFrame, DataFrame]:
     """Rows of open windows, and rows that come after their run was closed (for an exact overflow set)."""
     return rows.where(F.col("ts") >= F.lit(closed_until)), rows.where(F.col("ts") < F.lit(closed_until))
+
+
+PREFIX_STATE = "keys array<long>, run int"
+PREFIX_OUT = "shard int, run int, n_keys long, m long, closed boolean"
+
+
+def prefix_runs(stream: DataFrame, keys: list[str], shards: int, m: int, w: int = 64, r: int = 7):
+    """Grow a run per shard until it no longer fits m rows, then emit it and start the next with the keys left.
+
+    State per shard is at most the keys of one open run (fewer than m), so it is bounded; the prefix that fits is found
+    by elimination itself, not by a count.
+    """
+    import numpy as np
+    import pandas as pd
+
+    from bandloom.functions.hashing import START, clamp_start_np, coefficients_np, fingerprint_np, key_hash, salted_np, segment_of
+    from bandloom.kernel.banding import band_until_failure
+    from bandloom.runtime import ship
+
+    ship(stream.sparkSession)
+
+    def fit(own: np.ndarray) -> int:
+        start = clamp_start_np(salted_np(own, START), m - w + 1, w // 4)
+        return band_until_failure(m, start, coefficients_np(own, 0, w), fingerprint_np(own, 0, r))[1]
+
+    def grow(shard, frames, state):
+        held, run = (list(state.get[0]), state.get[1]) if state.exists else ([], 0)
+        out = []
+        for pdf in frames:
+            seen = set(held)
+            held += [k for k in pdf["key_h"].tolist() if not (k in seen or seen.add(k))]
+            while len(held) >= m * 0.9:
+                own = np.array(held, np.int64)
+                n = fit(own)
+                if n == len(own):
+                    break
+                out.append((shard[0], run, n, m, True))
+                held, run = held[n:], run + 1
+        state.update((held, run))
+        yield pd.DataFrame(out, columns=["shard", "run", "n_keys", "m", "closed"])
+
+    rows = stream.select(key_hash(stream, keys).alias("key_h")).where("key_h is not null")
+    return rows.withColumn("shard", segment_of(F.col("key_h"), shards)).groupBy("shard").applyInPandasWithState(grow, PREFIX_OUT, PREFIX_STATE, "append", "NoTimeout")

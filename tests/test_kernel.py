@@ -216,3 +216,28 @@ def test_edge_mass():
     counts = np.bincount(s, minlength=200)
     assert counts[0] / counts[1:-1].mean() == pytest.approx(16, rel=0.05)
     assert counts[-1] / counts[1:-1].mean() == pytest.approx(16, rel=0.05)
+
+
+def test_layouts_hold_the_same_rows():
+    from bandloom.functions import layout
+
+    rng = np.random.default_rng(4)
+    words = rng.integers(0, 2**64, (5, 3), dtype=U)
+    rows = layout.rows_of(words)
+    assert (layout.pack(rows, 3, "icm") == words).all()
+    for name in layout.LAYOUTS:
+        assert (layout.unpack(layout.pack(rows, 3, name), 320, 3, name) == rows).all()
+
+
+def test_soft_shards_with_reseeding():
+    from bandloom.kernel import softshards
+
+    own = keys(6000, 2)
+    m = P.rows_for(len(own), 0.08, 64)
+    ok, bank, chosen, tried = softshards.build(own, lambda k, seed: H.fingerprint_np(k, seed, 7), m, 64, 6)
+    assert ok and tried >= 6
+    words = back_substitute(bank, 7, m)
+    start, seed = softshards.start_of(own, m, 64, 6, chosen)
+    for s in set(chosen):
+        k = own[seed == s]
+        assert (lookup(words, np.zeros(len(k), int), start[seed == s], H.coefficients_np(k, s, 64)) == H.fingerprint_np(k, s, 7)).all()

@@ -151,3 +151,12 @@ def test_streams(spark, sf, tmp_path):
     assert closed
     whole = streams.compact(spark, str(tmp_path / "runs"), ["event_id"])
     assert measures.count_false_negatives(whole, events, "event_id").first().misses == 0
+
+
+def test_stateful_prefix_runs(spark, tmp_path):
+    spark.range(4000).repartition(2).write.parquet(str(tmp_path / "k"))
+    stream = spark.readStream.schema("id long").parquet(str(tmp_path / "k"))
+    q = streams.prefix_runs(stream, ["id"], 2, 512).writeStream.outputMode("append").format("memory").queryName("runs").trigger(availableNow=True).start()
+    q.awaitTermination()
+    rows = spark.table("runs").collect()
+    assert len(rows) >= 4 and all(0.85 * 512 < r.n_keys <= 512 for r in rows)
