@@ -151,9 +151,13 @@ def build_filter(
     def once(it):
         """Drop repeats inside each batch before the shuffle: a hot key leaves one row per batch."""
         for batch in it:
-            pair = np.stack([c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns])
-            _, first = np.unique(pair, axis=1, return_index=True)
-            yield batch.take(pa.array(first))
+            columns = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            order = np.lexsort(columns[::-1])
+            new = np.ones(len(order), bool)
+            new[1:] = False
+            for c in columns:
+                new[1:] |= c[order][1:] != c[order][:-1]
+            yield batch.take(pa.array(order[new]))
 
     def build(it):
         table = pa.Table.from_batches(it, schema=None) if (it := list(it)) else None
