@@ -144,21 +144,28 @@ class Bank:
         return inside
 
 
-def insert_one(bank: Bank, i: int, c: int, b: int, w: int = 64) -> str:
-    """The sequential rule for a single equation, on Python integers: inserted, redundant or inconsistent."""
-    mask = (1 << 64) - 1
-    while bank.used[i]:
-        row = sum(int(bank.c[lane, i]) << (64 * lane) for lane in range(bank.lanes))
-        c, b = c ^ row, b ^ int(bank.b[i])
-        if not c:
-            return "inconsistent" if b else "redundant"
-        step = (c & -c).bit_length() - 1
-        i, c = i + step, c >> step
-    bank.used[i] = True
-    for lane in range(bank.lanes):
-        bank.c[lane, i] = (c >> (64 * lane)) & mask
-    bank.b[i] = b
-    return "inserted"
+class XorBasis:
+    """One equation at a time over whole-width integers, as the reference that tests compare the rounds with.
+
+    An equation is the integer of its m coefficient bits with the right-hand side above them; the basis keeps one vector
+    for each lowest set bit.
+    """
+
+    def __init__(self, m: int):
+        self.m, self.vectors = m, {}
+
+    def offer(self, start: int, coeff: int, rhs: int) -> str:
+        v = (coeff << start) | (rhs << self.m)
+        left = (1 << self.m) - 1
+        while v & left and (low := v & -v) in self.vectors:
+            v ^= self.vectors[low]
+        if v & left:
+            self.vectors[v & -v] = v
+            return "inserted"
+        return "inconsistent" if v else "redundant"
+
+    def rows(self) -> list[int]:
+        return sorted(low.bit_length() - 1 for low in self.vectors)
 
 
 def band_until_failure(rows: int, start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray) -> tuple[Bank, int]:

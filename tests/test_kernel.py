@@ -10,7 +10,7 @@ from hypothesis import strategies as st
 from bandloom.baselines import families
 from bandloom.functions import hashing as H
 from bandloom.kernel import balanced
-from bandloom.kernel.banding import Bank, back_substitute, band_until_failure, insert_one, lookup
+from bandloom.kernel.banding import Bank, XorBasis, back_substitute, band_until_failure, lookup
 from bandloom.kernel.bands import NoSolution, build_segments, contains, query_segment
 from bandloom.plans import planning as P
 from bandloom.spec import FilterSpec
@@ -32,11 +32,14 @@ def keys(n, seed=0):
 
 
 def test_hand_worked_system():
-    bank = Bank(64)
     steps = [(0, 0b1101, 0b10), (0, 0b0111, 0b11), (1, 0b0101, 0b01)]  # first position is the lowest bit
-    assert [insert_one(bank, *s) for s in steps] == ["inserted", "inserted", "redundant"]
-    assert insert_one(bank, 1, 0b0101, 0b11) == "inconsistent"
-    assert np.flatnonzero(bank.used).tolist() == [0, 1]
+    one = XorBasis(8)
+    assert [one.offer(*s) for s in steps] == ["inserted", "inserted", "redundant"]
+    assert one.offer(1, 0b0101, 0b11) == "inconsistent"
+    bank = Bank(64)
+    got = bank.insert(np.array([s[0] for s in steps]), np.array([[s[1] for s in steps]], U), np.array([s[2] for s in steps], U))
+    assert (got.inserted, got.redundant, got.inconsistent) == (2, 1, 0)
+    assert one.rows() == np.flatnonzero(bank.used).tolist() == [0, 1]
     z = back_substitute(bank, 2, 64)[0, 0]
     rows = [sum(((int(z[j]) >> i) & 1) << j for j in range(2)) for i in range(4)]
     assert rows == [0b10, 0b01, 0, 0]
@@ -49,10 +52,10 @@ def test_rounds_equal_sequential_in_any_order(w):
     first = None
     for order in range(6):
         p = np.random.default_rng(order).permutation(n)
-        batch, one = Bank(m, len(coeff)), Bank(m, len(coeff))
+        batch, one = Bank(m, len(coeff)), XorBasis(m)
         got = batch.insert(start[p], coeff[:, p], rhs[p])
-        verdicts = [insert_one(one, int(start[k]), sum(int(c[k]) << 64 * i for i, c in enumerate(coeff)), int(rhs[k])) for k in p]
-        assert (batch.used == one.used).all()
+        verdicts = [one.offer(int(start[k]), sum(int(c[k]) << 64 * i for i, c in enumerate(coeff)), int(rhs[k])) for k in p]
+        assert np.flatnonzero(batch.used).tolist() == one.rows()
         assert got.inserted == verdicts.count("inserted")
         words = back_substitute(batch, 7, m) if got.ok() else None
         state = (batch.used.tobytes(), got.ok(), words.tobytes() if words is not None else None)
@@ -99,8 +102,8 @@ def test_rollback_leaves_no_trace_and_prefix_is_longest():
     bank.rollback(log)
     assert all((a == b).all() for a, b in zip(before, (bank.used, bank.c, bank.b), strict=True))
     _, n = band_until_failure(m, start, coeff, rhs)
-    one = Bank(m)
-    verdicts = [insert_one(one, int(s), int(c), int(b)) for s, c, b in zip(start, coeff[0], rhs, strict=True)]
+    one = XorBasis(m)
+    verdicts = [one.offer(int(s), int(c), int(b)) for s, c, b in zip(start, coeff[0], rhs, strict=True)]
     assert n == verdicts.index("inconsistent")
 
 
