@@ -34,7 +34,8 @@ from pyspark.sql import functions as F
 from bandloom.runtime import scratch, ship
 
 ROLL_BYTES = 8 << 20
-SHARD_BYTES = 32 << 20
+SHARD_BYTES = 64 << 20
+SMALL_SHARD_ROWS = 2000
 MIN_DUPLICATE = 0
 SAMPLE = 20_000
 DATE = "2024-01-01T00:00:00Z"
@@ -137,11 +138,13 @@ def write_warc(pages: DataFrame, folder: str, least: int = MIN_DUPLICATE, roll:
     keys = rows.select("page_id", "digest", "n_bytes")
     order = F.coalesce("page_id", F.lit(NULL_ID))
     total, n_rows = keys.agg(F.coalesce(F.sum("n_bytes"), F.lit(0)), F.count("*")).first()
-    n_shards = max(1, -(-total // shard_bytes), min(8, n_rows // 1000))
+    n_shards = max(1, -(-total // shard_bytes), min(64, n_rows // SMALL_SHARD_ROWS))
     # Bounds from a sample by hash: the same for every partitioning of the input; it places rows and drops none.
     chosen = keys.where(F.pmod(F.xxhash64("page_id", "digest"), F.lit(1 << 20)) < max(1, min(1.0, SAMPLE / max(n_rows, 1)) * (1 << 20)))
-    sample = np.array(sorted({(r[0], r[1]) for r in chosen.select(order, F.xxhash64("digest")).limit(8 * SAMPLE).collect()}), np.int64).reshape(-1, 2)
-    cuts = sample[[len(sample) * i // n_shards for i in range(1, n_shards)]] if len(sample) else sample
+    rows_seen = sorted({tuple(r) for r in chosen.select(order, F.xxhash64("digest"), "n_bytes").limit(8 * SAMPLE).collect()})
+    sample = np.array(rows_seen, np.int64).reshape(-1, 3)
+    load = np.cumsum(sample[:, 2] + 512)
+    cuts = sample[np.searchsorted(load, [load[-1] * i // n_shards for i in range(1, n_shards)]), :2] if len(sample) else sample[:, :2]
     cut_keys = [tuple(c) for c in cuts.tolist()]
 
     @F.pandas_udf("int")
@@ -161,7 +164,7 @@ def write_warc(pages: DataFrame, folder: str, least: int = MIN_DUPLICATE, roll:
     both = dealt(rows.select("page_id", "url", "html", "digest", F.lit(None).cast("long").alias("response"))).unionByName(
         dealt(markers.select("page_id", F.lit(None).cast("string").alias("url"), F.lit(None).cast("string").alias("html"), "digest", "response"))
     )
-    sorted_rows = both.repartition(n_shards, "shard").sortWithinPartitions("shard", "page_id", "digest", F.col("html").isNotNull(), "url")
+    sorted_rows = both.repartitionById(n_shards, F.col("shard")).sortWithinPartitions("shard", "page_id", "digest", F.col("html").isNotNull(), "url")
 
     def run(it):
         rows = ((r["shard"], r["page_id"], r["url"], r["html"], r["digest"], r["response"]) for b in it for s in range(0, b.num_rows, 256) for r in b.slice(s, 256).to_pylist())
