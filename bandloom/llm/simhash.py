@@ -31,7 +31,6 @@ from bandloom.runtime import delete, ship, written
 
 SHINGLE = 4
 CELL_VARIANTS = 4_000_000
-SPREAD = 0x9E3779B97F4A7C15  # an odd factor: a bijection that decides nothing but the order of sorting
 
 
 def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
