@@ -296,7 +296,7 @@ def run_eps_sweep(spark, n: int = 60_000, rs=(1, 4, 7, 11), ws=(16, 32, 64), fac
     return run_grid(spark, "eps_sweep", "band", grid)
 
 
-def run_success_table(spark, ms=(1 << 10, 1 << 12, 1 << 14), ws=(32, 64, 128), trials: int = 24) -> DataFrame:
+def run_success_table(spark, ms=(1 << 10, 1 << 14), ws=(32, 64, 128), trials: int = 16) -> DataFrame:
     """Overhead at the first failure: its mean, median, 95 % and 99.9 % quantiles are what constructions need to fail
     with probability .5, .05, .001. Edge inflation w/2 and w/4 at the smallest m."""
     grid = [{"w": w, "m": m, "edge": 1, "rep": k} for w in ws for m in ms for k in range(trials)]

@@ -19,10 +19,6 @@ COMPACT_BROADCAST = 64 << 20
 UNROLLED = 16
 
 
-def ushr(x: Column, by: Column) -> Column:
-    return F.call_function("shiftrightunsigned", x, by)
-
-
 def shl(x: Column, by: Column) -> Column:
     return F.call_function("shiftleft", x, by)
 
@@ -51,18 +47,19 @@ def start_column(flt: BandFilter, key_h: Column, m: Column, seed: Column) -> Col
     return lo + reduce32(salted(key_h, START, seed), hi - lo)
 
 
-def parity(j: int | Column, low: Column, high: Column | None, o: Column) -> Column:
-    """Column j's result bit (0 or 1) of a window that starts o rows into its block."""
-    at = F.lit(j) if isinstance(j, int) else j
-    w0, w1, w2 = (F.get(n, at) for n in ("words", "next_words", "third_words"))
+def parity(j: int | str, lanes: int) -> str:
+    """SQL for column j's result bit (0 or 1) of the window that starts _o rows into its block.
 
-    def aligned(a: Column, b: Column) -> Column:
-        return F.when(o == 0, a).otherwise(ushr(a, o).bitwiseOR(shl(b, F.lit(64) - o)))
+    Text, because one parse is far cheaper for the driver than hundreds of calls that build the same tree.
+    """
 
-    mix = aligned(w0, w1).bitwiseAND(low)
-    if high is not None:
-        mix = mix.bitwiseXOR(aligned(w1, w2).bitwiseAND(high))
-    return F.bit_count(mix).bitwiseAND(F.lit(1))
+    def aligned(a: str, b: str) -> str:
+        return f"(CASE WHEN _o = 0 THEN get({a}, {j}) ELSE shiftrightunsigned(get({a}, {j}), _o) | shiftleft(get({b}, {j}), 64 - _o) END)"
+
+    mix = f"({aligned('words', 'next_words')} & _low)"
+    if lanes == 2:
+        mix = f"({mix} ^ ({aligned('next_words', 'third_words')} & _high))"
+    return f"(bit_count({mix}) & 1)"
 
 
 def located(df: DataFrame, keys: list[str] | str, flt: BandFilter, run: str | None, hint: str | None) -> DataFrame:
@@ -103,29 +100,21 @@ def shr_print(flt: BandFilter, seed: Column) -> Column:
 def probe_expr(flt: BandFilter, short_circuit: bool | str = "auto") -> Column:
     """True if all result bits of the window match; on the columns that located() adds."""
     spec = flt.spec
-    high = F.col("_high") if spec.w == 128 else None
+    lanes = 2 if spec.w == 128 else 1
     if short_circuit == "auto":
         short_circuit = spec.r_hi > 4
 
-    def differs(j: int | Column) -> Column:
-        shift = F.lit(j) if isinstance(j, int) else j
-        return parity(j, F.col("_low"), high, F.col("_o")).cast("int").bitwiseXOR(ushr(F.col("_fp"), shift).bitwiseAND(F.lit(1).cast("long")).cast("int"))
-
-    def wide(j: int, miss: Column) -> Column:
-        return F.when(F.size("words") > j, miss).otherwise(F.lit(0)) if j >= spec.r_lo else miss
+    def differs(j: int | str) -> str:
+        miss = f"({parity(j, lanes)} ^ CAST(shiftrightunsigned(_fp, {j}) & 1L AS INT))"
+        return f"(CASE WHEN size(words) > {j} THEN {miss} ELSE 0 END)" if isinstance(j, int) and j >= spec.r_lo else miss
 
     if spec.r_hi > UNROLLED:
-        body = F.forall(F.sequence(F.lit(0), F.size("words") - 1), lambda j: differs(j) == 0)
+        body = f"forall(sequence(0, size(words) - 1), j -> {differs('j')} = 0)"
     elif short_circuit:
-        body = F.lit(True)
-        for j in range(spec.r_hi):
-            body = body & (wide(j, differs(j)) == 0)
+        body = " AND ".join(f"{differs(j)} = 0" for j in range(spec.r_hi))
     else:
-        miss = F.lit(0)
-        for j in range(spec.r_hi):
-            miss = miss.bitwiseOR(wide(j, differs(j)))
-        body = miss == 0
-    return F.when(F.col("words").isNotNull(), body).otherwise(F.lit(False))
+        body = "(" + " | ".join(differs(j) for j in range(spec.r_hi)) + ") = 0"
+    return F.expr(f"CASE WHEN words IS NOT NULL THEN {body} ELSE false END")
 
 
 def relation_bytes(flt: BandFilter) -> tuple[int, int]:
@@ -157,14 +146,12 @@ def lookup_static(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: st
     mode = pick_mode(flt) if mode == "auto" else mode
     names = [c for c in df.columns if c != out]
     rows = located(df, keys, flt, None, None if mode == "block_shuffle" else "broadcast")
-    high = F.col("_high") if flt.spec.w == 128 else None
+    lanes = 2 if flt.spec.w == 128 else 1
     if flt.spec.r_hi > UNROLLED:
-        bits = F.transform("words", lambda _, j: shl(parity(j, F.col("_low"), high, F.col("_o")).cast("long"), j))
-        value = F.aggregate(bits, F.lit(0).cast("long"), lambda a, x: a.bitwiseOR(x))
+        bits = f"transform(words, (x, j) -> shiftleft(CAST({parity('j', lanes)} AS BIGINT), j))"
+        value = F.expr(f"aggregate({bits}, 0L, (a, b) -> a | b)")
     else:
-        value = F.lit(0).cast("long")
-        for j in range(flt.spec.r_hi):
-            value = value.bitwiseOR(F.shiftleft(parity(j, F.col("_low"), high, F.col("_o")).cast("long"), j))
+        value = F.expr(" | ".join(f"shiftleft(CAST({parity(j, lanes)} AS BIGINT), {j})" for j in range(flt.spec.r_hi)))
     return rows.select(*[f"`{n}`" for n in names], F.when(F.col("words").isNotNull(), value).alias(out))
 
 
