@@ -74,25 +74,33 @@ def flips(bits: int, most: int) -> np.ndarray:
     return np.array(out, np.uint64)
 
 
-def cell_links(fps: np.ndarray, cell: int, lead: int, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """Spanning forest of the links whose shared variant lies in this cell."""
-    low = 64 - lead
+def cell_links(fps: np.ndarray, cell: int, lead: int, radius: int, most: int = CELL_VARIANTS) -> tuple[np.ndarray, np.ndarray]:
+    """Spanning forest of the links whose shared variant lies in this cell; fps are distinct and sorted.
+
+    A cell of more than `most` variants is halved by its next bit, and its halves' forests are merged, so memory stays
+    bounded however many fingerprints share their leading bits.
+    """
+    low, reach = 64 - lead, radius // 2
     away = np.bitwise_count((fps >> np.uint64(low)) ^ np.uint64(cell))
+    masks = [flips(low, reach - spent) for spent in range(reach + 1)]
+    if sum(int((away == spent).sum()) * len(m) for spent, m in enumerate(masks)) > most and low > 1:
+        own = fps[away <= reach]
+        halves = [cell_links(own, 2 * cell + bit, lead + 1, radius, most) for bit in (0, 1)]
+        node, root = (np.searchsorted(own, np.concatenate(ends)) for ends in zip(*halves, strict=True))
+        return forest(own, node, root)
     variants, owner = [], []
     suffix = fps & np.uint64((1 << low) - 1)
-    for spent in range(radius // 2 + 1):
+    for spent in range(reach + 1):
         own = np.flatnonzero(away == spent)
-        masks = flips(low, radius // 2 - spent)
-        variants.append((suffix[own][:, None] ^ masks[None, :]).ravel())
-        owner.append(np.repeat(own, len(masks)))
+        variants.append((suffix[own][:, None] ^ masks[spent][None, :]).ravel())
+        owner.append(np.repeat(own, len(masks[spent])))
     v, who = np.concatenate(variants), np.concatenate(owner)
     order = np.argsort(v)
     v, who = v[order], who[order]
     first = np.concatenate([[True], v[1:] != v[:-1]]) if len(v) else np.zeros(0, bool)
     if first.all():
         return np.zeros(0, np.uint64), np.zeros(0, np.uint64)
-    starts = np.flatnonzero(first)
-    least = np.minimum.reduceat(who, starts)[np.cumsum(first) - 1]  # fps are sorted: the least owner is the least fingerprint
+    least = np.minimum.reduceat(who, np.flatnonzero(first))[np.cumsum(first) - 1]  # fps are sorted: the least owner is the least fingerprint
     differ = least != who
     pair = np.unique(least[differ].astype(np.uint64) << np.uint64(32) | who[differ].astype(np.uint64))
     a, b = (pair >> np.uint64(32)).astype(np.int64), (pair & np.uint64(0xFFFFFFFF)).astype(np.int64)
@@ -116,7 +124,7 @@ def forest(fps: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, n
     return fps[moved], fps[root[moved]]
 
 
-def leading_bits(n: int, most: int = 16) -> int:
+def leading_bits(n: int, most: int = 26) -> int:
     """Cells so many that one expands to at most about CELL_VARIANTS variants."""
     return min(most, max(5, math.ceil(math.log2(max(1.0, n * 2081 / CELL_VARIANTS)))))
 

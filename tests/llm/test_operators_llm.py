@@ -2,6 +2,7 @@
 
 import hashlib
 import itertools
+import tracemalloc
 
 import numpy as np
 import public_tokenizers
@@ -115,7 +116,8 @@ def test_fingerprint(text):
     assert simhash.fingerprint(text) == slow_fingerprint(text)
 
 
-def test_cells_find_every_link():
+@pytest.mark.parametrize("most", [simhash.CELL_VARIANTS, 3_000])
+def test_cells_find_every_link(most):
     rng = np.random.default_rng(3)
     base = rng.integers(0, 2**63, 300).astype(np.uint64)
     near = base.copy()
@@ -126,7 +128,7 @@ def test_cells_find_every_link():
     links = set()
     for cell in range(32):
         own = fps[np.bitwise_count((fps >> np.uint64(59)) ^ np.uint64(cell)) <= 2]
-        links |= {tuple(sorted((int(a), int(b)))) for a, b in zip(*simhash.cell_links(own, cell, 5, 4), strict=True)}
+        links |= {tuple(sorted((int(a), int(b)))) for a, b in zip(*simhash.cell_links(own, cell, 5, 4, most), strict=True)}
     parts = slow_components({int(f): int(f) for f in fps})
     root = {int(f): int(f) for f in fps}
 
@@ -147,6 +149,19 @@ def test_components_of_a_long_chain(spark):
     assert all(got[i] == 0 for i in range(1, 301)) and got[1001] == 1000
 
 
+def test_crowded_cell_stays_bounded():
+    masks = simhash.flips(64, 2)
+    fps = np.unique(masks ^ np.uint64(0x0123456789ABCDEF))
+    tracemalloc.start()
+    parts = [simhash.cell_links(fps[np.bitwise_count((fps >> np.uint64(59)) ^ np.uint64(c)) <= 2], c, 5, 4, 200_000) for c in range(32)]
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 64 << 20
+    at = [np.searchsorted(fps, np.concatenate(ends)) for ends in zip(*parts, strict=True)]
+    node, root = simhash.forest(fps, *at)
+    assert len(node) == len(fps) - 1 and set(root.tolist()) == {int(fps[0])}
+
+
 def test_simhash_odd_input(odd_docs, no_docs):
     rows = simhash.near_duplicates(odd_docs).collect()
     assert len(rows) == 13
