@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from bandloom.baselines import families
 from bandloom.functions.hashing import START, U64, clamp_start_np, coefficients_np, fingerprint_np, salted_np
 from bandloom.kernel import softshards
-from bandloom.kernel.banding import Bank, back_substitute, band_until_failure, lookup
+from bandloom.kernel.banding import Bank, XorBasis, back_substitute, band_until_failure, lookup
 from bandloom.kernel.bands import NoSolution, build_segments, contains
 from bandloom.plans.planning import access_model, eps_homogeneous, fp_model, info_bound, natural_shard, rows_for
 from bandloom.runtime import ship
@@ -123,6 +123,32 @@ def square_trial(cfg: dict) -> dict:
     return {"extra": {"band_regular": float(bank.used.all()), "dense_regular": float(families.dense_rank_full(n, cfg["rep"]))}}
 
 
+def two_location_trial(cfg: dict) -> dict:
+    """The flagless alternative to tiers: a key's equation spans a window in each of two locations.
+
+    No metadata says which location answers, but the system is no band any more: reduced rows reach from one location to
+    the other. Reports the overhead at the first contradiction and how far the solved rows reach, beside one location's.
+    """
+    m, w, out = cfg["m"], cfg["w"], {}
+    first, coeff, rhs = equations(np.random.default_rng(7000 + cfg["rep"]), m + 64, m, w, 1)
+    second, other, _ = equations(np.random.default_rng(8000 + cfg["rep"]), m + 64, m, w, 1)
+
+    def whole(start, words, i):
+        return sum(int(x[i]) << 64 * lane for lane, x in enumerate(words)) << int(start[i])
+
+    for name in ("one", "two"):
+        basis = XorBasis(m)
+        for i in range(m + 64):
+            row = whole(first, coeff, i)
+            if name == "two":
+                row ^= whole(second, other, i)
+            if basis.offer(0, row, int(rhs[i])) == "inconsistent":
+                break
+        reach = [((v & ((1 << m) - 1)) // low).bit_length() for low, v in basis.vectors.items()]
+        out[f"{name}_eps"], out[f"{name}_reach"] = (m - i) / i, float(np.mean(reach))
+    return {"n": m, "eps": out["two_eps"], "extra": out}
+
+
 def counters_trial(cfg: dict) -> dict:
     """The same equations by the batch rounds and by the earlier sorted solver."""
     spec, keys = spec_of(cfg), random_keys(cfg["n"], 17 + cfg["rep"])
@@ -207,7 +233,7 @@ def soft_shard_trial(cfg: dict) -> dict:
 
 TRIALS = {
     "band": band_trial, "family": family_trial, "until_failure": until_failure_trial, "square": square_trial, "counters": counters_trial,
-    "span": span_trial, "shards": soft_shard_trial,
+    "span": span_trial, "shards": soft_shard_trial, "two_location": two_location_trial,
 }
 
 
@@ -348,6 +374,13 @@ def run_square(spark, ns=(64, 256, 1024), trials: int = 100) -> DataFrame:
     return got.groupBy("n", "w").agg(F.count("*").alias("trials"), F.avg(F.col("extra")["band_regular"]).alias("band_regular"), F.avg(F.col("extra")["dense_regular"]).alias("dense_regular"))
 
 
+def run_two_location(spark, ms=(512, 1024), ws=(32, 64), trials: int = 8) -> DataFrame:
+    """Overhead at the first contradiction and mean reach of a solved row, with windows in one and in two locations."""
+    got = run_grid(spark, "two_location", "two_location", [{"m": m, "w": w, "rep": k} for m in ms for w in ws for k in range(trials)])
+    extra = [F.avg(F.col("extra")[k]).alias(k) for k in ("one_eps", "two_eps", "one_reach", "two_reach")]
+    return got.groupBy(F.col("n").alias("m"), "w").agg(F.count("*").alias("trials"), *extra)
+
+
 def run_retry_policy(spark, n: int = 5_000, reps: int = 10) -> DataFrame:
     """Attempts and space when tight systems are re-seeded or grown by (w+1)/w."""
     grid = [{"variant": "standard", "w": 64, "r": 7, "eps": e, "n": n, "rep": k, "retry": p, "seeds": 64, "filter": p} for p in ("reseed", "grow") for e in (0.03, 0.05) for k in range(reps)]

@@ -576,7 +576,7 @@ def _(spark, sf_dir):
 # Workloads: rows only, as they time, sample or simulate.
 
 for _f in (simulated.run_timing, simulated.run_winner_map, simulated.run_overhead_curve, simulated.run_eps_sweep, simulated.run_success_table, simulated.run_fractional, simulated.run_one_percent,
-           simulated.run_balanced, simulated.run_access_model, simulated.run_space_time, simulated.run_small_n, simulated.run_elimination_counters, simulated.run_square, simulated.run_retry_policy,
+           simulated.run_balanced, simulated.run_access_model, simulated.run_space_time, simulated.run_small_n, simulated.run_elimination_counters, simulated.run_square, simulated.run_two_location, simulated.run_retry_policy,
            simulated.run_sharding, simulated.run_span_probability, simulated.run_load_diagonal):
     register("workload_" + _f.__name__.removeprefix("run_"))(lambda spark, sf_dir, f=_f: f(spark))
 

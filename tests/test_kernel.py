@@ -244,3 +244,11 @@ def test_soft_shards_with_reseeding():
     for s in set(chosen):
         k = own[seed == s]
         assert (lookup(words, np.zeros(len(k), int), start[seed == s], H.coefficients_np(k, s, 64)) == H.fingerprint_np(k, s, 7)).all()
+
+
+def test_two_locations_lose_the_band():
+    from bandloom.experiments.simulated import two_location_trial
+
+    got = two_location_trial({"m": 256, "w": 32, "rep": 0})["extra"]
+    assert got["one_reach"] <= 32 < got["two_reach"]
+    assert got["two_eps"] < got["one_eps"]
