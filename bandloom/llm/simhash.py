@@ -77,8 +77,8 @@ def flips(bits: int, most: int) -> np.ndarray:
 def cell_links(fps: np.ndarray, cell: int, lead: int, radius: int, most: int = CELL_VARIANTS) -> tuple[np.ndarray, np.ndarray]:
     """Spanning forest of the links whose shared variant lies in this cell; fps are distinct and sorted.
 
-    A cell of more than `most` variants is halved by its next bit, and its halves' forests are merged, so memory stays
-    bounded however many fingerprints share their leading bits.
+    A cell of more than `most` variants is halved by its next bit, and its halves' forests are merged, so beyond
+    the fingerprints themselves (8 bytes each) memory stays bounded.
     """
     low, reach = 64 - lead, radius // 2
     away = np.bitwise_count((fps >> np.uint64(low)) ^ np.uint64(cell))
