@@ -2,8 +2,8 @@
 
 Fixed masks ignore some token positions of a window; a document window and a benchmark window that agree on a mask's
 selected positions have equal hashes. Test hashes are joined with training hashes, and each hit is verified around its
-diagonal: the best-scoring run of aligned tokens must hold at least MIN_SPAN tokens (or the whole of a shorter item)
-with an identity of MIN_IDENTITY or more, so substitutions are tolerated.
+diagonal: the longest window of aligned tokens with an identity of MIN_IDENTITY or more must hold at least MIN_SPAN
+tokens (or the whole of a shorter item), wherever its substitutions lie. What no mask hits is not verified.
 
 The benchmark side is built in blocks of at most BLOCK_TOKENS tokens, whose size bounds what is broadcast; a larger
 benchmark means more passes, each over all documents. Nothing of the documents is shuffled.
@@ -27,7 +27,7 @@ from bandloom.runtime import ship
 
 # The seeds; 1 marks a position that is compared.
 MASKS = ("111111", "1110111", "11011011", "1010110101")
-MIN_SPAN, MIN_IDENTITY, LEAST_TOKENS, MISMATCH = 13, 0.8, 8, -3
+MIN_SPAN, MIN_IDENTITY, LEAST_TOKENS = 13, 0.8, 8
 BLOCK_TOKENS = 2_000_000
 WORD = regex.compile(r"\w+")
 SCHEMA = "doc_id long, item_id long, n_tokens int, n_equal int, doc_token int, item_token int"
@@ -80,7 +80,7 @@ class Seeds:
         return cls(vocabulary, [i for i, _ in items], starts, np.concatenate(coded), hashes, places)
 
     def matches(self, text: str | None) -> list[tuple[int, int, int, int, int]]:
-        """(item_id, tokens, equal tokens, first token in the document, in the item) of the best run of each item."""
+        """(item_id, tokens, equal tokens, first token in the document, in the item) of the best window of each item."""
         words = tokens(text)
         number = self.vocabulary.get
         ids = np.array([number(w, 0) for w in words], np.uint64)
@@ -104,22 +104,24 @@ class Seeds:
         for item, shift in sorted(diagonals):
             own = self.flat[self.starts[item] : self.starts[item + 1]]
             a, b = max(0, -shift), min(len(own), len(ids) - shift)
-            run = best_run(own[a:b] == ids[a + shift : b + shift])
-            size, same = run[1] - run[0], run[2]
-            if size >= min(MIN_SPAN, len(own)) and same >= MIN_IDENTITY * size:
+            start, end, same = longest_window(own[a:b] == ids[a + shift : b + shift])
+            size = end - start
+            if size >= min(MIN_SPAN, len(own)):
                 key = (same, size)
                 if item not in best or key > best[item][0]:
-                    best[item] = (key, (self.item_ids[item], size, same, a + run[0] + shift, a + run[0]))
+                    best[item] = (key, (self.item_ids[item], size, same, a + start + shift, a + start))
         return [m for _, m in best.values()]
 
 
-def best_run(equal: np.ndarray) -> tuple[int, int, int]:
-    """[start, end) with the largest sum of 1 per equal and MISMATCH per unequal position, and its equal count."""
-    score = np.concatenate([[0], np.cumsum(np.where(equal, 1, MISMATCH))])
-    low = np.minimum.accumulate(score)
-    end = int(np.argmax(score - low))
-    start = int(np.flatnonzero(score[: end + 1] == low[end])[-1])
-    return start, end, int(equal[start:end].sum())
+def longest_window(equal: np.ndarray) -> tuple[int, int, int]:
+    """[start, end) of the longest window with an identity of MIN_IDENTITY or more, and its equal count; most equal first on ties."""
+    percent = round(100 * MIN_IDENTITY)
+    count = np.concatenate([[0], np.cumsum(equal)])
+    score = 100 * count - percent * np.arange(len(count))  # a window is good if its ends' difference is not negative
+    starts = np.searchsorted(-np.minimum.accumulate(score), -score)  # for every end the first start that is good
+    sizes, same = np.arange(len(count)) - starts, count - count[starts]
+    end = int(np.lexsort((same, sizes))[-1])
+    return int(starts[end]), end, int(same[end])
 
 
 def seed_blocks(benchmark: DataFrame, block_tokens: int = BLOCK_TOKENS):

@@ -196,6 +196,39 @@ def test_decontamination_equals_planted_cases(spark):
     assert decontaminate.without_contaminated(df, bench.limit(0)).count() == 10
 
 
+def brute_window(equal, least):
+    return any(5 * sum(equal[a:b]) >= 4 * (b - a) for a in range(len(equal)) for b in range(a + least, len(equal) + 1))
+
+
+def test_decontamination_finds_substitutions_at_every_position():
+    rng = np.random.default_rng(8)
+    for size in (8, 12, 13, 15, 16, 20, 25):
+        item = [f"t{i}" for i in range(size)]
+        seeds = decontaminate.Seeds.build([(1, item)])
+        most = size // 5
+        spots = [c for k in (1, 2) if k <= most for c in itertools.combinations(range(size), k)]
+        spots += [tuple(rng.choice(size, k, replace=False)) for k in range(3, most + 3) for _ in range(60)]
+        lost = wanted = 0
+        for spot in spots:
+            equal = [i not in spot for i in range(size)]
+            text = " ".join(["x"] * 9 + [w if e else "y" for w, e in zip(item, equal, strict=True)] + ["z"] * 9)
+            want, got = brute_window(equal, min(13, size)), seeds.matches(text)
+            hit = any(all(equal[s + o] for o in decontaminate.offsets(m)) for m in decontaminate.MASKS for s in range(size - len(m) + 1))
+            assert bool(got) == (want and hit), (size, spot)
+            wanted, lost = wanted + want, lost + (want and not hit)
+            if len(spot) == 1 or len(spot) == 2 and size >= 15:
+                assert got, (size, spot)
+        assert size < 15 or lost <= 0.02 * wanted
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.booleans(), max_size=30))
+def test_longest_window(equal):
+    start, end, same = decontaminate.longest_window(np.array(equal, bool))
+    assert same == sum(equal[start:end]) and 5 * same >= 4 * (end - start)
+    assert not brute_window(equal, end - start + 1)
+
+
 def test_decontamination_of_the_tables(spark, sf):
     items = {r.item_id: decontaminate.tokens(r.text) for r in table(spark, sf, "benchmark").collect()}
     want = set()
