@@ -31,6 +31,7 @@ from bandloom.runtime import delete, ship, written
 
 SHINGLE = 4
 CELL_VARIANTS = 4_000_000
+ROW = "_simhash_row"
 
 
 def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
@@ -52,16 +53,22 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
     return int(np.packbits(votes * 2 > len(h), bitorder="little").view("<u8")[0])
 
 
-def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """doc_id, fp (the fingerprint's 64 bits as a long) for every row."""
-    ship(docs.sparkSession)
+def prints_of(rows: DataFrame, shingle: int = SHINGLE) -> DataFrame:
+    """rows with their last column, a text, replaced by fp (the fingerprint's 64 bits as a long)."""
+    ship(rows.sparkSession)
+    kept = rows.columns[:-1]
 
     def run(it):
         for batch in it:
-            fps = np.array([fingerprint(t.as_py(), shingle) for t in batch.column(1)], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps)], ["doc_id", "fp"])
+            fps = np.array([fingerprint(t.as_py(), shingle) for t in batch.column(len(kept))], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(fps)], [*kept, "fp"])
+
+    return rows.mapInArrow(run, ", ".join([*(f"{c} {t}" for c, t in rows.dtypes[:-1]), "fp bigint"]))
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, fp long")
+
+def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
+    """doc_id, fp for every row."""
+    return prints_of(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), shingle)
 
 
 def flips(bits: int, most: int) -> np.ndarray:
@@ -179,12 +186,17 @@ def components(pairs: DataFrame, rounds: int = 40) -> DataFrame:
     return edges.groupBy("u").agg(F.min("v").alias("root")).withColumnRenamed("u", "node")
 
 
+def rooted(classes: DataFrame, radius: int = 4) -> DataFrame:
+    """classes (one row per distinct fp) with root, the least fingerprint of the component."""
+    of = components(links(classes.select("fp"), classes.count(), radius))
+    return classes.join(of, classes.fp == of.node, "left").select(*(classes[c] for c in classes.columns), F.coalesce("root", "fp").alias("root"))
+
+
 def near_duplicates(docs: DataFrame, radius: int = 4, shingle: int = SHINGLE) -> DataFrame:
     """doc_id, fp and component_id (the least doc_id reachable) for every row of docs."""
     prints, _ = written(fingerprints(docs, shingle), "prints")
     classes, path = written(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "classes")
-    of = components(links(classes.select("fp"), classes.count(), radius))
-    placed = classes.join(of, classes.fp == of.node, "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root"))
+    placed = rooted(classes, radius)
     named = placed.groupBy("root").agg(F.min("least_id").alias("component_id"))
     by_print = placed.join(named, "root").select("fp", "component_id")
     return prints.join(by_print, "fp").select("doc_id", "fp", "component_id")
@@ -196,9 +208,17 @@ def simhash_dedup(docs: DataFrame) -> DataFrame:
 
 
 def one_of_each(docs: DataFrame) -> DataFrame:
-    """The rows of docs whose doc_id names its component (one row of each), with the columns of docs; null ids stay."""
-    near = near_duplicates(docs)
-    go = near.where(F.col("doc_id").isNotNull() & (F.col("doc_id") != F.col("component_id"))).select("doc_id").distinct()
-    kept = docs.join(go, "doc_id", "left_anti").select(*docs.columns)
-    again = near.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count()
-    return kept.dropDuplicates(["doc_id"]) if again else kept
+    """One row of each component of the rows with an id, with the columns of docs; rows with a null id link nothing and all stay.
+
+    The row that stays has the component's least id and, of that id's rows, the least hash of the text. Rows are told
+    apart by a surrogate key, so docs is written once: an id that occurs again stays in each component it names.
+    """
+    spark = docs.sparkSession
+    numbered, _ = written(docs.withColumn(ROW, F.monotonically_increasing_id()), "rows")
+    named = numbered.where("doc_id is not null")
+    thin = named.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("tie"), ROW, "text")
+    prints, path = written(prints_of(thin), "prints")
+    classes, _ = written(prints.groupBy("fp").agg(F.min(F.struct("doc_id", "tie", ROW)).alias("least")), "classes")
+    delete(spark, path)
+    stay = rooted(classes).groupBy("root").agg(F.min("least").alias("least")).select(f"least.{ROW}")
+    return named.join(stay, ROW, "left_semi").unionByName(numbered.where("doc_id is null")).select(*docs.columns)

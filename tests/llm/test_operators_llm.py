@@ -174,6 +174,16 @@ def test_simhash_odd_input(odd_docs, no_docs):
     assert sorted(r.doc_id for r in kept.where("doc_id is not null").collect()) == [1, 4, 5, 6, 8, 9, 10]
 
 
+def test_one_of_each_goes_by_row(spark):
+    a, b, c, d, e, f = (" ".join(f"{x}{i}" for i in range(40)) for x in "abcdef")
+    rows = [(1, a), (1, b), (2, a), (3, e), (3, a), (4, f), (4, f), (None, c), (None, d), (None, a), (None, None), (5, c)]
+    docs = spark.createDataFrame([(i, t, k) for k, (i, t) in enumerate(rows)], "doc_id long, text string, fp int").repartition(3)
+    got = simhash.one_of_each(docs)
+    assert got.columns == docs.columns
+    assert sorted(((r.doc_id, r.text) for r in got.collect()), key=repr) == sorted([(1, a), (1, b), (3, e), (4, f), (None, c), (None, d), (None, a), (None, None), (5, c)], key=repr)
+    assert simhash.one_of_each(docs.limit(0)).count() == 0
+
+
 # Decontamination
 
 
