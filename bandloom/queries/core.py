@@ -513,12 +513,12 @@ def _(spark, sf_dir):
 
 @register("jvm_bloom_sketch", "SELECT true AS no_misses, true AS rate_as_asked")
 def _(spark, sf_dir):
-    """The engine's sketch, asked about at most 1000 keys of either kind on the driver."""
+    """The engine's sketch, asked about every customer in a column expression, and about 1000 other keys on the driver."""
     c = table(spark, sf_dir, "customer").select("c_custkey")
-    sketch = surface.jvm_bloom(c, "c_custkey", 20_000, 0.01)
-    some = [r[0] for r in c.limit(1000).collect()]
+    sketch = surface.jvm_bloom(c, "c_custkey", max(20_000, c.count()), 0.01)
     hits = sum(sketch.mightContainLong(10**9 + i) for i in range(1000))
-    return frame(spark, [(all(sketch.mightContainLong(k) for k in some), hits < 60)], "no_misses boolean, rate_as_asked boolean")
+    missed = c.where(~surface.jvm_might_contain(spark, sketch, "c_custkey")).count()
+    return frame(spark, [(missed == 0, hits < 60)], "no_misses boolean, rate_as_asked boolean")
 
 
 @register("layouts_agree", "SELECT true AS agree")
