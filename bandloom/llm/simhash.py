@@ -3,7 +3,8 @@
 Fingerprints: majority bits of the XXH64 values of all word shingles, repeats included. Two fingerprints link at
 `radius` (4) or fewer differing bits; two within 4 always share a variant that lies within 2 of both, and two that share
 one are within 4 of each other. So every distinct fingerprint emits all 2081 variants within 2, equal variants meet, and
-the verified collisions are the links.
+the verified collisions are the links. The radius is even: for an odd one, fingerprints that share a variant need not link,
+and then linking them all to the least one would lose links.
 
 The shuffle on variants is by their leading bits, and lazy: a fingerprint travels once to each cell of leading bits in
 which any of its variants lies (1 + b + b(b-1)/2 of 2^b cells), and the cell's task expands the variants that fall into
@@ -19,7 +20,9 @@ component unless all ids of it are null; repeated rows give repeated rows; other
 
 from __future__ import annotations
 
+import itertools
 import math
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -71,14 +74,10 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     return prints_of(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), shingle)
 
 
+@cache
 def flips(bits: int, most: int) -> np.ndarray:
-    """Masks of up to `most` (0 to 2) set bits among the low `bits`."""
-    out = [0]
-    if most >= 1:
-        out += [1 << i for i in range(bits)]
-    if most >= 2:
-        out += [(1 << i) | (1 << j) for i in range(bits) for j in range(i)]
-    return np.array(out, np.uint64)
+    """Masks of up to `most` set bits among the low `bits`."""
+    return np.array([sum(1 << i for i in c) for k in range(most + 1) for c in itertools.combinations(range(bits), k)], np.uint64)
 
 
 def cell_links(fps: np.ndarray, cell: int, lead: int, radius: int, most: int = CELL_VARIANTS) -> tuple[np.ndarray, np.ndarray]:
@@ -131,9 +130,10 @@ def forest(fps: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, n
     return fps[moved], fps[root[moved]]
 
 
-def leading_bits(n: int, most: int = 26) -> int:
+def leading_bits(n: int, radius: int = 4, most: int = 26) -> int:
     """Cells so many that one expands to at most about CELL_VARIANTS variants."""
-    return min(most, max(5, math.ceil(math.log2(max(1.0, n * 2081 / CELL_VARIANTS)))))
+    ball = sum(math.comb(64, k) for k in range(radius // 2 + 1))
+    return min(most, max(5, math.ceil(math.log2(max(1.0, n * ball / CELL_VARIANTS)))))
 
 
 def links(classes: DataFrame, n: int, radius: int = 4) -> DataFrame:
@@ -141,9 +141,9 @@ def links(classes: DataFrame, n: int, radius: int = 4) -> DataFrame:
 
     classes: one row per distinct fingerprint, column fp; n: how many there are.
     """
-    if radius not in (2, 3, 4, 5):
-        raise ValueError("radius is 2 to 5")
-    lead = leading_bits(n)
+    if radius not in (0, 2, 4, 6):
+        raise ValueError("radius is 0, 2, 4 or 6")
+    lead = leading_bits(n, radius)
     masks = F.array(*[F.lit(int(m)) for m in flips(lead, radius // 2)])
     top = F.shiftrightunsigned("fp", 64 - lead)
     dealt = classes.select("fp", F.explode(F.transform(masks, lambda m: top.bitwiseXOR(m).cast("int"))).alias("cell"))

@@ -87,7 +87,7 @@ def slow_fingerprint(text, size=4):
     return sum(1 << b for b in range(64) if 2 * sum((x >> b) & 1 for x in h) > len(h))
 
 
-def slow_components(prints):
+def slow_components(prints, radius=4):
     ids = list(prints)
     root = {i: i for i in ids}
 
@@ -97,7 +97,7 @@ def slow_components(prints):
         return i
 
     for a, b in itertools.combinations(ids, 2):
-        if bin(prints[a] ^ prints[b]).count("1") <= 4:
+        if bin(prints[a] ^ prints[b]).count("1") <= radius:
             x, y = find(a), find(b)
             root[max(x, y)] = min(x, y)
     return {i: find(i) for i in ids}
@@ -143,6 +143,27 @@ def test_cells_find_every_link(most):
     assert {f: find(f) for f in root} == parts
 
 
+@pytest.mark.parametrize("radius", [0, 2, 4, 6])
+def test_links_of_every_radius(spark, radius):
+    rng = np.random.default_rng(radius)
+    base = rng.integers(0, 2**63, 60).astype(np.uint64)
+    fps = set(base.tolist())
+    for i, f in enumerate(base.tolist()):
+        for b in rng.choice(64, i % 8, replace=False).tolist():
+            f ^= 1 << b
+        fps.add(f)
+    classes = spark.createDataFrame([(int(np.uint64(f).view(np.int64)),) for f in fps], "fp long")
+    got = {r.fp & (2**64 - 1): r.root & (2**64 - 1) for r in simhash.rooted(classes, radius).collect()}
+    want = slow_components({f: f for f in fps}, radius)
+    assert {frozenset(f for f in fps if got[f] == r) for r in got.values()} == {frozenset(f for f in fps if want[f] == r) for r in want.values()}
+
+
+def test_odd_radii_are_refused(spark):
+    for radius in (1, 3, 5, 8):
+        with pytest.raises(ValueError, match="radius"):
+            simhash.links(spark.range(3).select(F.col("id").alias("fp")), 3, radius)
+
+
 def test_components_of_a_long_chain(spark):
     chain = spark.range(300).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b")).unionByName(spark.createDataFrame([(1000, 1001), (1001, 1000)], "a long, b long"))
     got = {r.node: r.root for r in simhash.components(chain).collect()}
