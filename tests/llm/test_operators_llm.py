@@ -45,31 +45,70 @@ def test_query_equals_sql(same, name):
 
 def brute_top(rows, k=5, every=50):
     out = []
-    for qid, q in sorted({(i, tuple(v)) for i, v in rows if i % every == 0}):
+    for qid, q in sorted({(i, tuple(v)) for i, v in rows if i % every == 0}):  # each distinct query row
         scored = sorted(((-sum(a * b for a, b in zip(q, v, strict=True)), i) for i, v in rows if i != qid and len(v) == len(q)))[:k]
         out += [(qid, r + 1, i, -s) for r, (s, i) in enumerate(scored)]
     return sorted(out)
 
 
+def embeddings(spark, rows):
+    return spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+
+
+def found_top(df, **kw):
+    return sorted(tuple(r) for r in maxscore.top_k(df, **kw).collect())
+
+
+def integers(rows):
+    return [(i, [int(np.floor(256 * x)) if abs(x) < 2**40 else 256 * int(x) for x in v]) for i, v in rows]
+
+
 def test_maxscore_equals_brute_force_with_ties_and_odd_rows(spark):
     rng = np.random.default_rng(1)
-    good = [(i, [float(x) for x in rng.integers(-3, 4, 6)]) for i in range(400)] + [(1000 + i, [1.0] * 6) for i in range(40)] + [(77, [0.5] * 6), (77, [0.5] * 6), (50, [2.0, 1.0])]
-    bad = [(None, [1.0] * 6), (2000, None), (2050, [1.0, None, 1.0, 1.0, 1.0, 1.0]), (2051, [float("nan")] * 6), (2052, [float("inf")] * 6), (2100, [1e30] * 6)]
-    df = spark.createDataFrame(good + bad, "vec_id long, embedding array<float>").withColumn("v", F.lit("clash")).repartition(5)
-    got = sorted(tuple(r) for r in maxscore.top_k(df, block=4).collect())
-    assert got == brute_top([(i, [int(np.floor(256 * x)) for x in v]) for i, v in good])
+    good = [(i, [float(x) for x in rng.integers(-3, 4, 6)]) for i in range(400)] + [(1000 + i, [1.0] * 6) for i in range(40)] + [(77, [0.5] * 6), (77, [0.5] * 6), (50, [2.0, 1.0]), (100, [])]
+    bad = [(None, [1.0] * 6), (2000, None), (2050, [1.0, None, 1.0, 1.0, 1.0, 1.0]), (2051, [float("nan")] * 6), (2052, [float("inf")] * 6)]
+    df = embeddings(spark, good + bad).withColumn("v", F.lit("clash")).repartition(5)
+    assert found_top(df, block=4) == brute_top(integers(good)) == found_top(df)
     assert maxscore.top_k(df.limit(0)).count() == 0
 
 
+def test_maxscore_large_components_and_many_dimensions(spark):
+    rng = np.random.default_rng(7)
+    huge = [(i, [float(x) * 10.0 ** int(rng.integers(0, 7)) for x in rng.normal(size=3)]) for i in range(60)] + [(50, [2_000_000.0, 1.5, -2.0]), (100, [0.0, 1e-9, 1e7])]
+    assert found_top(embeddings(spark, huge)) == brute_top(integers(huge))
+    wide = [(i, [float(x) for x in rng.integers(-(2**20), 2**20, 256)]) for i in range(40)] + [(50, [2.0**20] * 256), (51, [2.0**20] * 256), (52, [-(2.0**20)] * 256)]
+    assert found_top(embeddings(spark, wide)) == brute_top(integers(wide))
+    long_ = [(i, [float(x) for x in rng.normal(size=5000)]) for i in range(51)]
+    assert found_top(embeddings(spark, long_)) == brute_top(integers(long_))
+    with pytest.raises(Exception, match="exceeds a long"):
+        found_top(embeddings(spark, [(0, [1e30]), (1, [1.0])]))
+    exact = [(0, [0.0, 2.0**40]), (1, [2.0**40, 5.0]), (3, [2.0**50, -7.25]), (5, [-(2.0**60), 0.5])]
+    assert found_top(embeddings(spark, exact)) == brute_top(integers(exact))
+
+
+def test_maxscore_repeated_ids_agree_with_sql(spark, tmp_path):
+    import duckdb
+
+    rng = np.random.default_rng(3)
+    rows = [(i % 70, [float(x) for x in rng.integers(-2, 3, 4)]) for i in range(200)] + [(50, [1.0, 2.0, 3.0, 4.0]), (50, [1.0, 2.0, 3.0, 4.0]), (None, [1.0] * 4), (0, []), (3, [])]
+    df = embeddings(spark, rows)
+    df.write.parquet(str(tmp_path / "e"))
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM read_parquet('{tmp_path}/e/*.parquet')")
+    got = found_top(df, block=3)
+    assert got == sorted(con.execute(queries.OP1_SQL).fetchall()) == brute_top(integers([r for r in rows if r[0] is not None]))
+
+
 def test_maxscore_prunes():
     rng = np.random.default_rng(2)
-    rows, q = rng.integers(0, 3, (5000, 32)), np.zeros(32, int)
-    q[:2] = 50
+    rows, q = rng.integers(0, 3, (5000, 32)).astype(float), np.zeros(32)
+    q[:2], q[2:10] = 50, 1
     best = maxscore.Best(1, 5)
     for at in range(0, 5000, 1000):
         maxscore.search_block(np.arange(at, at + 1000), rows[at : at + 1000], np.array([-1]), q[None], best, np.array([0]))
     want = np.lexsort((np.arange(5000), -(rows @ q)))[:5]
     assert best.ids[0].tolist() == want.tolist()
+    assert best.touched < 0.4 * rows.size
 
 
 # SimHash
