@@ -76,7 +76,7 @@ def test_maxscore_large_components_and_many_dimensions(spark):
     rng = np.random.default_rng(7)
     huge = [(i, [float(x) * 10.0 ** int(rng.integers(0, 7)) for x in rng.normal(size=3)]) for i in range(60)] + [(50, [2_000_000.0, 1.5, -2.0]), (100, [0.0, 1e-9, 1e7])]
     assert found_top(embeddings(spark, huge)) == brute_top(integers(huge))
-    wide = [(i, [float(x) for x in rng.integers(-(2**20), 2**20, 256)]) for i in range(40)] + [(50, [2.0**20] * 256), (51, [2.0**20] * 256), (52, [-(2.0**20)] * 256)]
+    wide = [(i, [float(x) for x in rng.integers(-(2**19), 2**19, 256)]) for i in range(40)] + [(50, [2.0**19] * 256), (51, [2.0**19] * 256), (52, [-(2.0**19)] * 256)]
     assert found_top(embeddings(spark, wide)) == brute_top(integers(wide))
     long_ = [(i, [float(x) for x in rng.normal(size=5000)]) for i in range(51)]
     assert found_top(embeddings(spark, long_)) == brute_top(integers(long_))
