@@ -52,7 +52,8 @@ def place(rows: DataFrame, key: Column, shards: tuple[str, ...] = SHARDS, slots:
     names, owner = sorted(shards), fill(shards, slots)
     spark = rows.sparkSession
     lookup = spark.createDataFrame([(i, names[o]) for i, o in enumerate(owner.tolist())], "slot int, shard string")
-    keyed = rows.drop("shard").withColumn("slot", slot_of(key, slots))
+    kept = [F.col(f"`{c}`") for c in rows.columns if c not in ("slot", "shard")]
+    keyed = rows.select(*kept, slot_of(key, slots).alias("slot"))  # the key may be a column of either name
     return keyed.join(F.broadcast(lookup), "slot", "left")  # at most `slots` short rows
 
 
