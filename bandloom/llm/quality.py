@@ -4,11 +4,12 @@ Two zstandard dictionaries are built, from good and from bad labelled texts. A w
 with each; the difference of the two compressed sizes, normalised by the text's bytes, becomes a calibrated score by a
 logistic fit on labelled rows that the dictionaries have not seen (a quarter of the bounded sample).
 
-Bounds (documented parameters): at most 2 * PER_CLASS labelled texts of up to MAX_CHARS characters are learned from,
-dictionaries hold DICT_BYTES. Scoring covers every byte of every text.
+Bounds (documented parameters): at most 2 * PER_CLASS labelled texts of up to MAX_CHARS characters, and common.TOTAL_CHARS in
+all, are learned from, dictionaries hold DICT_BYTES. Scoring covers every byte of every text.
 
 Defined results: null and empty texts have difference zero and no length, and get that point's calibrated score;
-without labels of both classes the score is the share of label 1 (0.5 without labels). Repeated rows give repeated
+without labels of both classes the score is the share of label 1 (0.5 without labels); a class
+whose texts are all empty has an empty dictionary. Scores lie in [0, 1]. Repeated rows give repeated
 rows; null ids pass through; other columns are not read.
 """
 
@@ -51,7 +52,7 @@ def dictionary(texts: list[str]) -> bytes:
 class QualityModel:
     good: bytes
     bad: bytes
-    beta: np.ndarray
+    beta: np.ndarray  # a single value: the score of every text
 
     def __post_init__(self):
         self._coders = None
@@ -64,9 +65,13 @@ class QualityModel:
         if self._coders is None:
             kinds = []
             for raw in (self.good, self.bad):
-                d = zstandard.ZstdCompressionDict(raw)
-                d.precompute_compress(level=LEVEL)
-                kinds.append(zstandard.ZstdCompressor(dict_data=d, write_content_size=False, write_dict_id=False, write_checksum=False))
+                plain = {"write_content_size": False, "write_dict_id": False, "write_checksum": False}
+                if raw:
+                    d = zstandard.ZstdCompressionDict(raw)
+                    d.precompute_compress(level=LEVEL)
+                    kinds.append(zstandard.ZstdCompressor(dict_data=d, **plain))
+                else:
+                    kinds.append(zstandard.ZstdCompressor(level=LEVEL, **plain))
             self._coders = kinds
         good, bad = self._coders
         total = diff = 0
@@ -77,8 +82,8 @@ class QualityModel:
         return np.array([x, np.clip(x, -0.05, 0.05)])
 
     def score(self, text: str | None) -> float:
-        if not self.good:
-            return float(self.beta[-1])
+        if len(self.beta) == 1:
+            return float(self.beta[0])
         return float(sigmoid(self.features(text) @ self.beta[:-1] + self.beta[-1]))
 
 
