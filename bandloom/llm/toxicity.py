@@ -1,8 +1,8 @@
 """Toxicity: a linear classifier on character n-grams whose features are scaled by naive Bayes log-count ratios.
 
 Features are presences of n-grams of 4 to 6 characters in the lower-cased text, with runs of white space as one space.
-Training takes at most 2 * PER_CLASS labelled texts of up to MAX_CHARS characters (documented bounds; scoring has
-none). From their document counts each feature gets the log ratio of its smoothed class frequencies; the features with
+Training takes at most 2 * PER_CLASS labelled texts of up to MAX_CHARS characters, and common.TOTAL_CHARS in all (documented
+bounds; scoring has none). From their document counts each feature gets the log ratio of its smoothed class frequencies; the features with
 the largest likelihood-ratio statistic are kept by exact 64-bit hash, scaled by their ratio, and weighed by L2-
 regularised logistic regression.
 
@@ -43,7 +43,7 @@ def normal(text: str | None) -> str:
 class ToxicModel:
     features: np.ndarray  # sorted 64-bit hashes
     weights: np.ndarray
-    bias: float
+    bias: float | None  # None: nothing was learned
 
     def __post_init__(self):
         self.near = np.zeros(1 << BITS, bool)
@@ -62,6 +62,8 @@ class ToxicModel:
         return at[self.features[at] == h]
 
     def score(self, text: str | None) -> float:
+        if self.bias is None:
+            return 0.0
         return float(sigmoid(self.weights[self.present(text)].sum() + self.bias))
 
 
@@ -79,19 +81,19 @@ def likelihood(a: np.ndarray, b: np.ndarray, na: int, nb: int) -> np.ndarray:
 def train(texts: list[str], y: np.ndarray, counts: dict) -> ToxicModel:
     """counts: rows of each class among all that may be learned from; sets the intercept's prior."""
     if not (y == 1).any() or not (y == 0).any():
-        return ToxicModel(np.zeros(0, np.uint64), np.zeros(0), -40.0)
+        return ToxicModel(np.zeros(0, np.uint64), np.zeros(0), None)
     n1, n0 = int((y == 1).sum()), int((y == 0).sum())
     # First pass: document counts by 22-bit bucket, to tell which n-grams are worth keeping by their whole hash.
     df = np.zeros((2, 1 << 22), np.int32)
     for t, label in zip(texts, y, strict=True):
         df[label, np.unique(hashed(normal(t), ORDERS) >> np.uint64(42)).astype(np.int64)] += 1
     least = max(3, round(0.004 * n1))
-    gain = likelihood(df[1].astype(float), df[0].astype(float), n1, n0)
-    rising = (df[1] / n1 > df[0] / n0) & (df[1] >= least)
-    gain[~rising & (df[0] < max(8, 0.01 * n0))] = 0
-    good = np.sort(np.argsort(-gain, kind="stable")[: 2 * FEATURES])
+    often = np.flatnonzero((df[1] >= least) & (df[1] * n0 > df[0].astype(np.int64) * n1) | (df[0] >= max(8, 0.01 * n0)))
+    gain = likelihood(df[1, often].astype(float), df[0, often].astype(float), n1, n0)
+    good = np.argsort(-gain, kind="stable")[: 2 * FEATURES]
     keep = np.zeros(1 << 22, bool)
-    keep[good[gain[good] > 16.0]] = True
+    keep[often[good[gain[good] > 16.0]]] = True
+    del df
     rows = [h[keep[(h >> np.uint64(42)).astype(np.int64)]] for h in (np.unique(hashed(normal(t), ORDERS)) for t in texts)]
     every, at = np.unique(np.concatenate(rows), return_inverse=True)
     doc = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
