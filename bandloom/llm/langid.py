@@ -4,9 +4,11 @@ Each learned language has a codeword of bits. One binary classifier per bit, lin
 frequencies (orders 1 to 3) of the lower-cased letters, predicts that bit; decoding weighs each bit's logistic loss by
 how well its classifier did on the sample and chooses the codeword with the least loss. Up to seven languages get the
 exhaustive code (2^(k-1) - 1 bits, every pair differs in about half), more get seeded random codewords of
-15 * log2(k) bits. A prediction is flagged ambiguous when the best two losses are close.
+15 * log2(k) bits, the draw whose nearest codewords are farthest apart. A prediction is flagged ambiguous when the best two losses are close.
 
-Bounds (documented): at most about PER_LANG texts of up to MAX_CHARS characters are learned from per language.
+Bounds (documented): at most about PER_LANG texts of up to MAX_CHARS characters are learned from per language, and
+common.TOTAL_CHARS characters in all, in the order of a hash, so that many languages share them evenly. Any number of
+languages is learned; memory grows with the code's bits, not with the languages.
 Prediction covers whole texts. Defined results: null text or text without a letter is `und` with score 0.0 (and not
 ambiguous); no learned language at all means `und` everywhere; one learned language is always predicted. Repeated
 rows give repeated rows; null ids pass through; other columns are not read.
@@ -23,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bandloom.llm.common import bounded_per_class, fit_logistic, held_out, learnable
+from bandloom.llm.common import TOTAL_CHARS, bounded_per_class, bounded_rows, fit_logistic, held_out, learnable
 from bandloom.llm.ngrams import code_points, pieces
 from bandloom.runtime import ship
 
@@ -67,24 +69,39 @@ def grams(text: str) -> tuple[np.ndarray, bool]:
 
 
 def codewords(k: int, seed: int = 5) -> np.ndarray:
-    """k rows of bits; columns are distinct, not constant, and not each other's complement."""
+    """k distinct rows of bits; columns are distinct, not constant, and not each other's complement."""
     if k <= 1:
         return np.zeros((k, 1), np.int8)
     if k <= 7:
         cols = [[1, *((c >> i) & 1 for i in range(k - 1))] for c in range(2 ** (k - 1) - 1)]
         return np.array(cols, np.int8).T
     rng, length = np.random.default_rng(seed), int(np.ceil(15 * np.log2(k)))
-    best, apart = None, -1
-    for _ in range(200):
-        code = rng.integers(0, 2, (k, length), dtype=np.int8)
-        if code.min(0).max() or not code.max(0).min():
-            continue
-        d = min((code[i] != code[i + 1 :]).sum(1).min() for i in range(k - 1))
+    best, apart = None, 0
+    for _ in range(200 if k <= 100 else 10):
+        columns: dict[bytes, np.ndarray] = {}
+        while len(columns) < length:
+            column = rng.integers(0, 2, k, dtype=np.int8)
+            if 0 < column.sum() < k:
+                columns[(column ^ column[0]).tobytes()] = column  # a column and its complement have one name
+        code = np.stack(list(columns.values()), 1)
+        d = min(int((code[i] != code[i + 1 :]).sum(1).min()) for i in range(k - 1)) if k <= 100 else nearest(code)
         if d > apart:
             best, apart = code, d
+    if best is None:
+        raise RuntimeError("no draw has distinct codewords")  # k times k chances of 2^-length each
     return best
 
 
+def nearest(code: np.ndarray) -> int:
+    """Least Hamming distance of two rows, by blocks of inner products."""
+    signs, least = 2 * code.astype(np.float32) - 1, code.shape[1]
+    for at in range(0, len(signs), 512):
+        d = (code.shape[1] - signs[at : at + 512] @ signs.T) / 2
+        d[np.arange(len(d)), at + np.arange(len(d))] = least
+        least = min(least, int(d.min()))
+    return least
+
+
 @dataclass
 class LangModel:
     langs: list[str]
@@ -122,20 +139,28 @@ def train(texts: list[str], langs: list[str]) -> LangModel:
     if len(known) <= 1:
         one = np.zeros((1 << BITS, 1), np.float32)
         return LangModel(known, code, one, np.ones(1), np.zeros(1), np.ones(1))
-    at = np.array([known.index(x) for x in langs])
-    bags = [grams(t.lower())[0] for t in texts]
-    by_lang = np.zeros((len(known), 1 << BITS))
-    for b, k in zip(bags, at, strict=True):
-        by_lang[k] += np.bincount(b, minlength=1 << BITS) / max(len(b), 1)
-    by_lang /= np.maximum(by_lang.sum(1, keepdims=True), 1e-12)
+    number = {x: i for i, x in enumerate(known)}
+    at = np.array([number[x] for x in langs])
+    # Mean n-gram shares of the languages on each side of every bit, one language at a time; texts are cut up twice, not kept.
+    sums = np.zeros((2, code.shape[1], 1 << BITS))
+    for k, word in enumerate(code):
+        own = np.zeros(1 << BITS)
+        for i in np.flatnonzero(at == k):
+            b = grams(texts[i].lower())[0]
+            own += np.bincount(b, minlength=1 << BITS) / max(len(b), 1)
+        own /= max(own.sum(), 1e-12)
+        for side in (0, 1):
+            sums[side, word == side] += own
     floor = 1e-6
-    cols = []
-    for bit in code.T:
-        one, zero = by_lang[bit == 1].mean(0), by_lang[bit == 0].mean(0)
-        cols.append(np.log(one + floor) - np.log(zero + floor))
-    table = np.stack(cols, 1).astype(np.float32)
-    full = np.array([len(b) > 0 for b in bags])
-    x = np.array([table[b].mean(0) for b in bags if len(b)])
+    ones = code.sum(0, dtype=np.int64)[:, None]
+    table = np.ascontiguousarray((np.log(sums[1] / ones + floor) - np.log(sums[0] / (len(known) - ones) + floor)).T.astype(np.float32))
+    del sums
+    bags = (grams(t.lower())[0] for t in texts)
+    means = [table[b].mean(0) if len(b) else None for b in bags]
+    full = np.array([m is not None for m in means])
+    if not full.any():  # not a letter in any text: nothing tells the languages apart
+        return LangModel(known, code, table, np.ones(code.shape[1]), np.zeros(code.shape[1]), np.ones(code.shape[1]))
+    x = np.array([m for m in means if m is not None])
     scale, shift, trust = [], [], []
     for j, bit in enumerate(code.T):
         y = bit[at[full]].astype(float)
@@ -150,8 +175,8 @@ def train(texts: list[str], langs: list[str]) -> LangModel:
 def fit(docs: DataFrame, per_lang: int = PER_LANG, max_chars: int = MAX_CHARS) -> LangModel:
     usable = docs.where(F.col("text").isNotNull() & F.col("lang").isNotNull() & learnable(F.col("doc_id"), FOLDS, HELD))
     usable = usable.where(F.length("text") <= max_chars).select("doc_id", "text", "lang")
-    rows = bounded_per_class(usable, "doc_id", "lang", per_lang).groupBy(F.xxhash64("text", "lang").alias("h")).agg(F.first("text").alias("text"), F.first("lang").alias("lang")).collect()
-    rows.sort(key=lambda r: r["h"])
+    some = bounded_per_class(usable, "doc_id", "lang", per_lang).groupBy(F.xxhash64("text", "lang").alias("h")).agg(F.first("text").alias("text"), F.first("lang").alias("lang"))
+    rows = bounded_rows(some, "text", "h", TOTAL_CHARS)
     return train([r["text"] for r in rows], [r["lang"] for r in rows])
 
 
