@@ -399,10 +399,155 @@ def test_no_learning_from_held_out_rows_or_labels_of_other_columns(spark):
 
 
 def test_codewords_are_apart():
-    for k in (2, 3, 4, 7, 12, 40):
+    for k in (2, 3, 4, 7, 8, 12, 40, 300):
         code = langid.codewords(k)
         assert len(code) == k
         assert min((code[i] != code[j]).sum() for i in range(k) for j in range(i)) >= (1 if k == 2 else 2 ** (k - 2) if k <= 7 else 15)
+        columns = {(c ^ c[0]).tobytes() for c in code.T}
+        assert len(columns) == code.shape[1] and all(0 < c.sum() < k for c in code.T) or k == 2
+    assert langid.nearest(langid.codewords(30)) == min((langid.codewords(30)[i] != langid.codewords(30)[j]).sum() for i in range(30) for j in range(i))
+
+
+def test_many_languages(spark):
+    words = [f"{chr(97 + k % 26)}{chr(97 + k // 26 % 26)}{chr(97 + k // 7 % 26)}qo" for k in range(600)]
+    rows = [(4 * (600 * j + k), f"{w} {w}{j}a {w}", f"l{k:03d}") for k, w in enumerate(words) for j in range(3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = langid.fit(docs)
+    assert len(model.langs) > 400 and model.table.shape == (1 << langid.BITS, model.code.shape[1])
+    got = [model.predict(f"{w} {w}")[0] for w in words[:50]]
+    assert np.mean([g == f"l{k:03d}" for k, g in enumerate(got) if f"l{k:03d}" in model.langs]) > 0.8
+    one = langid.language_id(docs.withColumn("lang", F.lit("xx")))
+    assert one.where("lang_pred <> 'xx' or score < 0 or score > 1").count() == 0
+    silent = langid.language_id(docs.withColumn("text", F.lit("12 34")))
+    assert silent.where("lang_pred <> 'und' or score <> 0").count() == 0
+
+
+def test_bounded_sample(spark):
+    from bandloom.llm import common
+
+    rows = spark.range(3000).select(F.col("id").alias("doc_id"), (F.col("id") % 300 % 7).alias("y"), F.lit(1).alias("_n"))
+    got = common.bounded_per_class(rows, "doc_id", "y", 100)
+    assert got.columns == rows.columns
+    for r in got.groupBy("y").count().collect():
+        assert 60 < r["count"] < 150
+    before = {tuple(r) for r in got.collect()}
+    common.SMALL, small = 0, common.SMALL  # the way without a broadcast
+    try:
+        assert {tuple(r) for r in common.bounded_per_class(rows, "doc_id", "y", 100).collect()} == before
+    finally:
+        common.SMALL = small
+    texts = spark.createDataFrame([(i, "x" * 100) for i in range(50)], "h long, text string")
+    assert [r.h for r in common.bounded_rows(texts, "text", "h", 1000)] == list(range(10))
+    assert len(common.bounded_rows(texts, "text", "h", 10)) == 1
+
+
+def ids_of_fold(folds, held, n, inside=False):
+    import zlib
+
+    return [i for i in range(5000) if (zlib.crc32(str(i).encode()) % folds == held) == inside][:n]
+
+
+@pytest.mark.parametrize("case", ["ones", "zeros", "empty ones", "empty zeros", "all empty", "null", "contradictory"])
+def test_scores_stay_probabilities(spark, case):
+    rng = np.random.default_rng(5)
+    ids = ids_of_fold(12, 10, 60)
+
+    def text(i, y):
+        if case == "all empty" or case == "empty ones" and y or case == "empty zeros" and not y:
+            return ""
+        return None if case == "null" else " ".join(rng.choice(["fine", "good", "useful"] if y else ["spam", "click", "win"], 30)) + str(i)
+
+    mark = {i: 1 if case == "ones" else 0 if case == "zeros" else k % 2 for k, i in enumerate(ids)}
+    docs = spark.createDataFrame([(i, text(i, y), "aa") for i, y in mark.items()] + [(None, "x", None), (9999, "", None)], "doc_id long, text string, lang string")
+    marks = [(i, y, y) for i, y in mark.items()] + ([(i, 1 - y, 1 - y) for i, y in mark.items()] if case == "contradictory" else [(i, y, y) for i, y in mark.items()])
+    labels = spark.createDataFrame([*marks, (None, 1, 1), (ids[0], None, None), (ids[0], 7, 7)], "doc_id long, quality int, toxic int")
+    for got in (quality.quality(docs, labels), toxicity.toxicity(docs, labels), langid.language_id(docs)):
+        assert got.count() == 62 and got.where("score between 0 and 1").count() == 62
+    if case == "zeros":
+        assert toxicity.toxicity(docs, labels).where("score <> 0").count() == 0
+    if case == "ones":
+        assert quality.quality(docs, labels).where("score <> 1").count() == 0
+
+
+def slow_ngrams(text, orders):
+    """Hashes of the distinct character n-grams, one character at a time."""
+    out, top = set(), 2**64
+    for n in orders:
+        for i in range(len(text) - n + 1):
+            h = 0
+            for k, c in enumerate(text[i : i + n]):
+                h = (h * 0xD6E8FEB86659FD93 + ord(c) + k + 1) % top
+            out.add(h * 0x9E3779B97F4A7C15 % top)
+    return out
+
+
+def logistic(z):
+    return 1 / (1 + np.exp(-np.clip(z, -40, 40)))
+
+
+def test_toxicity_equals_plain_python(spark, docs, sf):
+    labels = table(spark, sf, "labels")
+    model = toxicity.fit(docs, labels)
+    weight = dict(zip(model.features.tolist(), model.weights.tolist(), strict=True))
+    got = {r.doc_id: r for r in toxicity.toxicity(docs, labels).collect()}
+    rows = sorted(docs.collect(), key=lambda r: len(r.text or ""))[:120]
+    for r in rows:
+        line = " " + " ".join((r.text or "").lower().split()) + " " if r.text else ""
+        want = logistic(sum(weight.get(h, 0.0) for h in slow_ngrams(line, (4, 5, 6))) + model.bias)
+        assert got[r.doc_id].score == pytest.approx(want, abs=1e-9) and got[r.doc_id].predicted == int(want >= 0.7)
+
+
+def test_quality_equals_plain_python(spark, docs, sf):
+    import zstandard
+
+    labels = table(spark, sf, "labels")
+    model = quality.fit(docs, labels)
+    got = {r.doc_id: r.score for r in quality.quality(docs, labels).collect()}
+
+    def size(raw, data):
+        c = zstandard.ZstdCompressor(level=3, dict_data=zstandard.ZstdCompressionDict(raw), write_content_size=False, write_dict_id=False, write_checksum=False)
+        return len(c.compress(data))
+
+    for r in docs.orderBy("doc_id").limit(40).collect():
+        raw = (r.text or "").encode()
+        parts = [raw[i : i + 2048] for i in range(0, len(raw), 2048)]
+        x = sum(size(model.bad, p) - size(model.good, p) for p in parts) / max(len(raw), 1)
+        want = logistic(x * model.beta[0] + min(max(x, -0.05), 0.05) * model.beta[1] + model.beta[2])
+        assert got[r.doc_id] == pytest.approx(want, abs=1e-2)
+
+
+def test_language_equals_plain_python(spark, docs):
+    import math
+    import unicodedata
+
+    model = langid.fit(docs)
+    got = {r.doc_id: r for r in langid.language_id(docs).collect()}
+    rows = [r for r in docs.collect() if len(r.text or "") < 2000][:60]
+    for r in rows:
+        line, gap = [], False
+        for c in (r.text or "").lower():
+            if unicodedata.category(c)[0] == "L":
+                line.append(ord(c))
+                gap = True
+            elif gap or not line:
+                line.append(32)
+                gap = False
+        total, n = np.zeros(model.table.shape[1]), 0
+        for size in (1, 2, 3):
+            for i in range(len(line) - size + 1):
+                h = 0
+                for k, c in enumerate(line[i : i + size]):
+                    h = (h * 0x01000193 + c + k + 1) % 2**32
+                total += model.table[h * 0x9E3779B1 % 2**32 >> 17]
+                n += 1
+        if not any(c != 32 for c in line):
+            assert got[r.doc_id].lang_pred == "und"
+            continue
+        logits = model.scale * total / n + model.shift
+        losses = [sum(t * math.log1p(math.exp(-(2 * b - 1) * z)) for t, b, z in zip(model.trust, word, logits, strict=True)) for word in model.code.tolist()]
+        best = min(range(len(losses)), key=losses.__getitem__)
+        assert got[r.doc_id].lang_pred == model.langs[best]
+        assert got[r.doc_id].score == pytest.approx(1 / sum(math.exp(losses[best] - x) for x in losses), abs=1e-4)
 
 
 def test_pieces_lose_no_ngram():
@@ -524,5 +669,9 @@ def test_placement(spark, odd_docs, no_docs, docs):
     a, b = maglev.place(docs, F.col("doc_id")), maglev.place(docs, F.col("doc_id"), maglev.SHARDS[:-1])
     m = maglev.moved(a, b, "doc_id").first()
     assert m.n_moved < 0.3 * m.n_rows
+    named = odd_docs.select(F.coalesce("text", F.lit("")).alias("shard"), F.col("doc_id").alias("slot"), "score")
+    for key in ("shard", "slot"):
+        placed = maglev.place(named, F.col(key))
+        assert placed.count() == 13 and set(placed.columns) == {"score", "slot", "shard"} and placed.where("shard not like 'shard-__'").count() == 0
     table_ = maglev.fill(maglev.SHARDS)
     assert all(r.shard == sorted(maglev.SHARDS)[table_[r.slot]] for r in a.collect())
