@@ -3,16 +3,19 @@
 Records are dealt to shards by ranges of (page_id, payload hash) whose bounds come from a hash-chosen sample of keys, so
 they do not depend on how the input is partitioned; inside a shard they are sorted, and a shard rolls to a new file when
 the compressed size reaches ROLL_BYTES. Every record is a gzip member of its own with regenerated headers and digests.
-Files are written under temporary names and renamed when complete; each task returns the lines of the manifest, which is
-written last and is the only list that readers follow. A retried task writes the same bytes to the same name.
+Files start with a warcinfo record, are written under temporary names and renamed when complete; each task returns the
+lines of the manifest, which is written last and is the only list that readers follow. A retried task has the same bytes for
+the same name: a finished file of that size stays, any other is replaced. Temporaries of lost tasks are removed at the end.
 
 Of records with equal payloads of at least MIN_DUPLICATE bytes, that with the largest page_id is a response and the
-others are revisit records that refer to it. Payloads cross one shuffle; the decisions are made on (page_id, digest,
-size) rows, and join the payloads in the writer as marker rows that sort before their records.
+others are revisit records that refer to it, by its record id, target URI and date (and by page id, in a field of ours).
+Payloads cross one shuffle; the decisions are made on (page_id, digest, size, url) rows, and join the payloads in the writer
+as marker rows that sort before their records; a digest that very many pages share is one side's hot key, which adaptive
+execution splits.
 
 Defined results: null html is an empty payload; a null page_id sorts first, is written without that header and is a
 response unless its payload has a response with an id; rows that repeat the chosen page_id and payload are all
-responses; ties are sorted by URL; an empty table writes an empty manifest; other columns are not read.
+responses, and revisits name the one with the least URL; ties are sorted by URL; an empty table writes an empty manifest; other columns are not read.
 """
 
 from __future__ import annotations
@@ -52,9 +55,21 @@ def record_id(page_id: int | None, digest: str, url: str) -> str:
     return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'{page_id} {digest} {url}')}>"
 
 
-def record(page_id: int | None, url: str | None, payload: bytes, refers_to: int | None, date: str = DATE) -> bytes:
-    """One record's bytes, not yet compressed; refers_to makes it a revisit."""
-    digest, target = sha1_base32(payload), quote(url or "", safe=":/?#[]@!$&'()*+,;=%-._~")
+def target_of(url: str | None) -> str:
+    return quote(url or "", safe=":/?#[]@!$&'()*+,;=%-._~")
+
+
+def info_record(name: str, date: str = DATE) -> bytes:
+    """The warcinfo record at the head of a file."""
+    block = b"software: bandloom\r\nformat: WARC File Format 1.1\r\n"
+    lines = ["WARC/1.1", "WARC-Type: warcinfo", f"WARC-Record-ID: {record_id(None, sha1_base32(block), name)}", f"WARC-Date: {date}", f"WARC-Filename: {name}"]
+    lines += [f"WARC-Block-Digest: sha1:{sha1_base32(block)}", "Content-Type: application/warc-fields", f"Content-Length: {len(block)}"]
+    return "\r\n".join(lines).encode() + b"\r\n\r\n" + block + b"\r\n\r\n"
+
+
+def record(page_id: int | None, url: str | None, payload: bytes, refers_to: int | None, date: str = DATE, refers_url: str | None = None) -> bytes:
+    """One record's bytes, not yet compressed; refers_to (a page and its url) makes it a revisit."""
+    digest, target = sha1_base32(payload), target_of(url)
     head = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
     block = head if refers_to is not None else head + payload
     kind = "response" if refers_to is None else "revisit"
@@ -62,7 +77,9 @@ def record(page_id: int | None, url: str | None, payload: bytes, refers_to: int
     if page_id is not None:
         lines.append(f"Page-ID: {page_id}")
     if refers_to is not None:
-        lines += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"Refers-To-Page-ID: {refers_to}"]
+        first = target_of(refers_url)
+        lines += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {record_id(refers_to, digest, first)}"]
+        lines += [f"WARC-Refers-To-Target-URI: {first}", f"WARC-Refers-To-Date: {date}", f"Refers-To-Page-ID: {refers_to}"]
     lines += [f"Payload-Length: {len(payload)}", f"WARC-Payload-Digest: sha1:{digest}", f"WARC-Block-Digest: sha1:{sha1_base32(block)}"]
     lines += ["Content-Type: application/http; msgtype=response", f"Content-Length: {len(block)}"]
     return "\r\n".join(lines).encode() + b"\r\n\r\n" + block + b"\r\n\r\n"
@@ -96,12 +113,18 @@ def store(folder: str) -> tuple[pyarrow.fs.FileSystem, str]:
 class ShardWriter:
     """Rolls the files of one shard; complete files get their names, unfinished ones never do."""
 
-    def __init__(self, folder: str, shard: int, roll: int):
+    def __init__(self, folder: str, shard: int, roll: int, date: str = DATE):
         self.fs, self.path = store(folder)
-        self.shard, self.roll, self.seq, self.lines = shard, roll, 0, []
+        self.shard, self.roll, self.seq, self.lines, self.date = shard, roll, 0, [], date
         self.buffer, self.size, self.n = [], 0, 0
 
+    @property
+    def name(self) -> str:
+        return f"shard-{self.shard:05d}-{self.seq:05d}.warc.gz"
+
     def add(self, data: bytes) -> None:
+        if not self.n:
+            self.buffer.append(gzip_member(info_record(self.name, self.date)))
         member = gzip_member(data)
         self.buffer.append(member)
         self.size += len(member)
@@ -112,21 +135,28 @@ class ShardWriter:
     def close(self) -> None:
         if not self.n:
             return
-        name = f"shard-{self.shard:05d}-{self.seq:05d}.warc.gz"
-        temporary = f"{self.path}/.{name}.{uuid.uuid4().hex}"
-        raw = b"".join(self.buffer)
+        name, raw = self.name, b"".join(self.buffer)
+        temporary, final = f"{self.path}/.{name}.{uuid.uuid4().hex}", f"{self.path}/{name}"
         with self.fs.open_output_stream(temporary, compression=None) as f:
             f.write(raw)
-        self.fs.move(temporary, f"{self.path}/{name}")
+        there = self.fs.get_file_info(final)
+        if there.type == pyarrow.fs.FileType.File and there.size == len(raw):
+            self.fs.delete_file(temporary)  # an earlier attempt of this task got here
+        else:
+            if there.type == pyarrow.fs.FileType.File:
+                self.fs.delete_file(final)
+            self.fs.move(temporary, final)
         self.lines.append((self.shard, name, self.n, len(raw), hashlib.sha256(raw).hexdigest()))
         self.seq += 1
         self.buffer, self.size, self.n = [], 0, 0
 
 
 def revisits(keys: DataFrame, least: int) -> DataFrame:
-    """digest and response: the page that represents each payload that occurs more than once."""
-    groups = keys.where(F.col("n_bytes") >= least).groupBy("digest").agg(F.max("page_id").alias("response"), F.count("*").alias("n"))
-    return groups.where("n > 1 and response is not null")
+    """digest, response and response_url: the page that represents each payload that occurs more than once."""
+    # ~ reverses the order of longs: the largest page, and of its rows the least url.
+    first = F.min(F.when(F.col("page_id").isNotNull(), F.struct(F.bitwise_not("page_id").alias("p"), F.coalesce("url", F.lit("")).alias("u")))).alias("first")
+    groups = keys.where(F.col("n_bytes") >= least).groupBy("digest").agg(first, F.count("*").alias("n")).where("n > 1 and first is not null")
+    return groups.select("digest", F.bitwise_not("first.p").alias("response"), F.col("first.u").alias("response_url"))
 
 
 def write_warc(pages: DataFrame, folder: str, least: int = MIN_DUPLICATE, roll: int = ROLL_BYTES, shard_bytes: int = SHARD_BYTES, date: str = DATE) -> DataFrame:
@@ -135,7 +165,7 @@ def write_warc(pages: DataFrame, folder: str, least: int = MIN_DUPLICATE, roll:
     ship(spark)
     html = F.coalesce("html", F.lit(""))
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", html.alias("html"), F.sha1(html.cast("binary")).alias("digest"), F.octet_length(html).cast("long").alias("n_bytes"))
-    keys = rows.select("page_id", "digest", "n_bytes")
+    keys = rows.select("page_id", "digest", "n_bytes", "url")
     order = F.coalesce("page_id", F.lit(NULL_ID))
     total, n_rows = keys.agg(F.coalesce(F.sum("n_bytes"), F.lit(0)), F.count("*")).first()
     n_shards = max(1, -(-total // shard_bytes), min(64, n_rows // SMALL_SHARD_ROWS))
@@ -160,23 +190,23 @@ def write_warc(pages: DataFrame, folder: str, least: int = MIN_DUPLICATE, roll:
     def dealt(df: DataFrame) -> DataFrame:
         return df.withColumn("shard", shard_of(order, F.xxhash64("digest")))
 
-    markers = keys.join(revisits(keys, least), "digest").where(~F.col("page_id").eqNullSafe(F.col("response"))).select("page_id", "digest", "response").distinct()
+    markers = keys.join(revisits(keys, least), "digest").where(~F.col("page_id").eqNullSafe(F.col("response"))).select("page_id", "digest", "response", "response_url").distinct()
     both = dealt(rows.select("page_id", "url", "html", "digest", F.lit(None).cast("long").alias("response"))).unionByName(
-        dealt(markers.select("page_id", F.lit(None).cast("string").alias("url"), F.lit(None).cast("string").alias("html"), "digest", "response"))
+        dealt(markers.select("page_id", F.col("response_url").alias("url"), F.lit(None).cast("string").alias("html"), "digest", "response"))
     )
     sorted_rows = both.repartitionById(n_shards, F.col("shard")).sortWithinPartitions("shard", "page_id", "digest", F.col("html").isNotNull(), "url")
 
     def run(it):
         rows = ((r["shard"], r["page_id"], r["url"], r["html"], r["digest"], r["response"]) for b in it for s in range(0, b.num_rows, 256) for r in b.slice(s, 256).to_pylist())
         for shard, own in itertools.groupby(rows, key=lambda r: r[0]):
-            out, key, response = ShardWriter(folder, shard, roll), None, None
+            out, key, response, its_url = ShardWriter(folder, shard, roll, date), None, None, None
             for _, page_id, url, text, digest, marked in own:
                 if key != (page_id, digest):
                     key, response = (page_id, digest), None
                 if text is None:
-                    response = marked
+                    response, its_url = marked, url
                     continue
-                out.add(record(page_id, url, text.encode(), response, date))
+                out.add(record(page_id, url, text.encode(), response, date, its_url))
             out.close()
             cols = list(zip(*out.lines, strict=True)) or [[]] * 5
             kinds = [pa.int32(), pa.string(), pa.int64(), pa.int64(), pa.string()]
@@ -185,6 +215,9 @@ def write_warc(pages: DataFrame, folder: str, least: int = MIN_DUPLICATE, roll:
     fs, path = store(folder)
     fs.create_dir(path, recursive=True)
     sorted_rows.mapInArrow(run, MANIFEST).write.parquet(f"{folder}/manifest")
+    for f in fs.get_file_info(pyarrow.fs.FileSelector(path)):
+        if f.base_name.startswith(".shard-"):
+            fs.delete_file(f.path)
     return spark.read.schema(MANIFEST).parquet(f"{folder}/manifest")
 
 
@@ -203,6 +236,8 @@ def read_warc(manifest: DataFrame, folder: str) -> DataFrame:
                     raise ValueError(f"{name} differs from its manifest line")
                 out = []
                 for h, block in read_records(raw):
+                    if h["WARC-Type"] == "warcinfo":
+                        continue
                     payload = block.partition(b"\r\n\r\n")[2]
                     digest = h["WARC-Payload-Digest"].removeprefix("sha1:")
                     if h["WARC-Type"] == "response" and (sha1_base32(payload) != digest or len(payload) != int(h["Payload-Length"])):
@@ -210,7 +245,7 @@ def read_warc(manifest: DataFrame, folder: str) -> DataFrame:
                     number = lambda k, h=h: int(h[k]) if k in h else None
                     out.append((number("Page-ID"), int(h["Payload-Length"]), digest, h["WARC-Type"], number("Refers-To-Page-ID"), h["WARC-Target-URI"], name))
                 kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.string()]
-                cols = list(zip(*out, strict=True))
+                cols = list(zip(*out, strict=True)) or [[]] * len(kinds)
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url", "file"])
 
     files = manifest.select("file", "sha256")

@@ -683,6 +683,33 @@ def test_warc_is_deterministic_and_exact(spark, sf, tmp_path):
     assert keep.agg(F.sum("n_records")).first()[0] == len(rows)
 
 
+def test_warc_headers_and_retries(spark, tmp_path):
+    rows = [(1, "http://a/1", "same"), (9, "http://z/9", "same"), (9, "http://b/9 ä", "same"), (4, "http://c/4", "other")]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    folder = f"file://{tmp_path}/w"
+    warc.write_warc(df, folder)
+    found = []
+    for f in (tmp_path / "w").glob("*.warc.gz"):
+        records = list(warc.read_records(f.read_bytes()))
+        assert records[0][0]["WARC-Type"] == "warcinfo" and records[0][0]["WARC-Filename"] == f.name
+        found += [h for h, _ in records[1:]]
+    ids = {h["WARC-Record-ID"]: h for h in found}
+    assert len(ids) == len(found) == 4
+    (revisit,) = [h for h in found if h["WARC-Type"] == "revisit"]
+    first = ids[revisit["WARC-Refers-To"]]
+    assert first["WARC-Type"] == "response" and first["Page-ID"] == "9" == revisit["Refers-To-Page-ID"]
+    assert revisit["WARC-Refers-To-Target-URI"] == first["WARC-Target-URI"] == "http://b/9%20%C3%A4" and revisit["WARC-Refers-To-Date"] == first["WARC-Date"]
+    (tmp_path / "r").mkdir()
+    for before in (None, b"same size or not", None):  # a first attempt, a broken file under the name, a finished one
+        if before:
+            (tmp_path / "r" / "shard-00000-00000.warc.gz").write_bytes(before)
+        out = warc.ShardWriter(f"file://{tmp_path}/r", 0, 1 << 20)
+        out.add(warc.record(1, "http://a", b"x", None))
+        out.close()
+        assert hashlib.sha256((tmp_path / "r" / out.lines[0][1]).read_bytes()).hexdigest() == out.lines[0][4]
+    assert len(list((tmp_path / "r").iterdir())) == 1
+
+
 def test_warc_reader_notices_damage():
     raw = warc.gzip_member(warc.record(1, "http://a", b"body", None))
     ((head, block),) = warc.read_records(raw)
