@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 PACKAGE = Path(__file__).resolve().parent
 _shipped: set[str] = set()
 _own_dirs: list[str] = []
+_scratch: list[str] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -38,10 +39,12 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of ours where it is unset (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or one of ours where it is unset and all is one machine."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if found:
         return found.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not _own_dirs:
         _own_dirs.append(tempfile.mkdtemp(prefix="bandloom-shared-"))
         atexit.register(shutil.rmtree, _own_dirs[0], True)
@@ -50,13 +53,29 @@ def shared_dir(spark: SparkSession) -> str:
 
 def scratch(spark: SparkSession, label: str) -> str:
     """A fresh path under the shared folder."""
-    return f"{shared_dir(spark)}/bandloom-{label}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/bandloom-{label}-{uuid.uuid4().hex}"
+    _scratch.append(path)
+    return path
+
+
+def scratch_paths() -> list[str]:
+    """Paths handed out and not deleted yet, oldest first."""
+    return list(_scratch)
+
+
+def clean(spark: SparkSession, keep: list[str] = ()) -> None:
+    """Delete all scratch paths but those to keep: for callers that are done with the frames which read them."""
+    for path in scratch_paths():
+        if path not in keep:
+            delete(spark, path)
 
 
 def delete(spark: SparkSession, path: str) -> None:
     """Remove a scratch path through Hadoop's file system, whatever its scheme."""
     jpath = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     jpath.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(jpath, True)
+    if path in _scratch:
+        _scratch.remove(path)
 
 
 def written(df: DataFrame, label: str) -> tuple[DataFrame, str]:
