@@ -10,8 +10,10 @@ from dataclasses import dataclass
 
 import numpy as np
 
-from bandloom.functions.hashing import U64, reduce32_np, salted_np
+from bandloom.functions.hashing import START, U64, clamp_start_np, coefficients_np, fingerprint_np, reduce32_np, salted_np
+from bandloom.kernel.banding import lookup
 from bandloom.kernel.bands import NoSolution
+from bandloom.plans.planning import rows_for
 
 
 def at(h: np.ndarray, size: int) -> np.ndarray:
@@ -215,7 +217,7 @@ class Xor:
                 self.third = math.ceil(self.third * 1.05)
                 self.m = 3 * self.third
             pos = self._positions(keys)
-            order, core = peel(pos, self.m)
+            order, core = peel(pos, self.m, 2 * self.third if plus else self.m)
             if not len(core) or solve_core:
                 self.z = np.zeros(self.m, U64)
                 b = self._print(keys)
@@ -256,16 +258,23 @@ class Xor:
         return (self.z[p[0]] ^ self.z[p[1]] ^ self.z[p[2]]) == self._print(keys)
 
 
-def peel(pos: np.ndarray, m: int) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
-    """Rounds of (keys, cells that only they use), and the keys left over."""
+def peel(pos: np.ndarray, m: int, early: int) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
+    """Rounds of (keys, cells that only they use), and the keys left over. Cells from `early` on are taken only when no other
+    offers itself, so that most of the empty ones lie there."""
     n = pos.shape[1]
     flat = pos.ravel()
     degree = np.bincount(flat, minlength=m)
     ids = np.zeros(m, np.int64)
     np.bitwise_xor.at(ids, flat, np.tile(np.arange(n), 3))
     alive, rounds = np.ones(n, bool), []
-    single = np.flatnonzero(degree == 1)
-    while len(single):
+    ready, later = np.flatnonzero(degree == 1), np.zeros(0, np.int64)
+    while len(ready) or len(later):
+        later = np.concatenate([later, ready[ready >= early]])
+        single = ready[ready < early]
+        if not len(single):
+            single, later = np.unique(later[degree[later] == 1]), later[:0]
+            if not len(single):
+                break
         keys, first = np.unique(ids[single], return_index=True)
         own = single[first]
         rounds.append((keys, own))
@@ -274,7 +283,7 @@ def peel(pos: np.ndarray, m: int) -> tuple[list[tuple[np.ndarray, np.ndarray]],
         np.subtract.at(degree, touched, 1)
         np.bitwise_xor.at(ids, touched, np.tile(keys, 3))
         touched = np.unique(touched)
-        single = touched[degree[touched] == 1]
+        ready = touched[degree[touched] == 1]
     return rounds, np.flatnonzero(alive)
 
 
@@ -329,12 +338,14 @@ class SortedBand:
     """The earlier batch solver of the same band system: sort by start, explicit pivots, one conditional step per pair.
 
     steps counts pairs looked at, additions those that needed a row addition; redundant rows fail, as they did there.
+    rows holds each row in the order of elimination, as its coefficient bits from `base` on, and its right-hand side.
     """
 
     ok: bool
     steps: int
     additions: int
     pivots: list[int]
+    rows: list[tuple[int, int, int]]
 
     @classmethod
     def solve(cls, start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray) -> SortedBand:
@@ -348,7 +359,7 @@ class SortedBand:
         n = len(s)
         for k in range(n):
             if not rows[k]:
-                return cls(False, steps, additions, pivots)
+                return cls(False, steps, additions, pivots, [])
             low = (rows[k] & -rows[k]).bit_length() - 1
             pivot = base[k] + low
             pivots.append(pivot)
@@ -362,16 +373,44 @@ class SortedBand:
                     rows[j] ^= rows[k] >> -d if d < 0 else rows[k] << d
                     b[j] ^= b[k]
                 j += 1
-        return cls(True, steps, additions, pivots)
+        return cls(True, steps, additions, pivots, list(zip(base, rows, b, strict=True)))
+
+    def solution(self, m: int, r: int) -> np.ndarray:
+        """The r-bit value of each of m rows: pivots from the last eliminated row back, other rows zero."""
+        z = [0] * m
+        for pivot, (base, row, value) in zip(reversed(self.pivots), reversed(self.rows), strict=True):
+            left = row ^ (1 << (pivot - base))
+            while left:
+                low = left & -left
+                value ^= z[base + low.bit_length() - 1]
+                left ^= low
+            z[pivot] = value
+        return np.array(z, U64) & U64((1 << r) - 1)
+
+
+class SortedBandFilter:
+    """A band filter by the earlier solver: a tighter failure rule, and a whole new attempt when a row is redundant."""
+
+    def __init__(self, keys: np.ndarray, r: int = 7, w: int = 64, eps: float = 0.15, seeds: int = 32):
+        self.r, self.w = r, w
+        self.m = rows_for(len(keys), eps, w)
+        for self.seed in range(seeds):
+            got = SortedBand.solve(self._start(keys), coefficients_np(keys, self.seed, w), fingerprint_np(keys, self.seed, r))
+            if got.ok:
+                break
+        else:
+            raise NoSolution("the sorted solver met dependent rows under every seed; give more space")
+        z = got.solution(self.m, r)
+        bits = ((z.reshape(-1, 64, 1) >> np.arange(r, dtype=U64)) & U64(1)).astype(np.uint8)
+        self.words = np.ascontiguousarray(np.packbits(bits, axis=1, bitorder="little").transpose(0, 2, 1)).view("<u8")[..., 0]
+        self.bits = self.m * r
 
+    def _start(self, keys: np.ndarray) -> np.ndarray:
+        return clamp_start_np(salted_np(keys, START, self.seed), self.m - self.w + 1, self.w // 4)
 
-FAMILIES = {
-    "bloom": Bloom,
-    "blocked_bloom": BlockedBloom,
-    "cuckoo": Cuckoo,
-    "quotient": Quotient,
-    "xor": Xor,
-}
+    def contains(self, keys: np.ndarray) -> np.ndarray:
+        got = lookup(self.words[None], np.zeros(len(keys), np.int64), self._start(keys), coefficients_np(keys, self.seed, self.w))
+        return got == fingerprint_np(keys, self.seed, self.r)
 
 
 def build(family: str, keys: np.ndarray, **params):
@@ -389,10 +428,12 @@ def build(family: str, keys: np.ndarray, **params):
         "xor_plus": lambda: Xor(keys, **params, plus=True),
         "xor_coupled": lambda: Xor(keys, **({"expansion": 1.18, "window": 0.05 if len(keys) >= 20_000 else 0.3, "seeds": 96} | params)),
         "sparse_gauss": lambda: Xor(keys, **({"expansion": 1.10} | params), solve_core=True),
+        "band_sorted": lambda: SortedBandFilter(keys, **params),
     }
     if family not in made:
         raise ValueError(f"unknown family {family}; known: {sorted(made)}")
     return made[family]()
 
 
-NAMES = ("bloom", "blocked_bloom", "two_block_bloom", "cuckoo", "cuckoo_sorted", "cuckoo_blocked", "quotient", "xor", "xor_word", "xor_plus", "xor_coupled", "sparse_gauss")
+NAMES = ("bloom", "blocked_bloom", "two_block_bloom", "cuckoo", "cuckoo_sorted", "cuckoo_blocked", "quotient", "xor", "xor_word", "xor_plus", "xor_coupled", "sparse_gauss", "band_sorted")
+SMALL = {"sparse_gauss": 4096, "band_sorted": 8192}  # keys a segment, where building is superlinear or slow

@@ -13,7 +13,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bandloom.baselines import families
-from bandloom.functions.hashing import key_hash, segment_np, segment_of
+from bandloom.functions.hashing import key_hash, key_kinds, segment_np, segment_of
+from bandloom.operators.build import SEGMENTS_PER_TASK
+from bandloom.operators.probe import Names, others
 from bandloom.plans.planning import segments_for
 from bandloom.runtime import ship, written
 
@@ -26,6 +28,22 @@ class SegmentedFilter:
     family: str
     segments: int
     structures: DataFrame
+    kinds: tuple[str, ...] | None = None
+
+
+class Opened:
+    """The structures of a filter in one process, unpickled once, and the segment of each key."""
+
+    def __init__(self, segments: int, payloads: dict[int, bytes]):
+        self.segments, self.held = segments, {s: pickle.loads(p) for s, p in payloads.items()}
+
+    def contains(self, h: np.ndarray) -> np.ndarray:
+        where, got = segment_np(h, self.segments), np.zeros(len(h), bool)
+        order = np.argsort(where, kind="stable")
+        for rows in np.split(order, np.flatnonzero(np.diff(where[order])) + 1):
+            if len(rows) and (made := self.held.get(int(where[rows[0]]))):
+                got[rows] = made.contains(h[rows])
+        return got
 
 
 def build(df: DataFrame, keys: list[str] | str, family: str, segment_keys: int = 1 << 16, n_hint: int | None = None, **params) -> SegmentedFilter:
@@ -34,7 +52,7 @@ def build(df: DataFrame, keys: list[str] | str, family: str, segment_keys: int =
     ship(spark)
     thin = df.select(key_hash(df, keys).alias("key_h")).where("key_h is not null")
     segments = segments_for(thin.count() if n_hint is None else n_hint, segment_keys)
-    tasks = max(1, min(segments, spark.sparkContext.defaultParallelism * 4))
+    tasks = max(1, min(segments, max(-(-segments // SEGMENTS_PER_TASK), spark.sparkContext.defaultParallelism)))
 
     def once(it):
         for batch in it:
@@ -60,7 +78,7 @@ def build(df: DataFrame, keys: list[str] | str, family: str, segment_keys: int =
 
     dealt = thin.withColumn("segment", segment_of(F.col("key_h"), segments)).select("segment", "key_h")
     rows, _ = written(dealt.mapInArrow(once, "segment int, key_h long").repartition(tasks, "segment").mapInArrow(make, STRUCTURES), family)
-    return SegmentedFilter(family, segments, rows)
+    return SegmentedFilter(family, segments, rows, key_kinds(df, keys))
 
 
 def probe(df: DataFrame, flt: SegmentedFilter, keys: list[str] | str, out: str = "maybe", limit: int = BROADCAST_BYTES) -> DataFrame:
@@ -68,31 +86,25 @@ def probe(df: DataFrame, flt: SegmentedFilter, keys: list[str] | str, out: str =
     spark = df.sparkSession
     ship(spark)
     size = flt.structures.agg(F.coalesce(F.sum(F.octet_length("payload")), F.lit(0))).first()[0]
-    names = [c for c in df.columns if c != out]
-    hashed = df.withColumn("_key", key_hash(df, keys))
+    my = Names(df)
+    hashed = df.withColumn(my("key"), key_hash(df, keys, flt.kinds))
     if size <= limit:
-        shared = spark.sparkContext.broadcast({r.segment: bytes(r.payload) for r in flt.structures.select("segment", "payload").collect()})
-        segments = flt.segments
+        shared = spark.sparkContext.broadcast(Opened(flt.segments, {r.segment: bytes(r.payload) for r in flt.structures.select("segment", "payload").collect()}))
 
         @F.pandas_udf("boolean")
         def member(key_h: pd.Series) -> pd.Series:
-            h = key_h.to_numpy()
-            where, got = segment_np(h, segments), np.zeros(len(h), bool)
-            for s, payload in shared.value.items():
-                rows = np.flatnonzero(where == s)
-                if len(rows):
-                    got[rows] = pickle.loads(payload).contains(h[rows])
-            return pd.Series(got)
-
-        maybe = F.when(F.col("_key").isNotNull(), member(F.coalesce("_key", F.lit(0).cast("long")))).otherwise(F.lit(False))
-        return hashed.select(*[f"`{n}`" for n in names], maybe.alias(out))
+            return pd.Series(shared.value.contains(key_h.to_numpy()))
+
+        maybe = F.when(my.col("key").isNotNull(), member(F.coalesce(my.col("key"), F.lit(0).cast("long")))).otherwise(F.lit(False))
+        return hashed.select(*others(df, out), maybe.alias(out))
     # Distinct key hashes meet their structure, so a hot key is one row; the answer joins back by hash.
-    asked = hashed.where("_key is not null").select(segment_of(F.col("_key"), flt.segments).alias("segment"), F.col("_key").alias("key_h")).distinct()
+    asked = hashed.where(my.col("key").isNotNull()).select(segment_of(my.col("key"), flt.segments).alias("segment"), my.col("key").alias("key_h")).distinct()
 
     def answer(_, left, right):
         h = left.column("key_h").to_numpy()
         got = pickle.loads(right.column("payload")[0].as_py()).contains(h) if right.num_rows else np.zeros(len(h), bool)
-        return pa.table({"_key": pa.array(h), out: pa.array(got)})
+        return pa.table({"key_h": pa.array(h), "hit": pa.array(got)})
 
-    answered = asked.groupBy("segment").cogroup(flt.structures.groupBy("segment")).applyInArrow(answer, f"_key long, {out} boolean")
-    return hashed.join(answered, "_key", "left").select(*[f"`{n}`" for n in names], F.coalesce(out, F.lit(False)).alias(out))
+    answered = asked.groupBy("segment").cogroup(flt.structures.groupBy("segment")).applyInArrow(answer, "key_h long, hit boolean")
+    answered = answered.select(F.col("key_h").alias(my("key")), F.col("hit").alias(my("hit")))
+    return hashed.join(answered, my("key"), "left").select(*others(df, out), F.coalesce(my.col("hit"), F.lit(False)).alias(out))

@@ -9,6 +9,7 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 U64 = np.uint64
 # The primes of XXH64.
@@ -53,28 +54,100 @@ def reduce32_np(h: np.ndarray, size) -> np.ndarray:
     return (((h >> U64(32)) * np.asarray(size, U64)) >> U64(32)).astype(np.int64)
 
 
-def normalised(df: DataFrame, name: str) -> Column:
-    """A key column in the form that is hashed; maps are refused, as their order is not defined."""
-    kind = dict(df.dtypes)[name]
-    column = F.col(f"`{name}`")
-    if "map<" in kind:
-        raise TypeError(f"{name}: maps cannot be keys")
-    if kind in ("float", "double"):
-        return F.when(F.isnan(column), F.lit(float("nan"))).when(column == 0, F.lit(0.0)).otherwise(column.cast("double"))
-    if kind in ("tinyint", "smallint", "int", "bigint"):
+EXACT = (T.ByteType, T.ShortType, T.IntegerType, T.LongType, T.DecimalType)
+
+
+def kind_of(t: T.DataType) -> str:
+    """What a key type is compared as: values that an equi-join finds equal have equal hashes within one kind."""
+    if isinstance(t, EXACT):
+        return "exact"
+    if isinstance(t, (T.FloatType, T.DoubleType)):
+        return "double"
+    if isinstance(t, (T.StringType, T.CharType, T.VarcharType)):
+        return "string"
+    if isinstance(t, T.ArrayType):
+        return f"array<{kind_of(t.elementType)}>"
+    if isinstance(t, T.StructType):
+        return f"struct<{','.join(kind_of(f.dataType) for f in t.fields)}>"
+    if isinstance(t, (T.BinaryType, T.BooleanType, T.DateType, T.TimestampType, T.TimestampNTZType)):
+        return t.typeName()
+    raise TypeError(f"{t.simpleString()} cannot be a key")
+
+
+def canonical(column: Column, t: T.DataType) -> Column:
+    """A key in the form that is hashed: whole numbers of any type and scale as longs, other decimals as a long made of their
+    whole part and fraction, one NaN and one zero, also inside arrays and structs."""
+    if isinstance(t, T.DecimalType):
+        whole = column.try_cast("long")
+        rest = (column % 1).cast("decimal(38,38)")
+        return F.when(whole.isNull(), F.xxhash64(F.format_number(column, 38))).when(rest == 0, whole).otherwise(F.xxhash64(whole, rest))
+    if isinstance(t, EXACT):
         return column.cast("long")
-    if kind.startswith("decimal"):
-        return column.cast("string")
+    if isinstance(t, (T.FloatType, T.DoubleType)):
+        return F.when(F.isnan(column), F.lit(float("nan"))).when(column == 0, F.lit(0.0)).otherwise(column.cast("double"))
+    if isinstance(t, T.ArrayType):
+        return F.transform(column, lambda x: F.when(x.isNotNull(), canonical(x, t.elementType)))
+    if isinstance(t, T.StructType):
+        parts = [F.when(column.getField(f.name).isNotNull(), canonical(column.getField(f.name), f.dataType)).alias(f"c{i}") for i, f in enumerate(t.fields)]
+        return F.when(column.isNotNull(), F.struct(*parts))
     return column
 
 
-def key_hash(df: DataFrame, keys: list[str] | str) -> Column:
+def key_kinds(df: DataFrame, keys: list[str] | str) -> tuple[str, ...]:
+    return tuple(kind_of(df.select(f"`{k}`").schema[0].dataType) for k in ([keys] if isinstance(keys, str) else keys))
+
+
+def as_kind(column: Column, t: T.DataType, kind: str) -> tuple[Column, T.DataType]:
+    """A probed key as an equi-join would compare it with keys of the kind; refused where the join would change the
+    stored side instead."""
+    have = kind_of(t)
+    if have == kind:
+        return column, t
+    if have == "exact" and kind == "double":
+        return column.cast("double"), T.DoubleType()
+    if have == "date" and kind in ("timestamp", "timestamp_ntz"):
+        return column.cast(kind), T.TimestampType() if kind == "timestamp" else T.TimestampNTZType()
+    if kind == "date" and have in ("timestamp", "timestamp_ntz"):  # only a date's own first moment equals it
+        return F.when(column.cast("date").cast(have) == column, column.cast("date")), T.DateType()
+    raise TypeError(f"keys were stored as {kind} and are asked as {have}: cast one side, as the join would")
+
+
+def normalised(df: DataFrame, name: str, kind: str | None = None) -> Column:
+    """A key column in the form that is hashed, compared as the kind if one is given."""
+    t = df.select(f"`{name}`").schema[0].dataType
+    column, t = as_kind(F.col(f"`{name}`"), t, kind or kind_of(t))
+    return canonical(column, t)
+
+
+def key_hash(df: DataFrame, keys: list[str] | str, kinds: tuple[str, ...] | None = None) -> Column:
     """One 64-bit value for the key columns; null where any of them is null (SQL's rule: such a row is no member)."""
     keys = [keys] if isinstance(keys, str) else list(keys)
+    kinds = kinds or (None,) * len(keys)
+    if len(kinds) != len(keys):
+        raise ValueError(f"{len(kinds)} key columns were stored, {len(keys)} are asked")
+    parts = [normalised(df, k, kind) for k, kind in zip(keys, kinds, strict=True)]
     missing = F.lit(False)
-    for k in keys:
-        missing = missing | F.col(f"`{k}`").isNull()
-    return F.when(~missing, F.xxhash64(*[normalised(df, k) for k in keys]))
+    for k, part in zip(keys, parts, strict=True):
+        missing = missing | F.col(f"`{k}`").isNull() | part.isNull()
+    return F.when(~missing, F.xxhash64(*parts))
+
+
+def common_keys(left: DataFrame, right: DataFrame, left_keys: list[str], right_keys: list[str]) -> list[str | None]:
+    """For each key pair the type that both sides must be cast to before they are hashed, None where they need no cast."""
+    out = []
+    for a, b in zip(key_kinds(left, left_keys), key_kinds(right, right_keys), strict=True):
+        pair = {a, b}
+        if pair == {"exact", "double"}:
+            out.append("double")
+        elif pair == {"date", "timestamp"} or pair == {"timestamp", "timestamp_ntz"}:
+            out.append("timestamp")
+        elif pair == {"date", "timestamp_ntz"}:
+            out.append("timestamp_ntz")
+        elif len(pair) > 1:
+            raise TypeError(f"keys of kinds {a} and {b} are not compared: cast one side")
+        else:
+            out.append(None)
+    return out
 
 
 def with_key_hash(df: DataFrame, keys: list[str] | str, name: str = "key_h") -> DataFrame:

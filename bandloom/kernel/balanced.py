@@ -1,4 +1,4 @@
-"""Tiered load balancing inside one contiguous band system.
+"""Tiered load balancing inside contiguous band systems, for all systems of a task in lock-step.
 
 Soft shards are ranges of start rows; tier 1 is overloaded by 1 + alpha, later tiers underloaded by 1 - alpha. A shard's
 keys fall into eight geometric buckets; buckets are inserted largest first, rank by rank over all shards of a tier, and a
@@ -69,69 +69,105 @@ class Routing:
         return lo + reduce32_np(salted_np(key_h, START, seed), size)
 
 
-def build(bank: Bank, key_h: np.ndarray, coeff: np.ndarray, rhs: np.ndarray, m: int, w: int, routing: Routing, seed: int, skip_full: bool = True) -> tuple[bool, np.ndarray, dict]:
-    """Fill the bank of one system. Returns success, the 8 flag bits of each shard, and counters."""
-    starts = m - w + 1
-    shard, bucket = routing.primary(key_h, seed)
-    tier = routing.tier_of(shard)
-    second = routing.secondary(key_h, shard, seed)
-    flags = np.zeros(routing.total, np.int64)
-    stats = {"deferred": [], "attempts": 0, "undone": 0, "additions": 0, "redundant": 0, "tier_keys": []}
-    first = np.concatenate([[0], np.cumsum(routing.shards)])
-    last = len(routing.shards) - 1
-    waiting = np.zeros(0, np.int64)  # keys deferred into the current tier
+@dataclass
+class System:
+    """One system: its keys with coefficients and right-hand sides, its rows, and what became of it."""
+
+    key_h: np.ndarray
+    coeff: np.ndarray
+    rhs: np.ndarray
+    m: int
+    routing: Routing
+    ok: bool = True
+    flags: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))  # 8 bits of each shard
+    redundant: int = 0
+    additions: int = 0
+    displacement: int = 0
+    stats: dict = field(default_factory=lambda: {"deferred": [], "tier_keys": []})
+
+
+def build(bank: Bank, systems: list[System], stride: int, w: int, seed: int, skip_full: bool = True) -> None:
+    """Fill the bank, in which system k has the rows from k * stride on; sets each system's outcome and counters."""
+    routes = [s.routing for s in systems]
+    sizes = [len(s.key_h) for s in systems]
+    home = np.repeat(np.arange(len(systems)), sizes)
+    key_h, coeff, rhs = np.concatenate([s.key_h for s in systems]), np.concatenate([s.coeff for s in systems], 1), np.concatenate([s.rhs for s in systems])
+    base = np.concatenate([[0], np.cumsum([r.total for r in routes])])  # shards are numbered over all systems
+    parts = []
+    for k, s in enumerate(systems):
+        shard, bucket = s.routing.primary(s.key_h, seed)
+        second, starts = s.routing.secondary(s.key_h, shard, seed), s.m - w + 1
+        parts.append((shard + base[k], bucket, s.routing.tier_of(shard), second + base[k], s.routing.start_in(s.key_h, shard, starts, seed) + k * stride, s.routing.start_in(s.key_h, second, starts, seed) + k * stride))
+    shard, bucket, tier, second, first_start, second_start = (np.concatenate([p[i] for p in parts]) for i in range(6))
+    last = np.array([len(r.shards) - 1 for r in routes])
+    room = np.repeat([(s.m - w + 1) / s.routing.total for s in systems], [r.total for r in routes])
+    flags, load = np.zeros(base[-1], np.int64), np.zeros(base[-1], np.int64)
+    alive = np.ones(len(systems), bool)
+    total = Report()
+
+    def put(rows: np.ndarray, start: np.ndarray, log: list | None) -> np.ndarray:
+        """Systems in which something contradicts, or, with a log, the rows that do."""
+        got = bank.insert(start[rows], coeff[:, rows], rhs[rows], log, home=home[rows], homes=len(systems))
+        total.add(got)
+        bad = rows[got.failed]
+        if log is None:
+            alive[home[bad]] = False
+        return bad
 
-    def put(rows: np.ndarray, into: np.ndarray, log: list | None) -> Report:
-        got = bank.insert(routing.start_in(key_h[rows], into, starts, seed), coeff[:, rows], rhs[rows], log)
-        stats["additions"] += got.additions
-        stats["redundant"] += got.redundant
-        return got
-
-    for t in range(last + 1):
-        if len(waiting) and not put(waiting, second[waiting], None).ok():
-            return False, flags, stats
-        own = np.flatnonzero(tier == t)
-        stats["tier_keys"].append(len(own) + len(waiting))
-        deferred = []
-        if t == last:
-            if not put(own, shard[own], None).ok():
-                return False, flags, stats
-            break
-        load = np.bincount(second[waiting], minlength=routing.total) if len(waiting) else np.zeros(routing.total, np.int64)
-        room = starts / routing.total
+    waiting = np.zeros(0, np.int64)  # keys deferred into the current tier
+    for t in range(int(last.max(initial=0)) + 1):
+        put(waiting, second_start, None)
+        waiting = waiting[alive[home[waiting]]]
+        own = np.flatnonzero((tier == t) & alive[home])
+        into = np.bincount(home[waiting], minlength=len(systems)) + np.bincount(home[own], minlength=len(systems))
+        final = last[home[own]] == t
+        put(own[final], first_start, None)
+        own = own[~final]
+        load += np.bincount(second[waiting], minlength=base[-1])
         order = own[np.argsort(bucket[own], kind="stable")]
         edges = np.searchsorted(bucket[order], np.arange(BUCKETS + 1))
+        deferred = [np.zeros(0, np.int64)]
         for rank in range(BUCKETS):
             rows = order[edges[rank] : edges[rank + 1]]
-            if not len(rows):
-                continue
-            size = np.bincount(shard[rows], minlength=routing.total)
             if skip_full:  # an attempt that would leave no room at all is not made: deterministic, saves work
-                hopeless = np.flatnonzero((load + size > 1.02 * room) & (size > 0))
-                hopeless = hopeless[(hopeless >= first[t]) & (hopeless < first[t + 1])]
-                if len(hopeless):
-                    out = np.isin(shard[rows], hopeless)
-                    flags[hopeless] |= 1 << rank
-                    deferred.append(rows[out])
-                    rows = rows[~out]
-            while len(rows):
-                log: list = []
-                stats["attempts"] += 1
-                got = put(rows, shard[rows], log)
-                if got.ok():
-                    break
-                # Undo the batch, defer the buckets of the shards that failed, and try the others again.
-                bank.rollback(log)
-                stats["undone"] += 1
-                bad = np.unique(shard[rows[got.failed]])
-                flags[bad] |= 1 << rank
-                out = np.isin(shard[rows], bad)
+                size = np.bincount(shard[rows], minlength=base[-1])
+                hopeless = (load + size > 1.02 * room) & (size > 0)
+                flags[hopeless] |= 1 << rank
+                out = hopeless[shard[rows]]
+                deferred.append(rows[out])
+                rows = rows[~out]
+            log: list = []
+            bad = put(rows, first_start, log)
+            if len(bad):
+                # Undo the batch in the systems that failed, defer the buckets that did, and put the others again. Rows that did
+                # not fail are consistent with one another, so this second time nothing can fail.
+                again = np.zeros(len(systems), bool)
+                again[home[bad]] = True
+                bank.rollback([at[again[at // stride]] for at in log])
+                full = np.zeros(base[-1], bool)
+                full[shard[bad]] = True
+                flags[full] |= 1 << rank
+                out = full[shard[rows]]
                 deferred.append(rows[out])
                 rows = rows[~out]
-            load += np.bincount(shard[rows], minlength=routing.total)
-        waiting = np.concatenate(deferred) if deferred else np.zeros(0, np.int64)
-        stats["deferred"].append(len(waiting))
-    return True, flags, stats
+                if len(put(rows[again[home[rows]]], first_start, [])):
+                    raise AssertionError("a consistent batch failed")
+            load += np.bincount(shard[rows], minlength=base[-1])
+        waiting = np.concatenate(deferred)
+        out = np.bincount(home[waiting], minlength=len(systems))
+        for k, s in enumerate(systems):
+            if t <= last[k]:
+                s.stats["tier_keys"].append(int(into[k]))
+            if t < last[k]:
+                s.stats["deferred"].append(int(out[k]))
+    for k, s in enumerate(systems):
+        s.ok, s.flags = bool(alive[k]), flags[base[k] : base[k + 1]].copy()
+        s.additions = int(total.by_home[0][k]) if total.by_home is not None else 0
+        filled = np.flatnonzero(bank.used[k * stride : k * stride + s.m])
+        s.redundant = sizes[k] - len(filled)
+        mine = slice(sum(sizes[:k]), sum(sizes[: k + 1]))
+        moved = ((s.flags[shard[mine] - base[k]] >> bucket[mine]) & 1).astype(bool)
+        s.displacement = int(filled.sum()) - int((np.where(moved, second_start[mine], first_start[mine]) - k * stride).sum())
 
 
 def query_starts(key_h: np.ndarray, m: int, w: int, routing: Routing, flags: np.ndarray, seed: int) -> np.ndarray:

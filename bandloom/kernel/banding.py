@@ -16,6 +16,7 @@ import numpy as np
 
 U64 = np.uint64
 ONE, ZERO = U64(1), U64(0)
+FEW = 24
 
 
 def ctz(x: np.ndarray) -> np.ndarray:
@@ -32,10 +33,17 @@ class Report:
     rounds: int = 0
     displacement: int = 0
     failed: np.ndarray | None = None  # positions, in the batch, of equations found contradictory
+    by_home: np.ndarray | None = None  # additions and redundant equations of each system, where systems were named
 
     def ok(self) -> bool:
         return self.inconsistent == 0
 
+    def add(self, other: Report) -> None:
+        for name in ("inserted", "redundant", "inconsistent", "additions", "rounds", "displacement"):
+            setattr(self, name, getattr(self, name) + getattr(other, name))
+        if other.by_home is not None:
+            self.by_home = other.by_home if self.by_home is None else self.by_home + other.by_home
+
 
 class Bank:
     """Echelon rows of one or more systems; lanes is 1, or 2 for width 128."""
@@ -47,19 +55,22 @@ class Bank:
         self.b = np.zeros(rows, U64)
         self._claim = np.zeros(rows, np.int64)
 
-    def insert(self, start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray, log: list | None = None, stop: bool = False, limit: np.ndarray | None = None) -> Report:
+    def insert(self, start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray, log: list | None = None, stop: bool = False, home: np.ndarray | None = None, homes: int = 0) -> Report:
         """Insert a batch. log collects the filled rows, for rollback. stop: end at the first contradiction.
 
-        limit: for each equation the end of its system; rows beyond it do not exist and are never reached, since
-        coefficient bits past the end are never set by construction.
+        home: the number, of `homes`, of the system that each equation belongs to, to count additions by system. Rows past a
+        system's end are never reached, since coefficient bits there are never set by construction.
         """
-        out = Report()
+        out = Report(by_home=np.zeros((2, homes), np.int64) if home is not None else None)
         i = np.asarray(start, np.int64).copy()
         c = [x.copy() for x in coeff]
         b = np.asarray(rhs, U64).copy()
         pos = np.arange(len(i))
         failed = []
         while len(i):
+            if len(i) <= FEW:
+                self._finish(i, c, b, pos, np.asarray(start, np.int64), out, failed, log, home)
+                break
             out.rounds += 1
             empty = np.flatnonzero(~self.used[i])
             if len(empty):
@@ -81,6 +92,8 @@ class Bank:
                 if not len(i):
                     break
             out.additions += len(i)
+            if home is not None:
+                out.by_home[0] += np.bincount(home[pos], minlength=homes)
             c = [x ^ self.c[lane, i] for lane, x in enumerate(c)]
             b = b ^ self.b[i]
             live = c[0] != ZERO if self.lanes == 1 else (c[0] | c[1]) != ZERO
@@ -89,6 +102,8 @@ class Bank:
                 bad = gone & (b != ZERO)
                 n_bad = int(bad.sum())
                 out.redundant += int(gone.sum()) - n_bad
+                if home is not None:
+                    out.by_home[1] += np.bincount(home[pos[gone & ~bad]], minlength=homes)
                 if n_bad:
                     out.inconsistent += n_bad
                     failed.append(pos[bad])
@@ -110,6 +125,46 @@ class Bank:
         out.failed = np.concatenate(failed) if failed else np.zeros(0, np.int64)
         return out
 
+    def _finish(self, i, c, b, pos, start, out: Report, failed: list, log: list | None, home) -> None:
+        """The last few equations one after another: rounds of a handful would pay numpy's call overhead hundreds of times."""
+        rows, bad = [], []
+        used, cells, right = self.used, [self.c[lane] for lane in range(self.lanes)], self.b
+        for k in range(len(i)):
+            at, right_k = int(i[k]), int(b[k])
+            word = int(c[0][k]) | (int(c[1][k]) << 64 if self.lanes == 2 else 0)
+            steps = 0
+            while used[at]:
+                steps += 1
+                word ^= int(cells[0][at]) | (int(cells[1][at]) << 64 if self.lanes == 2 else 0)
+                right_k ^= int(right[at])
+                if not word:
+                    break
+                shift = (word & -word).bit_length() - 1
+                at, word = at + shift, word >> shift
+            out.additions += steps
+            out.rounds += steps
+            if home is not None:
+                out.by_home[0, home[pos[k]]] += steps
+            if word:
+                used[at] = True
+                for lane in range(self.lanes):
+                    cells[lane][at] = (word >> (64 * lane)) & 0xFFFFFFFFFFFFFFFF
+                right[at] = right_k
+                out.inserted += 1
+                out.displacement += at - int(start[pos[k]])
+                rows.append(at)
+            elif right_k:
+                out.inconsistent += 1
+                bad.append(pos[k])
+            else:
+                out.redundant += 1
+                if home is not None:
+                    out.by_home[1, home[pos[k]]] += 1
+        if log is not None and rows:
+            log.append(np.array(rows))
+        if bad:
+            failed.append(np.array(bad))
+
     def rollback(self, log: list) -> None:
         """Undo the most recent insertions that log lists."""
         for rows in log:
@@ -168,19 +223,20 @@ class XorBasis:
         return sorted(low.bit_length() - 1 for low in self.vectors)
 
 
-def band_until_failure(rows: int, start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray) -> tuple[Bank, int]:
+def band_until_failure(rows: int, start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray, first: int = 64) -> tuple[Bank, int]:
     """The longest prefix of the given order that has a solution, and its bank: doubling batches, undo, bisection.
 
     Consistency of prefixes is monotone, so a failing batch is undone and halved until the failing equation is found.
+    first: size of the first batch; what surely fits is cheapest in one.
     """
-    bank, done, step, n = Bank(rows, len(coeff)), 0, 64, len(start)
+    bank, done, step, n = Bank(rows, len(coeff)), 0, first, len(start)
     while done < n:
         step = min(step, n - done)
         log: list = []
         part = slice(done, done + step)
         if bank.insert(start[part], coeff[:, part], rhs[part], log, stop=True).ok():
             done += step
-            step *= 2
+            step = min(2 * step, 64) if done >= 0.5 * rows else 2 * step
         else:
             bank.rollback(log)
             if step == 1:
@@ -189,6 +245,31 @@ def band_until_failure(rows: int, start: np.ndarray, coeff: np.ndarray, rhs: np.
     return bank, done
 
 
+def many_until_failure(rows: int, start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray, first: int = 64) -> tuple[Bank, np.ndarray]:
+    """band_until_failure for many systems in lock-step: start and rhs [systems, n], coeff [lanes, systems, n].
+
+    A system whose batch fails is undone alone and halves its step; the others go on.
+    """
+    systems, n = start.shape
+    bank, done, step = Bank(rows * systems, len(coeff)), np.zeros(systems, np.int64), np.full(systems, first)
+    active = np.ones(systems, bool)
+    while active.any():
+        step = np.minimum(step, n - done)
+        size = np.where(active, step, 0)
+        home = np.repeat(np.arange(systems), size)
+        at = np.arange(len(home)) - np.repeat(np.cumsum(size) - size, size) + done[home]
+        log: list = []
+        got = bank.insert(start[home, at] + home * rows, coeff[:, home, at], rhs[home, at], log)
+        bad = np.zeros(systems, bool)
+        bad[home[got.failed]] = True
+        bank.rollback([r[bad[r // rows]] for r in log])
+        good = active & ~bad
+        done[good] += step[good]
+        active &= ~(bad & (step == 1)) & (done < n)
+        step = np.where(bad, np.maximum(step // 2, 1), np.where(done >= 0.5 * rows, np.minimum(2 * step, 64), 2 * step))
+    return bank, done
+
+
 def free_values(rows: np.ndarray, r: int, rule: str) -> np.ndarray:
     """Right-hand sides of empty rows, from the row number inside the segment alone."""
     if rule == "zero":

@@ -9,7 +9,7 @@ from dataclasses import dataclass, field
 import numpy as np
 
 from bandloom.functions.hashing import START, U64, clamp_start_np, coefficients_np, fingerprint_np, salted_np
-from bandloom.kernel import balanced
+from bandloom.kernel import balanced, softshards
 from bandloom.kernel.banding import Bank, back_substitute, lookup
 from bandloom.plans.planning import recommended_eps, rows_for
 from bandloom.spec import FilterSpec
@@ -38,10 +38,16 @@ class Segment:
     displacement: int = 0
     build_ns: int = 0
     stats: dict = field(default_factory=dict)
+    r: float | None = None  # result bits, where segments differ in them
+    from_h: int | None = None  # least order hash, where segments are ranges
+    flag_bits: int = 8  # metadata bits of each shard
+
+    def own_spec(self, spec: FilterSpec) -> FilterSpec:
+        return spec if self.r is None else spec.but(r=self.r)
 
     def bits(self, spec: FilterSpec) -> int:
-        blocks = self.m // 64
-        return 64 * (self.split * spec.r_lo + (blocks - self.split) * spec.r_hi) + 8 * len(self.flags)
+        blocks, own = self.m // 64, self.own_spec(spec)
+        return 64 * (self.split * own.r_lo + (blocks - self.split) * own.r_hi) + self.flag_bits * len(self.flags)
 
 
 def split_block(spec: FilterSpec, blocks: int) -> int:
@@ -57,13 +63,14 @@ def rhs_of(key_h: np.ndarray, seed: int, spec: FilterSpec, values: np.ndarray |
     return fingerprint_np(key_h, seed, spec.r_hi)
 
 
-def build_segments(groups: dict[int, np.ndarray], spec: FilterSpec, values: dict[int, np.ndarray] | None = None, fixed_m: int | None = None) -> list[Segment]:
+def build_segments(groups: dict[int, np.ndarray], spec: FilterSpec, values: dict[int, np.ndarray] | None = None, fixed_m: int | None = None, budget: int | None = None) -> list[Segment]:
     """Build all segments of a task in lock-step. groups: distinct key hashes by segment; values: for static functions.
 
-    fixed_m: rows of every segment (else from its own count). Failing segments alone try the next seed (or, for
-    retry="grow", more rows); the homogeneous variant cannot fail.
+    fixed_m: rows of every segment (else from its own count). budget: bits of every segment, whose result width then
+    follows from its rows, up to spec.r. Failing segments alone try the next seed (or, for retry="grow", more rows); the
+    homogeneous variant cannot fail.
     """
-    todo = {s: fixed_m or rows_for(len(k), recommended_eps(spec, len(k)), spec.w) for s, k in groups.items()}
+    todo = {s: fixed_m or rows_for(len(k), recommended_eps(spec, len(k)), spec.w, spec.step) for s, k in groups.items()}
     done: dict[int, Segment] = {}
     lanes = 2 if spec.w == 128 else 1
     for attempt in range(spec.seeds):
@@ -76,15 +83,11 @@ def build_segments(groups: dict[int, np.ndarray], spec: FilterSpec, values: dict
         bank = Bank(stride * len(names), lanes)
         good: dict[int, Segment] = {}
         if spec.variant == "balanced":
-            for at, s in enumerate(names):
-                part = Bank(stride, lanes)
-                keys = groups[s]
-                route = balanced.Routing.plan(len(keys), spec.w, spec.alpha)
-                ok, flags, stats = balanced.build(part, keys, coefficients_np(keys, seed, spec.w), rhs_of(keys, seed, spec, values and values[s]), todo[s], spec.w, route, seed)
-                if ok:
-                    rows = slice(at * stride, (at + 1) * stride)
-                    bank.used[rows], bank.c[:, rows], bank.b[rows] = part.used, part.c, part.b
-                    good[s] = Segment(s, todo[s], seed, len(keys), None, 0, flags, route.shards, route.alpha, stats["redundant"], attempt + 1, stats["additions"], 0, 0, stats)
+            systems = [balanced.System(groups[s], coefficients_np(groups[s], seed, spec.w), rhs_of(groups[s], seed, spec, values and values[s]), todo[s], balanced.Routing.plan(len(groups[s]), spec.w, spec.alpha)) for s in names]
+            balanced.build(bank, systems, stride, spec.w, seed)
+            for s, y in zip(names, systems, strict=True):
+                if y.ok and not (spec.redundant == "fail" and y.redundant):
+                    good[s] = Segment(s, y.m, seed, len(y.key_h), None, 0, y.flags, y.routing.shards, y.routing.alpha, y.redundant, attempt + 1, y.additions, y.displacement, 0, y.stats)
         else:
             sizes = np.array([len(groups[s]) for s in names])
             keys = np.concatenate([groups[s] for s in names])
@@ -92,25 +95,34 @@ def build_segments(groups: dict[int, np.ndarray], spec: FilterSpec, values: dict
             starts = np.array([todo[s] for s in names])[where] - spec.w + 1
             start = clamp_start_np(salted_np(keys, START, seed), starts, spec.edge) + where * stride
             rhs = rhs_of(keys, seed, spec, values and np.concatenate([values[s] for s in names]))
-            got = bank.insert(start, coefficients_np(keys, seed, spec.w), rhs)
+            got = bank.insert(start, coefficients_np(keys, seed, spec.w), rhs, home=where, homes=len(names))
             bad = set(np.unique(where[got.failed]).tolist())
-            total = max(len(keys), 1)
+            if spec.redundant == "fail":
+                bad |= set(np.flatnonzero(got.by_home[1]).tolist())
             for at, s in enumerate(names):
                 if at not in bad:
                     rows = slice(at * stride, (at + 1) * stride)
                     filled = int(bank.used[rows].sum())
                     moved = int(np.flatnonzero(bank.used[rows]).sum()) - int((start[where == at] - at * stride).sum())
-                    good[s] = Segment(s, todo[s], seed, int(sizes[at]), None, 0, redundant=int(sizes[at]) - filled, attempts=attempt + 1, additions=got.additions * int(sizes[at]) // total, displacement=moved)
+                    good[s] = Segment(s, todo[s], seed, int(sizes[at]), None, 0, redundant=int(sizes[at]) - filled, attempts=attempt + 1, additions=int(got.by_home[0, at]), displacement=moved)
         if good:
             words = back_substitute(bank, spec.r_hi, stride, spec.free)
             spent = (time.perf_counter_ns() - began) // max(1, sum(len(groups[s]) for s in names))
             for at, s in enumerate(names):
                 if s in good:
                     seg = good[s]
-                    seg.words, seg.split = words[at, : seg.m // 64], split_block(spec, seg.m // 64)
+                    if budget:
+                        seg.r = min(spec.r, budget // 64 / (seg.m // 64))
+                        if seg.r < 1:
+                            raise NoSolution(f"{budget} bits cannot hold a result bit for the {seg.n} keys of segment {s}")
+                    own = seg.own_spec(spec)
+                    seg.words, seg.split = words[at, : seg.m // 64], split_block(own, seg.m // 64)
+                    if seg.r is not None:  # rounding may not pass the budget
+                        seg.split = min(seg.m // 64, -(-max(0, own.r_hi * seg.m - budget) // 64)) if own.r_lo != own.r_hi else 0
+                    seg.words = seg.words[:, : own.r_hi]
                     if seg.split:
                         seg.words = seg.words.copy()
-                        seg.words[: seg.split, spec.r_lo :] = 0
+                        seg.words[: seg.split, own.r_lo :] = 0
                     seg.build_ns = int(spent * seg.n)
                     done[s] = seg
                     del todo[s]
@@ -123,25 +135,36 @@ def build_segments(groups: dict[int, np.ndarray], spec: FilterSpec, values: dict
 
 def query_segment(seg: Segment, spec: FilterSpec, key_h: np.ndarray) -> np.ndarray:
     """Result bits (static function) of keys of this segment; columns a straddling or narrow query lacks are absent."""
-    start = starts_of(seg, spec, key_h)
-    return lookup(seg.words[None], np.zeros(len(key_h), np.int64), start, coefficients_np(key_h, seg.seed, spec.w))
+    out = np.zeros(len(key_h), U64)
+    for rows, start, seed in windows(seg, spec, key_h):
+        out[rows] = lookup(seg.words[None], np.zeros(len(start), np.int64), start, coefficients_np(key_h[rows], seed, spec.w))
+    return out
 
 
-def starts_of(seg: Segment, spec: FilterSpec, key_h: np.ndarray) -> np.ndarray:
-    if spec.variant == "balanced":
-        return balanced.query_starts(key_h, seg.m, spec.w, balanced.Routing(seg.shards, seg.alpha), seg.flags, seg.seed)
-    return clamp_start_np(salted_np(key_h, START, seg.seed), seg.m - spec.w + 1, spec.edge)
+def windows(seg: Segment, spec: FilterSpec, key_h: np.ndarray):
+    """(rows, starts, seed) of the keys that share a seed; one triple unless shards have seeds of their own."""
+    if spec.sharding == "soft":
+        start, seeds = softshards.start_of(key_h, seg.m, spec.w, len(seg.flags), seg.flags)
+        for seed in np.unique(seeds).tolist():
+            rows = np.flatnonzero(seeds == seed)
+            yield rows, start[rows], seed
+    elif spec.variant == "balanced":
+        yield slice(None), balanced.query_starts(key_h, seg.m, spec.w, balanced.Routing(seg.shards, seg.alpha), seg.flags, seg.seed), seg.seed
+    else:
+        yield slice(None), clamp_start_np(salted_np(key_h, START, seg.seed), seg.m - spec.w + 1, spec.edge), seg.seed
 
 
 def columns_of(seg: Segment, spec: FilterSpec, start: np.ndarray) -> np.ndarray:
     """How many result bits each query may compare: floor(r) unless its whole window lies in the wide part."""
-    return np.where(start // 64 >= seg.split, spec.r_hi, spec.r_lo)
+    own = seg.own_spec(spec)
+    return np.where(start // 64 >= seg.split, own.r_hi, own.r_lo)
 
 
 def contains(seg: Segment, spec: FilterSpec, key_h: np.ndarray) -> np.ndarray:
-    start = starts_of(seg, spec, key_h)
-    got = lookup(seg.words[None], np.zeros(len(key_h), np.int64), start, coefficients_np(key_h, seg.seed, spec.w))
-    want = rhs_of(key_h, seg.seed, spec, None)
-    columns = columns_of(seg, spec, start).astype(U64)
-    mask = (U64(1) << columns) - U64(1)
-    return ((got ^ want) & mask) == 0
+    out = np.zeros(len(key_h), bool)
+    for rows, start, seed in windows(seg, spec, key_h):
+        own = key_h[rows]
+        got = lookup(seg.words[None], np.zeros(len(own), np.int64), start, coefficients_np(own, seed, spec.w))
+        mask = (U64(1) << columns_of(seg, spec, start).astype(U64)) - U64(1)
+        out[rows] = ((got ^ rhs_of(own, seed, spec, None)) & mask) == 0
+    return out

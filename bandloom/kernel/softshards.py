@@ -8,26 +8,33 @@ from __future__ import annotations
 
 import numpy as np
 
-from bandloom.functions.hashing import START, coefficients_np, reduce32_np, salted_np, segment_np
+from bandloom.functions.hashing import ROUTE, START, coefficients_np, reduce32_np, salted_np
 from bandloom.kernel.banding import Bank
 
+SEEDS = 8  # three bits of metadata a shard
 
-def build(key_h: np.ndarray, rhs_of, m: int, w: int, shards: int, seeds: int = 8, budget: int = 400) -> tuple[bool, Bank, list[int], int]:
-    """Success, bank, seed per shard, attempts. rhs_of(keys, seed) gives right-hand sides."""
-    starts = m - w + 1
-    home = segment_np(key_h, shards)
-    groups = [key_h[home == s] for s in range(shards)]
+
+def home_of(key_h: np.ndarray, shards: int) -> np.ndarray:
+    return reduce32_np(salted_np(key_h, ROUTE), shards)
+
+
+def build(key_h: np.ndarray, rhs_of, m: int, w: int, shards: int, seeds: int = SEEDS, budget: int | None = None) -> tuple[bool, Bank, list[int], int]:
+    """Success, bank, seed per shard, attempts. rhs_of(rows, seed) gives right-hand sides of key_h[rows]."""
+    starts, budget = m - w + 1, budget or 400 + 8 * shards
+    home = home_of(key_h, shards)
+    order = np.argsort(home, kind="stable")
+    groups = np.split(order, np.searchsorted(home[order], np.arange(1, shards)))
     bank, chosen, logs, tried = Bank(m, 2 if w == 128 else 1), [0] * shards, [None] * shards, 0
     s = 0
     while s < shards:
         if tried >= budget:
             return False, bank, chosen, tried
-        keys, seed = groups[s], chosen[s]
+        keys, seed = key_h[groups[s]], chosen[s]
         lo = s * starts // shards
         start = lo + reduce32_np(salted_np(keys, START, seed), (s + 1) * starts // shards - lo)
         log: list = []
         tried += 1
-        if bank.insert(start, coefficients_np(keys, seed, w), rhs_of(keys, seed), log).ok():
+        if bank.insert(start, coefficients_np(keys, seed, w), rhs_of(groups[s], seed), log).ok():
             logs[s] = log
             s += 1
             continue
@@ -43,12 +50,13 @@ def build(key_h: np.ndarray, rhs_of, m: int, w: int, shards: int, seeds: int = 8
     return True, bank, chosen, tried
 
 
-def start_of(key_h: np.ndarray, m: int, w: int, shards: int, chosen: list[int]) -> tuple[np.ndarray, np.ndarray]:
+def start_of(key_h: np.ndarray, m: int, w: int, shards: int, chosen) -> tuple[np.ndarray, np.ndarray]:
     """Start row and seed of each key of a finished system."""
-    starts, home = m - w + 1, segment_np(key_h, shards)
-    start, seed = np.zeros(len(key_h), np.int64), np.array(chosen)[home]
-    for s in range(shards):
-        own = home == s
-        lo = s * starts // shards
-        start[own] = lo + reduce32_np(salted_np(key_h[own], START, chosen[s]), (s + 1) * starts // shards - lo)
+    starts, home = m - w + 1, home_of(key_h, shards)
+    seed, start = np.asarray(chosen, np.int64)[home], np.zeros(len(key_h), np.int64)
+    lo = home * starts // shards
+    size = (home + 1) * starts // shards - lo
+    for v in np.unique(seed).tolist():
+        own = seed == v
+        start[own] = lo[own] + reduce32_np(salted_np(key_h[own], START, v), size[own])
     return start, seed

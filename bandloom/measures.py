@@ -70,6 +70,36 @@ def time_probe(df: DataFrame, flt, keys, mode: str = "auto") -> float:
     return timed(lambda: ask(df, flt, keys, "_maybe", mode).agg(F.sum(F.col("_maybe").cast("long"))).first())[0]
 
 
+def ran(df: DataFrame) -> tuple[int, list]:
+    """Rows of df, and the plan's nodes (from the JVM) after it ran, adaptive stages opened."""
+    counted = df.agg(F.count("*").alias("n"))
+    n, nodes, todo = counted.collect()[0].n, [], [counted._jdf.queryExecution().executedPlan()]
+    while todo:
+        node = todo.pop()
+        name = node.getClass().getSimpleName()
+        if name == "AdaptiveSparkPlanExec":
+            todo.append(node.executedPlan())
+        elif name.endswith("QueryStageExec"):
+            todo.append(node.plan())
+        else:
+            nodes.append((name, node))
+            todo += [node.children().apply(i) for i in range(node.children().size())]
+    return n, nodes
+
+
+def shuffled(df: DataFrame) -> tuple[int, int, int]:
+    """Rows of df, and the rows and bytes that its exchanges wrote, from the metrics of the plan that ran."""
+    n, nodes = ran(df)
+    metrics = [node.metrics() for name, node in nodes if name == "ShuffleExchangeExec"]
+    # The count's own exchange, of a row a task, is the first one from the root.
+    return n, sum(m.apply("shuffleRecordsWritten").value() for m in metrics[1:]), sum(m.apply("shuffleBytesWritten").value() for m in metrics[1:])
+
+
+def files_read(df: DataFrame) -> int:
+    """Files that the scans of df list and read."""
+    return sum(node.metrics().apply("numFiles").value() for name, node in ran(df)[1] if name == "FileSourceScanExec")
+
+
 def shuffle_plan(df: DataFrame) -> dict[str, int]:
     """Counts of plan nodes that matter: exchanges, broadcasts, sorts, Python nodes."""
     text = df._jdf.queryExecution().executedPlan().toString()

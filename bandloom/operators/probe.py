@@ -8,9 +8,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bandloom.functions.hashing import ROUTE, SECOND, START, clamp_start, coefficients, fingerprint, key_hash, reduce32, salted, segment_np, segment_of
+from bandloom.kernel import ranges
 from bandloom.kernel.balanced import BUCKETS
-from bandloom.kernel.bands import Segment, contains
-from bandloom.operators.build import BandFilter
+from bandloom.kernel.bands import Segment, contains, query_segment
+from bandloom.operators.build import BandFilter, run_segment, small
 from bandloom.plans.planning import bucket_shares
 from bandloom.runtime import ship
 
@@ -23,98 +24,154 @@ def shl(x: Column, by: Column) -> Column:
     return F.call_function("shiftleft", x, by)
 
 
-def start_column(flt: BandFilter, key_h: Column, m: Column, seed: Column) -> Column:
+class Names:
+    """Columns of ours, under a prefix that no column of the caller's begins with."""
+
+    def __init__(self, df: DataFrame):
+        self.prefix = "_b"
+        while any(c.lower().startswith(self.prefix) for c in df.columns):
+            self.prefix += "_"
+
+    def __call__(self, name: str) -> str:
+        return f"{self.prefix}_{name}"
+
+    def col(self, name: str) -> Column:
+        return F.col(self(name))
+
+
+def divided(place: Column, size: Column, total: Column) -> Column:
+    """place * size // total as longs, exactly."""
+    product = place.cast("long") * size
+    return ((product - F.pmod(product, total)) / total).cast("long")
+
+
+def start_column(flt: BandFilter, my: Names, m: Column, seed: Column) -> Column:
     """The first row of a key's window; for the balanced variant, of its primary or secondary shard."""
-    spec = flt.spec
-    if spec.variant != "balanced":
-        return clamp_start(salted(key_h, START, seed), m - F.lit(spec.w - 1), spec.edge)
+    spec, key_h = flt.spec, my.col("key")
     starts = m - F.lit(spec.w - 1)
+    if spec.sharding == "soft":
+        place, total = my.col("place").cast("long"), F.get(my.col("shards"), F.lit(0)).cast("long")
+        lo, hi = divided(place, starts, total), divided(place + 1, starts, total)
+        return lo + reduce32(salted(key_h, START, seed), hi - lo)
+    if spec.variant != "balanced":
+        return clamp_start(salted(key_h, START, seed), starts, spec.edge)
+    cuts, shards, defer = my.col("cuts"), my.col("shards"), my.col("defer")
     h = salted(key_h, ROUTE, seed)
     upper, lower = F.shiftrightunsigned(h, 32), h.bitwiseAND(F.lit(0xFFFFFFFF).cast("long"))
-    shard = F.size(F.filter("cuts", lambda c: c <= upper))
+    shard = F.size(F.filter(cuts, lambda c: c <= upper))
     edges = [int(x) for x in np.floor(np.cumsum(bucket_shares(BUCKETS)) * 2.0**32)][:-1]
     bucket = sum(((lower >= F.lit(e)).cast("int") for e in edges), F.lit(0))
-    total = F.aggregate("shards", F.lit(0), lambda a, x: a + x)
-    reach = F.transform("shards", lambda x, i: F.aggregate(F.slice("shards", F.lit(1), i + 1), F.lit(0), lambda a, y: a + y))
-    tier = F.least(F.size(F.filter(reach, lambda c: c <= shard)) + 1, F.size("shards") - 1)
+    total = F.aggregate(shards, F.lit(0), lambda a, x: a + x)
+    reach = F.transform(shards, lambda x, i: F.aggregate(F.slice(shards, F.lit(1), i + 1), F.lit(0), lambda a, y: a + y))
+    tier = F.least(F.size(F.filter(reach, lambda c: c <= shard)) + 1, F.size(shards) - 1)
     first = F.coalesce(F.get(reach, tier - 1), F.lit(0))
-    second = first + reduce32(salted(key_h, SECOND, seed), F.get("shards", tier))
-    moved = shl(F.lit(1), bucket).bitwiseAND(F.get("defer", shard)) != 0
+    second = first + reduce32(salted(key_h, SECOND, seed), F.get(shards, tier))
+    moved = shl(F.lit(1), bucket).bitwiseAND(F.get(defer, shard)) != 0
     place = F.when(moved, second).otherwise(shard).cast("long")
-    lo = ((place * starts) - F.pmod(place * starts, total.cast("long"))) / total
-    hi = (((place + 1) * starts) - F.pmod((place + 1) * starts, total.cast("long"))) / total
-    lo, hi = F.round(lo).cast("long"), F.round(hi).cast("long")
+    lo, hi = divided(place, starts, total.cast("long")), divided(place + 1, starts, total.cast("long"))
     return lo + reduce32(salted(key_h, START, seed), hi - lo)
 
 
-def parity(j: int | str, lanes: int) -> str:
-    """SQL for column j's result bit (0 or 1) of the window that starts _o rows into its block.
+def parity(my: Names, j: int | str, lanes: int) -> str:
+    """SQL for column j's result bit (0 or 1) of the window that starts o rows into its block.
 
     Text, because one parse is far cheaper for the driver than hundreds of calls that build the same tree.
     """
 
     def aligned(a: str, b: str) -> str:
-        return f"(CASE WHEN _o = 0 THEN get({a}, {j}) ELSE shiftrightunsigned(get({a}, {j}), _o) | shiftleft(get({b}, {j}), 64 - _o) END)"
+        a, b, o = f"get({my(a)}, {j})", f"get({my(b)}, {j})", my("o")
+        return f"(CASE WHEN {o} = 0 THEN {a} ELSE shiftrightunsigned({a}, {o}) | shiftleft({b}, 64 - {o}) END)"
 
-    mix = f"({aligned('words', 'next_words')} & _low)"
+    mix = f"({aligned('words', 'next_words')} & {my('low')})"
     if lanes == 2:
-        mix = f"({mix} ^ ({aligned('next_words', 'third_words')} & _high))"
+        mix = f"({mix} ^ ({aligned('next_words', 'third_words')} & {my('high')}))"
     return f"(bit_count({mix}) & 1)"
 
 
-def located(df: DataFrame, keys: list[str] | str, flt: BandFilter, run: str | None, hint: str | None) -> DataFrame:
-    """df with the window of each key and its block row (null if the filter has none)."""
-    spec = flt.spec
-    rows = df.withColumn("_key", key_hash(df, keys))
+def keyed(df: DataFrame, keys: list[str] | str, flt: BandFilter, my: Names, run: str | None = None) -> DataFrame:
+    """df with the hash of each key and the number of its segment (null where no segment can hold it)."""
+    rows = df.withColumn(my("key"), key_hash(df, keys, flt.kinds))
+    key = my.col("key")
     if flt.by_run:
         if run is None:
             raise ValueError("this filter is kept by run: name the run column")
-        rows = rows.withColumn("_segment", (F.col(run) * flt.parts + segment_of(F.col("_key"), flt.parts)).cast("int"))
-    else:
-        rows = rows.withColumn("_segment", F.when(F.col("_key").isNotNull(), segment_of(F.col("_key"), flt.segments)))
-    one = flt.head if not flt.fixed_m and flt.segments == 1 and not flt.by_run and spec.variant != "balanced" else None
+        parts = F.lit(flt.parts)
+        if flt.run_parts is not None:
+            known = flt.run_parts.select(F.col("run").alias(my("run")), F.col("parts").alias(my("parts")))
+            rows = rows.join(small(known), F.col(f"`{run}`").cast("int") == my.col("run"), "left")
+            parts = my.col("parts")
+        return rows.withColumn(my("segment"), run_segment(F.col(f"`{run}`"), key, parts))
+    if flt.spec.sharding == "until_failure":
+        order = salted(key, ranges.RANGE)
+        rows = rows.withColumn(my("range"), reduce32(order, flt.segments)).withColumn(my("order"), order.bitwiseXOR(F.lit(-(1 << 63)).cast("long")))
+        # Each task's range has the bounds of its shards in one row: as many as its keys fill, at most ranges.PER_RANGE.
+        bounds = flt.meta.groupBy(F.shiftright("segment", 16).alias(my("range"))).agg(F.array_sort(F.collect_list("from_h")).alias(my("bounds")))
+        if flt.segments <= 1_000:
+            bounds = F.broadcast(bounds)
+        rows = rows.join(bounds, my("range"), "left")
+        at = F.size(F.filter(my.col("bounds"), lambda b: b <= my.col("order"))) - 1
+        return rows.withColumn(my("segment"), F.when(at >= 0, my.col("range") * ranges.PER_RANGE + at))
+    return rows.withColumn(my("segment"), F.when(key.isNotNull(), segment_of(key, flt.segments)).cast("long"))
+
+
+def located(df: DataFrame, keys: list[str] | str, flt: BandFilter, my: Names, run: str | None, hint: str | None) -> DataFrame:
+    """df with the window of each key, its coefficients and its fingerprint, and its block row (null if the filter has none)."""
+    rows = windowed(df, keys, flt, my, run)
+    blocks = flt.blocks.select(F.col("segment").alias(my("segment")), F.col("block").alias(my("block")), *[F.col(c).alias(my(c)) for c in ("words", "next_words", "third_words")])
+    if hint == "broadcast":
+        blocks = F.broadcast(blocks)
+    return rows.join(blocks, [my("segment"), my("block")], "left")
+
+
+def windowed(df: DataFrame, keys: list[str] | str, flt: BandFilter, my: Names, run: str | None = None) -> DataFrame:
+    """df with the window of each key, its coefficients and its fingerprint."""
+    spec = flt.spec
+    rows = keyed(df, keys, flt, my, run)
+    key = my.col("key")
+    plain = not flt.by_run and spec.variant != "balanced" and spec.sharding in ("hash", "fixed_bytes")
+    one = flt.head if not flt.fixed_m and flt.segments == 1 and plain else None
     if flt.fixed_m:
         m, seed = F.lit(flt.fixed_m).cast("long"), F.lit(0)
     elif one is not None and len(one) == 1:
         m, seed = F.lit(one[0].m).cast("long"), F.lit(one[0].seed)
     else:
-        extra = ["cuts", "shards", "defer"] if spec.variant == "balanced" else []
-        rows = rows.join(flt.meta.select(F.col("segment").alias("_segment"), F.col("m").alias("_m"), F.col("seed").alias("_seed"), *extra), "_segment", "left")
-        m, seed = F.col("_m"), F.col("_seed")
-    low, high = coefficients(F.col("_key"), seed, spec.w)
-    rows = rows.withColumn("_start", start_column(flt, F.col("_key"), m, seed))
-    rows = rows.withColumn("_block", F.shiftright("_start", 6).cast("int")).withColumn("_o", F.col("_start").bitwiseAND(F.lit(63).cast("long")).cast("int"))
-    rows = rows.withColumn("_low", low).withColumn("_high", high if high is not None else F.lit(None).cast("long"))
-    print_ = F.lit(0).cast("long") if spec.variant == "homogeneous" or flt.static else shr_print(flt, seed)
-    rows = rows.withColumn("_fp", print_)
-    blocks = flt.blocks.select(F.col("segment").alias("_segment"), F.col("block").alias("_block"), "words", "next_words", "third_words")
-    if hint == "broadcast":
-        blocks = F.broadcast(blocks)
-    return rows.join(blocks, ["_segment", "_block"], "left")
-
-
-def shr_print(flt: BandFilter, seed: Column) -> Column:
-    return F.shiftrightunsigned(fingerprint(F.col("_key"), seed, flt.first_column + flt.spec.r_hi), flt.first_column)
+        extra = ["cuts", "shards", "defer"] if spec.variant == "balanced" else ["shards", "defer"] if spec.sharding == "soft" else []
+        meta = flt.meta.select(*[F.col(c).alias(my(c)) for c in ("segment", "m", "seed", *extra)])
+        rows = rows.join(meta, my("segment"), "left")
+        m, seed = my.col("m"), my.col("seed")
+        if spec.sharding == "soft":
+            rows = rows.withColumn(my("place"), reduce32(salted(key, ROUTE), F.get(my.col("shards"), F.lit(0))))
+            rows = rows.withColumn(my("own_seed"), F.get(my.col("defer"), my.col("place").cast("int")))
+            seed = my.col("own_seed")
+    low, high = coefficients(key, seed, spec.w)
+    rows = rows.withColumn(my("start"), start_column(flt, my, m, seed))
+    rows = rows.withColumn(my("block"), F.shiftright(my("start"), 6).cast("int")).withColumn(my("o"), my.col("start").bitwiseAND(F.lit(63).cast("long")).cast("int"))
+    rows = rows.withColumn(my("low"), low).withColumn(my("high"), high if high is not None else F.lit(None).cast("long"))
+    print_ = F.lit(0).cast("long") if spec.variant == "homogeneous" or flt.static else F.shiftrightunsigned(fingerprint(key, seed, flt.first_column + spec.r_hi), flt.first_column)
+    return rows.withColumn(my("fp"), print_)
+
+
+def probe_expr(flt: BandFilter, my: Names, short_circuit: bool | str = "auto") -> Column:
+    """True if all result bits of the window match; on the columns that located() adds."""
+    return F.expr(f"CASE WHEN {my('words')} IS NOT NULL THEN {probe_text(flt, my, short_circuit)} ELSE false END")
 
 
-def probe_expr(flt: BandFilter, short_circuit: bool | str = "auto") -> Column:
-    """True if all result bits of the window match; on the columns that located() adds."""
+def probe_text(flt: BandFilter, my: Names, short_circuit: bool | str = "auto") -> str:
     spec = flt.spec
-    lanes = 2 if spec.w == 128 else 1
+    lanes, words, fp = 2 if spec.w == 128 else 1, my("words"), my("fp")
+    least = 1 if spec.sharding == "fixed_bytes" else spec.r_lo
     if short_circuit == "auto":
         short_circuit = spec.r_hi > 4
 
     def differs(j: int | str) -> str:
-        miss = f"({parity(j, lanes)} ^ CAST(shiftrightunsigned(_fp, {j}) & 1L AS INT))"
-        return f"(CASE WHEN size(words) > {j} THEN {miss} ELSE 0 END)" if isinstance(j, int) and j >= spec.r_lo else miss
+        miss = f"({parity(my, j, lanes)} ^ CAST(shiftrightunsigned({fp}, {j}) & 1L AS INT))"
+        return f"(CASE WHEN size({words}) > {j} THEN {miss} ELSE 0 END)" if isinstance(j, int) and j >= least else miss
 
     if spec.r_hi > UNROLLED:
-        body = f"forall(sequence(0, size(words) - 1), j -> {differs('j')} = 0)"
-    elif short_circuit:
-        body = " AND ".join(f"{differs(j)} = 0" for j in range(spec.r_hi))
-    else:
-        body = "(" + " | ".join(differs(j) for j in range(spec.r_hi)) + ") = 0"
-    return F.expr(f"CASE WHEN words IS NOT NULL THEN {body} ELSE false END")
+        return f"forall(sequence(0, size({words}) - 1), j -> {differs('j')} = 0)"
+    if short_circuit:
+        return " AND ".join(f"{differs(j)} = 0" for j in range(spec.r_hi))
+    return "(" + " | ".join(differs(j) for j in range(spec.r_hi)) + ") = 0"
 
 
 def relation_bytes(flt: BandFilter) -> tuple[int, int]:
@@ -126,67 +183,120 @@ def relation_bytes(flt: BandFilter) -> tuple[int, int]:
 
 def pick_mode(flt: BandFilter) -> str:
     compact, relation = relation_bytes(flt)
-    return "block_broadcast" if relation <= RELATION_BROADCAST else "broadcast" if compact <= COMPACT_BROADCAST else "block_shuffle"
+    whole = flt.by_run or flt.first_column  # what only the join can answer
+    return "block_broadcast" if relation <= RELATION_BROADCAST else "broadcast" if compact <= COMPACT_BROADCAST and not whole else "block_shuffle"
+
+
+def others(df: DataFrame, out: str) -> list[str]:
+    return [f"`{c}`" for c in df.columns if c != out]
 
 
 def probe(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: str = "maybe", mode: str = "auto", run: str | None = None, short_circuit: bool | str = "auto") -> DataFrame:
-    """df with a boolean: false means certainly not a member. A null key is no member."""
+    """df with a boolean: false means certainly not a member. A null key is no member.
+
+    mode: block_broadcast or block_shuffle (the join), broadcast (Arrow batches), auto (by the filter's measured size). A key
+    of another type than was stored is compared as an equi-join would, or refused.
+    """
     if flt.static:
         raise ValueError("a static function answers no membership queries")
+    if flt.spec.layout != "icm" and flt.spec.layout in ("row", "column"):
+        from bandloom.operators.layouts import probe_layout
+
+        return probe_layout(df, flt, keys, out, run)
     mode = pick_mode(flt) if mode == "auto" else mode
     if mode == "broadcast" and not (flt.by_run or flt.first_column):
         return probe_broadcast(df, flt, keys, out)
-    names = [c for c in df.columns if c != out]
-    rows = located(df, keys, flt, run, "broadcast" if mode == "block_broadcast" else None)
-    return rows.select(*[f"`{n}`" for n in names], F.coalesce(probe_expr(flt, short_circuit), F.lit(False)).alias(out))
+    my = Names(df)
+    rows = located(df, keys, flt, my, run, "broadcast" if mode == "block_broadcast" else None)
+    return rows.select(*others(df, out), F.coalesce(probe_expr(flt, my, short_circuit), F.lit(False)).alias(out))
 
 
 def lookup_static(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: str = "value", mode: str = "auto") -> DataFrame:
     """df with the static function's value of each key (arbitrary for keys it was not built for)."""
     mode = pick_mode(flt) if mode == "auto" else mode
-    names = [c for c in df.columns if c != out]
-    rows = located(df, keys, flt, None, None if mode == "block_shuffle" else "broadcast")
-    lanes = 2 if flt.spec.w == 128 else 1
+    if mode == "broadcast":
+        return lookup_broadcast(df, flt, keys, out)
+    my = Names(df)
+    rows = located(df, keys, flt, my, None, "broadcast" if mode == "block_broadcast" else None)
+    lanes, words = 2 if flt.spec.w == 128 else 1, my("words")
     if flt.spec.r_hi > UNROLLED:
-        bits = f"transform(words, (x, j) -> shiftleft(CAST({parity('j', lanes)} AS BIGINT), j))"
+        bits = f"transform({words}, (x, j) -> shiftleft(CAST({parity(my, 'j', lanes)} AS BIGINT), j))"
         value = F.expr(f"aggregate({bits}, 0L, (a, b) -> a | b)")
     else:
-        value = F.expr(" | ".join(f"shiftleft(CAST({parity(j, lanes)} AS BIGINT), {j})" for j in range(flt.spec.r_hi)))
-    return rows.select(*[f"`{n}`" for n in names], F.when(F.col("words").isNotNull(), value).alias(out))
+        value = F.expr(" | ".join(f"shiftleft(CAST({parity(my, j, lanes)} AS BIGINT), {j})" for j in range(flt.spec.r_hi)))
+    return rows.select(*others(df, out), F.when(my.col("words").isNotNull(), value).alias(out))
+
+
+class Collected:
+    """The compact form, in one process: segments by number, and which of them holds a key."""
 
+    def __init__(self, flt: BandFilter, segments: dict[int, Segment]):
+        self.spec, self.n, self.segments = flt.spec, flt.segments, segments
+        self.names = np.array(sorted(segments), np.int64)
+        self.bounds = np.array([segments[s].from_h for s in self.names.tolist()], np.int64) if flt.spec.sharding == "until_failure" else None
 
-def collected(flt: BandFilter, limit: int = COMPACT_BROADCAST) -> dict[int, Segment]:
+    def home(self, key_h: np.ndarray) -> np.ndarray:
+        if self.bounds is None:
+            return segment_np(key_h, self.n)
+        return self.names[np.searchsorted(self.bounds, ranges.order_hash(key_h), "right") - 1] if len(self.names) else np.zeros(len(key_h), np.int64)
+
+    def each(self, key_h: np.ndarray):
+        """(rows, segment) of the keys of each segment that some key falls into."""
+        home = self.home(key_h)
+        order = np.argsort(home, kind="stable")
+        for rows in np.split(order, np.flatnonzero(np.diff(home[order])) + 1):
+            if len(rows) and (seg := self.segments.get(int(home[rows[0]]))):
+                yield rows, seg
+
+    def contains(self, key_h: np.ndarray) -> np.ndarray:
+        got = np.zeros(len(key_h), bool)
+        for rows, seg in self.each(key_h):
+            got[rows] = contains(seg, self.spec, key_h[rows])
+        return got
+
+    def values(self, key_h: np.ndarray) -> np.ndarray:
+        got = np.zeros(len(key_h), np.int64)
+        for rows, seg in self.each(key_h):
+            got[rows] = query_segment(seg, self.spec, key_h[rows]).view(np.int64)
+        return got
+
+
+def collected(flt: BandFilter, limit: int = COMPACT_BROADCAST) -> Collected:
     """The compact form on the driver; refused above a checked size."""
+    if flt.by_run or flt.first_column:
+        raise ValueError("filters kept by run or split by columns are probed by the join")
     compact, _ = relation_bytes(flt)
     if compact > limit:
         raise ValueError(f"{compact} bytes exceed the broadcast bound of {limit}")
-    r, out = flt.spec.r_hi, {}
+    out = {}
     for m in flt.meta.collect():
-        out[m.segment] = Segment(m.segment, m.m, m.seed, m.n_rows, np.zeros((m.m // 64, r), np.uint64), m.split_block, np.array(m.defer, np.int64), list(m.shards), m.alpha)
+        width = flt.spec.r_hi if m.r is None else flt.spec.but(r=m.r).r_hi
+        out[m.segment] = Segment(m.segment, m.m, m.seed, m.n_rows, np.zeros((m.m // 64, width), np.uint64), m.split_block, np.array(m.defer, np.int64), list(m.shards), m.alpha, r=m.r, from_h=m.from_h)
     for b in flt.blocks.select("segment", "block", "words").collect():
         out[b.segment].words[b.block, : len(b.words)] = np.array(b.words, np.int64).view(np.uint64)
-    return out
+    return Collected(flt, out)
 
 
-def probe_broadcast(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: str = "maybe") -> DataFrame:
+def hashed_call(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: str, kind: str, method: str, absent: Column) -> DataFrame:
+    """df with a vectorised call of the collected filter on the key hash."""
     spark = df.sparkSession
     ship(spark)
-    spec, segments = flt.spec, flt.segments
     shared = spark.sparkContext.broadcast(collected(flt))
 
-    @F.pandas_udf("boolean")
-    def member(key_h: pd.Series) -> pd.Series:
-        h = key_h.to_numpy()
-        where, got = segment_np(h, segments), np.zeros(len(h), bool)
-        for s, seg in shared.value.items():
-            rows = np.flatnonzero(where == s)
-            if len(rows):
-                got[rows] = contains(seg, spec, h[rows])
-        return pd.Series(got)
+    @F.pandas_udf(kind)
+    def call(key_h: pd.Series) -> pd.Series:
+        return pd.Series(getattr(shared.value, method)(key_h.to_numpy()))
 
     # A nullable long would reach pandas as a double and lose bits, so nulls are replaced before the call.
-    hashed = df.withColumn("_key", key_hash(df, keys))
-    names = [c for c in df.columns if c != out]
-    maybe = F.when(F.col("_key").isNotNull(), member(F.coalesce("_key", F.lit(0).cast("long")))).otherwise(F.lit(False))
-    return hashed.select(*[f"`{n}`" for n in names], maybe.alias(out))
+    my = Names(df)
+    hashed = df.withColumn(my("key"), key_hash(df, keys, flt.kinds))
+    value = F.when(my.col("key").isNotNull(), call(F.coalesce(my.col("key"), F.lit(0).cast("long")))).otherwise(absent)
+    return hashed.select(*others(df, out), value.alias(out))
+
+
+def probe_broadcast(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: str = "maybe") -> DataFrame:
+    return hashed_call(df, flt, keys, out, "boolean", "contains", F.lit(False))
+
 
+def lookup_broadcast(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: str = "value") -> DataFrame:
+    return hashed_call(df, flt, keys, out, "long", "values", F.lit(None).cast("long"))

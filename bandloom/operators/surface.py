@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+from contextlib import contextmanager
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.classic.column import Column as ClassicColumn
 
-from bandloom.functions.hashing import ROUTE, START, coefficients_np, clamp_start_np, key_hash, salted, salted_np, segment_np
-from bandloom.kernel.bands import contains
+from bandloom.functions.hashing import ROUTE, START, coefficients_np, clamp_start_np, key_hash, salted, salted_np
 from bandloom.operators.build import BandFilter, build_filter
 from bandloom.operators.probe import collected, probe
 from bandloom.runtime import ship
@@ -23,19 +25,12 @@ def register_sql(spark: SparkSession, flt: BandFilter, prefix: str = "filter") -
     ship(spark)
     flt.meta.createOrReplaceTempView(f"{prefix}_meta")
     flt.blocks.createOrReplaceTempView(f"{prefix}_blocks")
-    spec, segments = flt.spec, flt.segments
+    spec = flt.spec
     shared = spark.sparkContext.broadcast(collected(flt))
 
-    @F.pandas_udf("boolean")
-    def member(key_h: pd.Series) -> pd.Series:
-        known = key_h.notna().to_numpy()
-        h = key_h.fillna(0).astype("int64").to_numpy()
-        where, got = segment_np(h, segments), np.zeros(len(h), bool)
-        for s, seg in shared.value.items():
-            rows = np.flatnonzero((where == s) & known)
-            if len(rows):
-                got[rows] = contains(seg, spec, h[rows])
-        return pd.Series(got)
+    @F.arrow_udf("boolean")  # a null among longs would make pandas round them all to doubles
+    def member(key_h: pa.Array) -> pa.Array:
+        return pa.array(shared.value.contains(key_h.fill_null(0).to_numpy()) & key_h.is_valid().to_numpy(zero_copy_only=False))
 
     @F.pandas_udf("long")
     def start(key_h: pd.Series, m: pd.Series) -> pd.Series:
@@ -81,11 +76,33 @@ def jvm_bloom(df: DataFrame, column: str, n: int, fpp: float = 0.01):
     return df._jdf.stat().bloomFilter(column, n, fpp)
 
 
+def jvm_might_contain(spark: SparkSession, sketch, column: str) -> Column:
+    """The sketch's answer as a column expression of the engine, on a long column."""
+    buffer = spark._jvm.java.io.ByteArrayOutputStream()
+    sketch.writeTo(buffer)
+    utils = spark._jvm.org.apache.spark.sql.classic.ExpressionUtils
+    parts = [utils.expression(c._jc) for c in (F.lit(bytearray(buffer.toByteArray())), F.col(f"`{column}`"))]
+    return ClassicColumn(utils.column(spark._jvm.org.apache.spark.sql.catalyst.expressions.BloomFilterMightContain(*parts)))
+
+
+@contextmanager
+def settings(spark: SparkSession, values: dict[str, str]):
+    """Runtime settings of the session for a while."""
+    before = {k: spark.conf.get(k, None) for k in values}
+    try:
+        for k, v in values.items():
+            spark.conf.set(k, v)
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
 def runtime_filtered(spark: SparkSession, fact: DataFrame, dim: DataFrame, on: list[str]) -> tuple[DataFrame, dict[str, str]]:
     """The engine's runtime join filter as a baseline: the plain join, and the session settings (for the caller to set and
     restore) under which it fires on inputs of test size."""
-    settings = {
+    wanted = {
         "spark.sql.optimizer.runtime.bloomFilter.enabled": "true", "spark.sql.optimizer.runtime.bloomFilter.applicationSideScanSizeThreshold": "0",
         "spark.sql.autoBroadcastJoinThreshold": "-1",
     }
-    return fact.join(dim, on), settings
+    return fact.join(dim, on), wanted

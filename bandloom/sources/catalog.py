@@ -8,8 +8,10 @@ from dataclasses import asdict, dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from bandloom.operators.build import BandFilter, build_filter
-from bandloom.operators.probe import probe
+from bandloom.functions.hashing import SEGMENT, coefficients, fingerprint, key_hash, reduce32, salted
+from bandloom.operators.build import BandFilter, build_filter, small
+from bandloom.operators.probe import Names, probe_text, start_column
+from bandloom.runtime import written
 from bandloom.spec import FilterSpec
 
 
@@ -18,12 +20,17 @@ def save(flt: BandFilter, path: str) -> None:
     spark = flt.meta.sparkSession
     flt.meta.write.mode("overwrite").parquet(f"{path}/meta")
     flt.blocks.write.mode("overwrite").parquet(f"{path}/blocks")
-    head = {"spec": asdict(flt.spec), "segments": flt.segments, "fixed_m": flt.fixed_m, "static": flt.static, "first_column": flt.first_column, "by_run": flt.by_run, "parts": flt.parts}
+    head = {"spec": asdict(flt.spec), "segments": flt.segments, "fixed_m": flt.fixed_m, "static": flt.static, "first_column": flt.first_column, "by_run": flt.by_run, "parts": flt.parts, "kinds": flt.kinds}
+    if flt.run_parts is not None:
+        flt.run_parts.write.mode("overwrite").parquet(f"{path}/run_parts")
+        head["run_parts"] = True
     spark.createDataFrame([(json.dumps(head),)], "spec string").coalesce(1).write.mode("overwrite").parquet(f"{path}/spec")
 
 
 def load(spark: SparkSession, path: str) -> BandFilter:
     head = json.loads(spark.read.parquet(f"{path}/spec").first()[0])
+    head["kinds"] = tuple(head["kinds"]) if head.get("kinds") else None
+    head["run_parts"] = spark.read.parquet(f"{path}/run_parts") if head.pop("run_parts", False) else None
     return BandFilter(FilterSpec(**head.pop("spec")), meta=spark.read.parquet(f"{path}/meta"), blocks=spark.read.parquet(f"{path}/blocks"), **head)
 
 
@@ -39,52 +46,100 @@ def register_views(flt: BandFilter, prefix: str = "filter") -> None:
     flt.blocks.createOrReplaceTempView(f"{prefix}_blocks")
 
 
+RUNS_PER_ROW = 256
+SKIP = FilterSpec(variant="homogeneous", step=1.1)
+
+
 @dataclass(frozen=True)
 class RunStore:
-    """Immutable runs: data partitioned by run, one filter for all of them keyed by (run, segment), and zone maps."""
+    """Immutable runs: data partitioned by run, one filter for all of them keyed by (run, segment), and zone maps.
+
+    shelves: the runs' blocks, those of up to RUNS_PER_ROW runs of one size side by side, so that a key asks that many runs
+    with one row; classes: the sizes (m, seed, parts) and shelf numbers there are.
+    """
 
     data: DataFrame
     run: str
     keys: list[str]
     flt: BandFilter
     zones: DataFrame
+    shelves: DataFrame
+    classes: DataFrame
+
+
+SIZE = ["m", "seed", "parts", "shelf"]
 
 
-def write_runs(df: DataFrame, run: str, keys: list[str], path: str, spec: FilterSpec = FilterSpec(variant="standard", edge=16), parts: int = 1) -> RunStore:
+def write_runs(df: DataFrame, run: str, keys: list[str], path: str, spec: FilterSpec = SKIP, parts: int | None = None) -> RunStore:
     """Write df partitioned by its int run column, and each run's filter beside it."""
     spark = df.sparkSession
     df.write.mode("overwrite").partitionBy(run).parquet(f"{path}/data")
     data = spark.read.parquet(f"{path}/data")
-    flt = build_filter(data, keys, spec, run=run, parts=parts)
-    save(flt, f"{path}/filters")
+    save(build_filter(data, keys, spec, run=run, parts=parts), f"{path}/filters")
     zones = data.groupBy(run).agg(F.count("*").alias("n_rows"), F.min(keys[0]).alias("least"), F.max(keys[0]).alias("most"))
     zones.write.mode("overwrite").parquet(f"{path}/zones")
-    return RunStore(data, run, keys, load(spark, f"{path}/filters"), spark.read.parquet(f"{path}/zones"))
+    flt, zones = load(spark, f"{path}/filters"), spark.read.parquet(f"{path}/zones")
+    own = F.shiftright("segment", 24).cast("int")
+    counted = flt.run_parts if flt.run_parts is not None else flt.meta.select(own.alias("run")).distinct().withColumn("parts", F.lit(flt.parts))
+    shelf = F.pmod(F.xxhash64("run"), F.lit(max(1, -(-zones.count() // RUNS_PER_ROW)))).cast("int").alias("shelf")
+    named = flt.meta.select("segment", "m", "seed", own.alias("run")).join(counted, "run").select("*", shelf, F.col("segment").bitwiseAND(F.lit((1 << 24) - 1).cast("long")).alias("part"))
+    named = named.join(zones.select(F.col(run).alias("run"), "least", "most"), "run")
+    piece = F.struct("run", "least", "most", "words", "next_words", "third_words").alias("piece")
+    flt.blocks.select("segment", "block", "words", "next_words", "third_words").join(named, "segment").groupBy(*SIZE, "part", "block").agg(F.collect_list(piece).alias("pieces")).write.mode("overwrite").parquet(f"{path}/shelves")
+    shelves = spark.read.parquet(f"{path}/shelves")
+    shelves.select(*SIZE).distinct().write.mode("overwrite").parquet(f"{path}/classes")
+    return RunStore(data, run, keys, flt, zones, shelves, spark.read.parquet(f"{path}/classes"))
+
+
+class Piece(Names):
+    """The same names, but for the words, which are those of a lambda's x."""
+
+    def __call__(self, name: str) -> str:
+        return f"x.{name}" if name.endswith("words") else super().__call__(name)
 
 
 def candidate_runs(store: RunStore, wanted: DataFrame) -> DataFrame:
     """(keys, run) pairs that zone map and filter leave of every wanted key with every run.
 
-    The zones are one row per run (checked small before the broadcast); pairs outside a run's key range never form.
+    A key meets one relation row for each size of run and shelf of RUNS_PER_ROW runs, not one for each run; the runs inside
+    a row are asked there, and only those left become rows.
     """
-    first = store.keys[0]
-    zones = store.zones.select(store.run, "least", "most")
-    if zones.count() > 100_000:
-        raise ValueError("too many runs to broadcast their zones: compact runs first")
-    near = wanted.select(*store.keys).distinct().join(F.broadcast(zones), F.col(first).between(F.col("least"), F.col("most")))
-    return probe(near, store.flt, store.keys, "_maybe", mode="block_shuffle", run=store.run).where("_maybe").select(*store.keys, store.run)
+    flt, spec, first = store.flt, store.flt.spec, store.keys[0]
+    asked = wanted.select(*store.keys).distinct()
+    my = Piece(asked)
+    one = flt.but(by_run=False, segments=1, fixed_m=None, meta=None)
+    key = my.col("key")
+    classes = store.classes.select(*[F.col(c).alias(my(c)) for c in SIZE])
+    rows = asked.withColumn(my("key"), key_hash(asked, store.keys, flt.kinds)).where(key.isNotNull()).crossJoin(small(classes, 10_000))  # sizes and shelves, not runs
+    low, high = coefficients(key, my.col("seed"), spec.w)
+    rows = rows.withColumn(my("part"), reduce32(salted(key, SEGMENT), my.col("parts"))).withColumn(my("start"), start_column(one, my, my.col("m"), my.col("seed")))
+    rows = rows.withColumn(my("block"), F.shiftright(my("start"), 6).cast("int")).withColumn(my("o"), my.col("start").bitwiseAND(F.lit(63).cast("long")).cast("int"))
+    rows = rows.withColumn(my("low"), low).withColumn(my("high"), high if high is not None else F.lit(None).cast("long"))
+    rows = rows.withColumn(my("fp"), F.lit(0).cast("long") if spec.variant == "homogeneous" else fingerprint(key, my.col("seed"), spec.r_hi))
+    on = [*SIZE, "part", "block"]
+    shelves = store.shelves.select(*[F.col(c).alias(my(c)) for c in on], F.col("pieces").alias(my("pieces")))
+    rows = rows.join(shelves, [my(c) for c in on])
+    match = f"`{first}` BETWEEN x.least AND x.most AND {probe_text(flt, my)}"
+    found = F.expr(f"transform(filter({my('pieces')}, x -> {match}), x -> x.run)")
+    return rows.select(*store.keys, F.explode(found).alias(store.run))
 
 
 def multi_get(store: RunStore, wanted: DataFrame) -> DataFrame:
     """The stored rows of the wanted keys, read from candidate runs only and verified exactly."""
-    pairs = candidate_runs(store, wanted)
-    return store.data.join(pairs, [*store.keys, store.run])
+    pairs, _ = written(candidate_runs(store, wanted), "pairs")
+    return needed(store, pairs).join(pairs, [*store.keys, store.run])
+
+
+def needed(store: RunStore, pairs: DataFrame, most: int = 10_000) -> DataFrame:
+    """The data of the runs that some pair names: their partitions alone are listed and read, if there are at most so many."""
+    runs = [r[0] for r in pairs.select(store.run).distinct().limit(most + 1).collect()]
+    return store.data.where(F.col(store.run).isin(runs)) if len(runs) <= most else store.data
 
 
 def skip_counts(store: RunStore, wanted: DataFrame) -> DataFrame:
     """Pairs of keys and runs in all, those left by the zones and filters, and those that really hold the key."""
     n_keys, n_runs = wanted.select(*store.keys).distinct().count(), store.zones.count()
-    pairs = candidate_runs(store, wanted)
+    pairs, _ = written(candidate_runs(store, wanted), "pairs")
     real = pairs.join(store.data.select(*store.keys, store.run).distinct(), [*store.keys, store.run], "left_semi")
     left = pairs.agg(F.count("*").alias("n_candidates")).crossJoin(real.agg(F.count("*").alias("n_real")))
     return left.withColumn("n_pairs", F.lit(n_keys * n_runs).cast("long"))

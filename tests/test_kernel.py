@@ -237,7 +237,7 @@ def test_soft_shards_with_reseeding():
 
     own = keys(6000, 2)
     m = P.rows_for(len(own), 0.08, 64)
-    ok, bank, chosen, tried = softshards.build(own, lambda k, seed: H.fingerprint_np(k, seed, 7), m, 64, 6)
+    ok, bank, chosen, tried = softshards.build(own, lambda rows, seed: H.fingerprint_np(own[rows], seed, 7), m, 64, 6)
     assert ok and tried >= 6
     words = back_substitute(bank, 7, m)
     start, seed = softshards.start_of(own, m, 64, 6, chosen)

@@ -1,5 +1,6 @@
 """The Spark operators: exactness, odd keys, plans, elasticity, persistence, runs, streams."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -44,6 +45,124 @@ def test_odd_keys(spark):
         build_filter(df.select(F.create_map("s", "i").alias("m")), "m")
 
 
+TYPES = ("tinyint", "bigint", "decimal(12,1)", "decimal(12,2)", "decimal(30,20)", "double", "float")
+DAYS = ("date", "timestamp", "timestamp_ntz")
+
+
+def test_every_pair_of_types_is_compared_as_a_join_does(spark):
+    numbers = spark.sql("SELECT id AS n, CAST(id AS decimal(20,0)) AS v FROM range(-40, 60)").unionByName(spark.sql("SELECT id + 1000 AS n, CAST(id + 0.5 AS decimal(20,1)) AS v FROM range(0, 40)").selectExpr("n", "CAST(v AS decimal(21,1)) AS v"))
+    days = spark.sql("SELECT id AS n, timestamp_ntz'2024-03-01 00:00:00' + make_interval(0, 0, 0, 0, CAST(id * 6 AS INT)) AS v FROM range(0, 80)")
+    for base, types in ((numbers, TYPES), (days, DAYS)):
+        sides = {t: base.select("n", F.col("v").cast(t).alias("k")) for t in types}
+        for a in types:
+            for b in types:
+                left, right = sides[a].where("n % 2 = 0 or n % 5 = 0"), sides[b].where("n % 3 <> 0").withColumnRenamed("k", "j")
+                semi = verified_semi(left, right, ["k"], ["j"], FilterSpec(variant="standard")).count()
+                anti = verified_anti(left, right, ["k"], ["j"], FilterSpec(variant="standard")).count()
+                want = left.join(right, F.col("k") == F.col("j"), "left_semi").count()
+                assert (semi, anti) == (want, left.count() - want), (a, b)
+
+
+def test_probe_of_another_type_is_coerced_or_refused(spark):
+    whole = spark.range(50).select(F.col("id").cast("decimal(12,1)").alias("k"))
+    flt = build_filter(whole, "k", FilterSpec(variant="standard"))
+    for t in ("decimal(12,2)", "bigint", "int", "decimal(38,30)"):
+        assert n_true(probe(whole.select(F.col("k").cast(t).alias("k")), flt, "k")) == 50
+    with pytest.raises(TypeError, match="exact"):
+        probe(whole.select(F.col("k").cast("double").alias("k")), flt, "k")
+    doubles = build_filter(whole.select(F.col("k").cast("double").alias("k")), "k", FilterSpec(variant="standard"))
+    assert n_true(probe(whole, doubles, "k")) == 50
+    days = spark.sql("SELECT date'2024-02-27' + CAST(id AS INT) AS k FROM range(0, 9)")
+    by_day = build_filter(days, "k", FilterSpec(variant="standard", r=20))
+    for t in DAYS:
+        assert n_true(probe(days.select(F.col("k").cast(t).alias("k")), by_day, "k")) == 9
+    assert n_true(probe(days.select((F.col("k").cast("timestamp") + F.expr("interval 1 hour")).alias("k")), by_day, "k")) == 0
+    with pytest.raises(TypeError):
+        probe(days.select(F.col("k").cast("string").alias("k")), by_day, "k")
+    with pytest.raises(ValueError, match="key columns"):
+        probe(whole.withColumn("j", F.lit(1)), flt, ["k", "j"])
+
+
+def test_nested_keys(spark):
+    rows = [((0.0, [1.0, float("nan")]),), ((-0.0, [1.0, float("nan")]),), ((2.0, []),), ((3.0, [None, -0.0]),), ((None, [5.0]),)]
+    df = spark.createDataFrame(rows, "s struct<a:double,b:array<double>>")
+    flt = build_filter(df, "s", FilterSpec(variant="standard", r=20))
+    assert flt.meta.first().n_rows == 4
+    turned = spark.createDataFrame([((-0.0, [1.0, float("nan")]),), ((3.0, [None, 0.0]),), ((9.0, []),)], "s struct<a:double,b:array<double>>")
+    assert [r.maybe for r in probe(turned, flt, "s").collect()] == [True, True, False]
+
+
+CLASHES = ["words", "next_words", "third_words", "cuts", "shards", "defer", "segment", "block", "_maybe", "_b_key", "_b_words", "_key", "w0", "w7", "block_", "run", "parts", "bits", "word", "maybe"]
+
+
+def test_clashing_columns(spark, sf):
+    orders = table(spark, sf, "orders").select("o_orderkey", *[F.lit(7).alias(c) for c in CLASHES])
+    for spec in (FilterSpec(), FilterSpec(variant="standard", w=128), FilterSpec(variant="balanced", segment_keys=700), FilterSpec(variant="standard", sharding="soft"), FilterSpec(variant="standard", sharding="until_failure"), FilterSpec(layout="row"), FilterSpec(layout="column", r=2)):
+        flt = build_filter(orders, "o_orderkey", spec)
+        for mode in ("block_broadcast", "block_shuffle", "broadcast"):
+            got = probe(orders, flt, "o_orderkey", "found", mode=mode)
+            assert got.columns == [*orders.columns, "found"] and got.where("found and words = 7 and defer = 7 and _b_key = 7").count() == 1500
+    assert verified_semi(orders, orders, ["o_orderkey"], ["o_orderkey"]).columns == orders.columns
+    fn = build_static(orders, "o_orderkey", F.col("o_orderkey") % 8, 3)
+    for mode in ("block_broadcast", "block_shuffle", "broadcast"):
+        assert lookup_static(orders, fn, "o_orderkey", "v", mode).where("v <> o_orderkey % 8").count() == 0
+    for family in ("bloom", "xor"):
+        flt = segmented.build(orders, "o_orderkey", family)
+        for limit in (0, 1 << 20):
+            assert segmented.probe(orders, flt, "o_orderkey", "found", limit).where("found and words = 7").count() == 1500
+    bloom = relational.build_bloom(orders, "o_orderkey", 4096, 3)
+    assert relational.probe_bloom(orders, bloom, "o_orderkey", "found").where("found and word = 7 and bits = 7").count() == 1500
+    blocked = relational.build_blocked_bloom(orders, "o_orderkey", 64)
+    assert relational.probe_blocked_bloom(orders, blocked, "o_orderkey", 64, "found").where("found and w0 = 7 and block = 7").count() == 1500
+
+
+@pytest.mark.parametrize("spec", [
+    FilterSpec(variant="standard", sharding="until_failure", segment_keys=700), FilterSpec(variant="standard", sharding="until_failure", r=5.5, w=32, shard_rows=512),
+    FilterSpec(variant="standard", sharding="soft", segment_keys=700, shard_rows=256), FilterSpec(sharding="fixed_bytes", segment_keys=200), FilterSpec(variant="standard", sharding="fixed_bytes", r=5.25, segment_keys=400),
+    FilterSpec(layout="row", r=5.5), FilterSpec(layout="column", variant="standard", r=3), FilterSpec(layout="row", w=128), FilterSpec(layout="column", w=128, r=2.5),
+])
+def test_shardings_and_layouts(spark, sf, spec):
+    orders = table(spark, sf, "orders")
+    flt = build_filter(orders, "o_orderkey", spec)
+    assert flt.meta.agg(F.sum("n_rows")).first()[0] == 1500
+    assert measures.count_false_negatives(flt, orders, "o_orderkey").first().misses == 0
+    neg = spark.range(10**9, 10**9 + 40_000).withColumnRenamed("id", "k")
+    rate = n_true(probe(neg, flt, "k")) / 40_000
+    assert rate < 1.7 * 2.0 ** -int(spec.r) and rate > 0.5 * 2.0 ** -(int(spec.r) + 1)
+    if spec.layout == "icm":
+        assert n_true(probe(neg, flt, "k", mode="broadcast")) == n_true(probe(neg, flt, "k", mode="block_shuffle")) == round(rate * 40_000)
+        if spec.sharding == "fixed_bytes":
+            sizes = flt.meta.agg(F.min("bits"), F.max("bits")).first()
+            assert sizes[1] - sizes[0] <= 64 * 2 and flt.meta.select("r").distinct().count() > 1
+    else:
+        plain = flt.but(spec=spec.but(layout="icm"))
+        assert n_true(probe(neg, plain, "k")) == round(rate * 40_000)
+
+
+def test_redundant_equations_can_fail(spark):
+    from bandloom.kernel.bands import NoSolution, build_segments
+
+    own = np.arange(1, 2000, dtype=np.int64) * 7919
+    tight = FilterSpec(eps=-0.2, seeds=3)
+    (seg,) = build_segments({0: own}, tight)
+    assert seg.redundant > 0
+    with pytest.raises(NoSolution):
+        build_segments({0: own}, tight.but(redundant="fail"))
+    assert build_segments({0: own}, FilterSpec(eps=0.6, redundant="fail"))[0].redundant == 0
+
+
+def test_runs_have_parts_by_their_size(spark):
+    rows = spark.range(6000).select("id", F.when(F.col("id") < 5000, 1).when(F.col("id") < 5900, 2).otherwise(-3).alias("run"))
+    flt = build_filter(rows, "id", FilterSpec(variant="standard", segment_keys=1000), run="run")
+    assert flt.meta.count() == 7
+    asked = rows.withColumn("parts", F.lit(1))
+    assert probe(asked, flt, "id", run="run").where("maybe").count() == 6000
+    assert probe(asked.withColumn("run", F.lit(99)), flt, "id", run="run").where("maybe").count() == 0
+    path = scratch(spark, "runs")
+    catalog.save(flt, path)
+    assert probe(asked, catalog.load(spark, path), "id", run="run").where("maybe").count() == 6000
+
+
 def test_empty_and_repeated_input(spark):
     none = spark.createDataFrame([], "k long")
     for spec in (FilterSpec(), FilterSpec(variant="standard"), FilterSpec(variant="balanced")):
@@ -154,9 +273,44 @@ def test_streams(spark, sf, tmp_path):
 
 
 def test_stateful_prefix_runs(spark, tmp_path):
-    spark.range(4000).repartition(2).write.parquet(str(tmp_path / "k"))
-    stream = spark.readStream.schema("id long").parquet(str(tmp_path / "k"))
-    q = streams.prefix_runs(stream, ["id"], 2, 512).writeStream.outputMode("append").format("memory").queryName("runs").trigger(availableNow=True).start()
+    spark.range(4000).repartition(4).write.parquet(str(tmp_path / "k"))
+    stream = spark.readStream.schema("id long").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "k"))
+    q = streams.prefix_runs(stream, ["id"], 2, rows=512).writeStream.outputMode("append").format("memory").queryName("runs").trigger(availableNow=True).start()
     q.awaitTermination()
-    rows = spark.table("runs").collect()
-    assert len(rows) >= 4 and all(0.85 * 512 < r.n_keys <= 512 for r in rows)
+    runs = spark.table("runs")
+    closed = runs.where("closed").collect()
+    assert len(closed) >= 4 and all(0.85 * 512 < r.n_keys <= 512 for r in closed)
+    got = streams.probe_prefix_runs(spark.range(4000).withColumn("shard", F.lit(1)), ["id"], runs, 2)
+    assert got.where("maybe").count() == 4000 and got.columns == ["id", "shard", "maybe"]
+    assert n_true(streams.probe_prefix_runs(spark.range(10**6, 10**6 + 5000), ["id"], runs, 2)) < 5000 * 8 * 2**-7
+    assert n_true(streams.probe_prefix_runs(spark.range(10), ["id"], runs.limit(0), 2)) == 0
+
+
+def test_late_rows_and_repeats(spark, sf, tmp_path):
+    events = table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    border = events.agg(F.expr("percentile_approx(ts, 0.5)")).first()[0]
+    now, late = streams.split_late(events, border)
+    assert now.count() + late.count() == events.count() and late.count() > 0 and late.where(F.col("ts") >= F.lit(border)).count() == 0
+    flt = build_filter(now, "event_id", FilterSpec(variant="standard"))
+    overflow = build_filter(late, "event_id", FilterSpec(variant="standard"))  # late rows: a run of their own
+    assert probe(probe(events, flt, "event_id", "a"), overflow, "event_id", "b").where("not (a or b)").count() == 0
+    twice = events.unionByName(events)
+    assert streams.first_in_watermark(twice, ["event_id"], "1 day").count() == events.count()
+    twice.write.parquet(str(tmp_path / "twice"))
+    stream = streams.read_events(spark, str(tmp_path / "twice"), twice.schema)
+    q = streams.first_in_watermark(stream, ["event_id"], "3650 days").writeStream.format("memory").queryName("once").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert spark.table("once").count() == events.count()
+
+
+def test_run_lookup_reads_only_the_runs_it_needs(spark, sf):
+    runs = table(spark, sf, "orders").select("o_orderkey", F.date_format("o_orderdate", "yyyyMM").cast("int").alias("run_id"))
+    store = catalog.write_runs(runs, "run_id", ["o_orderkey"], scratch(spark, "runs"))
+    assert store.classes.count() < 0.2 * store.zones.count()
+    wanted = runs.where("o_orderkey in (3, 700)")
+    got = catalog.multi_get(store, wanted)
+    assert sorted(map(tuple, got.select("o_orderkey", "run_id").collect())) == sorted(map(tuple, wanted.collect()))
+    pairs = catalog.candidate_runs(store, wanted)
+    assert measures.files_read(catalog.needed(store, pairs)) < 0.3 * measures.files_read(store.data)
+    plan = measures.shuffle_plan(pairs)
+    assert plan["python"] == 0
