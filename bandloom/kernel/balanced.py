@@ -56,11 +56,15 @@ class Routing:
         shard = np.searchsorted(self.cuts, (h >> U64(32)).astype(np.int64), "right")
         return shard, np.searchsorted(self.buckets, (h & U64(0xFFFFFFFF)).astype(np.int64), "right")
 
+    def following(self) -> tuple[np.ndarray, np.ndarray]:
+        """For each shard the first shard, and the number of shards, of the tier after its own (the last tier stays)."""
+        tier = np.minimum(self.tier_of(np.arange(self.total)) + 1, len(self.shards) - 1)
+        return np.concatenate([[0], np.cumsum(self.shards)])[tier], np.array(self.shards)[tier]
+
     def secondary(self, key_h: np.ndarray, shard: np.ndarray, seed: int) -> np.ndarray:
-        """A shard of the tier after the primary one's (the last tier stays)."""
-        tier = np.minimum(self.tier_of(shard) + 1, len(self.shards) - 1)
-        first = np.concatenate([[0], np.cumsum(self.shards)])
-        return first[tier] + reduce32_np(salted_np(key_h, SECOND, seed), np.array(self.shards)[tier])
+        """A shard of the tier after the primary one's."""
+        first, size = self.following()
+        return first[shard] + reduce32_np(salted_np(key_h, SECOND, seed), size[shard])
 
     def start_in(self, key_h: np.ndarray, shard: np.ndarray, starts: int, seed: int) -> np.ndarray:
         """Start row within the shard's share of the start range."""

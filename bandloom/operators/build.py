@@ -28,7 +28,7 @@ SEGMENTS_PER_TASK = 8
 HEAD = 1024
 META = (
     "segment long, m long, seed int, n_rows long, n_redundant long, attempts int, additions long, displacement long, "
-    "split_block int, bits long, build_ns long, shards array<int>, alpha double, cuts array<long>, defer array<int>, deferred array<long>, r double, from_h long"
+    "split_block int, bits long, build_ns long, shards array<int>, alpha double, cuts array<long>, defer array<int>, deferred array<long>, r double, from_h long, next_first array<long>, next_size array<long>"
 )
 BLOCKS = "segment long, block int, n_blocks int, words array<long>, next_words array<long>, third_words array<long>"
 
@@ -85,13 +85,21 @@ def block_batch(seg: Segment, spec: FilterSpec) -> pa.RecordBatch:
 
 
 def meta_batch(segs: list[Segment], spec: FilterSpec) -> pa.RecordBatch:
+    def routing(s: Segment) -> dict[str, list]:
+        if spec.variant != "balanced":
+            return {"cuts": [], "next_first": [], "next_size": []}
+        way = balanced.Routing(s.shards, s.alpha)
+        first, size = way.following()
+        return {"cuts": way.cuts.tolist(), "next_first": first.tolist(), "next_size": size.tolist()}
+
     rows = [
         {
             "segment": s.segment, "m": s.m, "seed": s.seed, "n_rows": s.n, "n_redundant": s.redundant, "attempts": s.attempts,
             "additions": s.additions, "displacement": s.displacement, "split_block": s.split, "bits": s.bits(spec), "build_ns": s.build_ns,
-            "shards": s.shards, "alpha": s.alpha, "cuts": balanced.Routing(s.shards, s.alpha).cuts.tolist() if spec.variant == "balanced" else [],
+            "shards": s.shards, "alpha": s.alpha,
             "defer": s.flags.tolist(), "deferred": s.stats.get("deferred", []), "r": s.r, "from_h": s.from_h,
         }
+        | routing(s)
         for s in segs
     ]
     kinds = {"int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "array<int>": pa.list_(pa.int32()), "array<long>": pa.list_(pa.int64())}

@@ -17,7 +17,7 @@ from bandloom.runtime import ship
 
 RELATION_BROADCAST = 10 << 20
 COMPACT_BROADCAST = 64 << 20
-UNROLLED = 16
+UNROLLED = 11  # columns times lanes; the code of more is too long for the JVM to compile, and a lambda is faster
 
 
 def shl(x: Column, by: Column) -> Column:
@@ -58,14 +58,15 @@ def start_column(flt: BandFilter, my: Names, m: Column, seed: Column) -> Column:
     cuts, shards, defer = my.col("cuts"), my.col("shards"), my.col("defer")
     h = salted(key_h, ROUTE, seed)
     upper, lower = F.shiftrightunsigned(h, 32), h.bitwiseAND(F.lit(0xFFFFFFFF).cast("long"))
-    shard = F.size(F.filter(cuts, lambda c: c <= upper))
+    # Shards of tier 1 have one weight and the others another, so arithmetic finds the shard up to a neighbour.
+    total, first = F.size(cuts), F.get(shards, F.lit(0))
+    border = F.get(cuts, first - 1)
+    guess = F.when(upper < border, upper * first / border).otherwise(first + (upper - border) * (total - first) / F.greatest(F.lit(1).cast("long"), F.lit(1 << 32) - border))
+    guess = F.least(F.greatest(guess.cast("int"), F.lit(0)), total - 1)
+    shard = guess + (F.get(cuts, guess) <= upper).cast("int") - (F.coalesce(F.get(cuts, guess - 1), F.lit(0).cast("long")) > upper).cast("int")
     edges = [int(x) for x in np.floor(np.cumsum(bucket_shares(BUCKETS)) * 2.0**32)][:-1]
     bucket = sum(((lower >= F.lit(e)).cast("int") for e in edges), F.lit(0))
-    total = F.aggregate(shards, F.lit(0), lambda a, x: a + x)
-    reach = F.transform(shards, lambda x, i: F.aggregate(F.slice(shards, F.lit(1), i + 1), F.lit(0), lambda a, y: a + y))
-    tier = F.least(F.size(F.filter(reach, lambda c: c <= shard)) + 1, F.size(shards) - 1)
-    first = F.coalesce(F.get(reach, tier - 1), F.lit(0))
-    second = first + reduce32(salted(key_h, SECOND, seed), F.get(shards, tier))
+    second = F.get(my.col("next_first"), shard) + reduce32(salted(key_h, SECOND, seed), F.get(my.col("next_size"), shard))
     moved = shl(F.lit(1), bucket).bitwiseAND(F.get(defer, shard)) != 0
     place = F.when(moved, second).otherwise(shard).cast("long")
     lo, hi = divided(place, starts, total.cast("long")), divided(place + 1, starts, total.cast("long"))
@@ -135,7 +136,7 @@ def windowed(df: DataFrame, keys: list[str] | str, flt: BandFilter, my: Names, r
     elif one is not None and len(one) == 1:
         m, seed = F.lit(one[0].m).cast("long"), F.lit(one[0].seed)
     else:
-        extra = ["cuts", "shards", "defer"] if spec.variant == "balanced" else ["shards", "defer"] if spec.sharding == "soft" else []
+        extra = ["cuts", "shards", "defer", "next_first", "next_size"] if spec.variant == "balanced" else ["shards", "defer"] if spec.sharding == "soft" else []
         meta = flt.meta.select(*[F.col(c).alias(my(c)) for c in ("segment", "m", "seed", *extra)])
         rows = rows.join(meta, my("segment"), "left")
         m, seed = my.col("m"), my.col("seed")
@@ -167,7 +168,7 @@ def probe_text(flt: BandFilter, my: Names, short_circuit: bool | str = "auto") -
         miss = f"({parity(my, j, lanes)} ^ CAST(shiftrightunsigned({fp}, {j}) & 1L AS INT))"
         return f"(CASE WHEN size({words}) > {j} THEN {miss} ELSE 0 END)" if isinstance(j, int) and j >= least else miss
 
-    if spec.r_hi > UNROLLED:
+    if spec.r_hi * lanes > UNROLLED:
         return f"forall(sequence(0, size({words}) - 1), j -> {differs('j')} = 0)"
     if short_circuit:
         return " AND ".join(f"{differs(j)} = 0" for j in range(spec.r_hi))
@@ -183,8 +184,14 @@ def relation_bytes(flt: BandFilter) -> tuple[int, int]:
 
 def pick_mode(flt: BandFilter) -> str:
     compact, relation = relation_bytes(flt)
-    whole = flt.by_run or flt.first_column  # what only the join can answer
-    return "block_broadcast" if relation <= RELATION_BROADCAST else "broadcast" if compact <= COMPACT_BROADCAST and not whole else "block_shuffle"
+    if compact <= COMPACT_BROADCAST and not (flt.by_run or flt.first_column) and (relation > RELATION_BROADCAST or long_winded(flt)):
+        return "broadcast"
+    return "block_broadcast" if relation <= RELATION_BROADCAST else "block_shuffle"
+
+
+def long_winded(flt: BandFilter) -> bool:
+    """Whether a query is so long an expression that Arrow batches answer it several times faster than the join."""
+    return flt.spec.variant == "balanced" or flt.spec.sharding == "soft" or flt.spec.r_hi * (2 if flt.spec.w == 128 else 1) > UNROLLED
 
 
 def others(df: DataFrame, out: str) -> list[str]:
@@ -219,7 +226,7 @@ def lookup_static(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: st
     my = Names(df)
     rows = located(df, keys, flt, my, None, "broadcast" if mode == "block_broadcast" else None)
     lanes, words = 2 if flt.spec.w == 128 else 1, my("words")
-    if flt.spec.r_hi > UNROLLED:
+    if flt.spec.r_hi * lanes > UNROLLED:
         bits = f"transform({words}, (x, j) -> shiftleft(CAST({parity(my, 'j', lanes)} AS BIGINT), j))"
         value = F.expr(f"aggregate({bits}, 0L, (a, b) -> a | b)")
     else:
@@ -268,13 +275,21 @@ def collected(flt: BandFilter, limit: int = COMPACT_BROADCAST) -> Collected:
     compact, _ = relation_bytes(flt)
     if compact > limit:
         raise ValueError(f"{compact} bytes exceed the broadcast bound of {limit}")
+    return Collected(flt, segments_of(flt))
+
+
+def segments_of(flt: BandFilter) -> dict[int, Segment]:
+    """All segments, on the driver; for filters whose size was checked."""
     out = {}
     for m in flt.meta.collect():
         width = flt.spec.r_hi if m.r is None else flt.spec.but(r=m.r).r_hi
         out[m.segment] = Segment(m.segment, m.m, m.seed, m.n_rows, np.zeros((m.m // 64, width), np.uint64), m.split_block, np.array(m.defer, np.int64), list(m.shards), m.alpha, r=m.r, from_h=m.from_h)
-    for b in flt.blocks.select("segment", "block", "words").collect():
-        out[b.segment].words[b.block, : len(b.words)] = np.array(b.words, np.int64).view(np.uint64)
-    return Collected(flt, out)
+    rows = flt.blocks.select("segment", "block", "words").toArrow()
+    words = rows.column("words").combine_chunks()
+    flat, ends = words.flatten().to_numpy().view(np.uint64), np.cumsum(words.value_lengths().to_numpy())
+    for s, b, lo, hi in zip(rows.column("segment").to_pylist(), rows.column("block").to_pylist(), [0, *ends[:-1].tolist()], ends.tolist(), strict=True):
+        out[s].words[b, : hi - lo] = flat[lo:hi]
+    return out
 
 
 def hashed_call(df: DataFrame, flt: BandFilter, keys: list[str] | str, out: str, kind: str, method: str, absent: Column) -> DataFrame:

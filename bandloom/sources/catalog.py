@@ -5,13 +5,17 @@ from __future__ import annotations
 import json
 from dataclasses import asdict, dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from bandloom.functions.hashing import SEGMENT, coefficients, fingerprint, key_hash, reduce32, salted
+from bandloom.functions.hashing import SEGMENT, coefficients, fingerprint, key_hash, reduce32, reduce32_np, salted, salted_np
+from bandloom.kernel.bands import Segment, contains
 from bandloom.operators.build import BandFilter, build_filter, small
-from bandloom.operators.probe import Names, probe_text, start_column
-from bandloom.runtime import written
+from bandloom.operators.probe import COMPACT_BROADCAST, Names, probe_text, relation_bytes, segments_of, start_column
+from bandloom.runtime import ship, written
 from bandloom.spec import FilterSpec
 
 
@@ -73,7 +77,7 @@ SIZE = ["m", "seed", "parts", "shelf"]
 def write_runs(df: DataFrame, run: str, keys: list[str], path: str, spec: FilterSpec = SKIP, parts: int | None = None) -> RunStore:
     """Write df partitioned by its int run column, and each run's filter beside it."""
     spark = df.sparkSession
-    df.write.mode("overwrite").partitionBy(run).parquet(f"{path}/data")
+    df.hint("rebalance", run).write.mode("overwrite").partitionBy(run).parquet(f"{path}/data")  # few files a run; large runs are split
     data = spark.read.parquet(f"{path}/data")
     save(build_filter(data, keys, spec, run=run, parts=parts), f"{path}/filters")
     zones = data.groupBy(run).agg(F.count("*").alias("n_rows"), F.min(keys[0]).alias("least"), F.max(keys[0]).alias("most"))
@@ -98,14 +102,17 @@ class Piece(Names):
         return f"x.{name}" if name.endswith("words") else super().__call__(name)
 
 
-def candidate_runs(store: RunStore, wanted: DataFrame) -> DataFrame:
+def candidate_runs(store: RunStore, wanted: DataFrame, limit: int = COMPACT_BROADCAST) -> DataFrame:
     """(keys, run) pairs that zone map and filter leave of every wanted key with every run.
 
-    A key meets one relation row for each size of run and shelf of RUNS_PER_ROW runs, not one for each run; the runs inside
+    Filters of at most `limit` bytes in all (measured) are broadcast, and each batch of keys asks run after run. Beyond, a key
+    meets one relation row for each size of run and shelf of RUNS_PER_ROW runs, not one for each run; the runs inside
     a row are asked there, and only those left become rows.
     """
     flt, spec, first = store.flt, store.flt.spec, store.keys[0]
     asked = wanted.select(*store.keys).distinct()
+    if relation_bytes(flt)[0] <= limit:
+        return ask_each_run(store, asked)
     my = Piece(asked)
     one = flt.but(by_run=False, segments=1, fixed_m=None, meta=None)
     key = my.col("key")
@@ -124,6 +131,42 @@ def candidate_runs(store: RunStore, wanted: DataFrame) -> DataFrame:
     return rows.select(*store.keys, F.explode(found).alias(store.run))
 
 
+def ask_each_run(store: RunStore, asked: DataFrame) -> DataFrame:
+    """candidate_runs by a broadcast of the compact filters and, for long keys, the zones."""
+    spark, spec, names, n = asked.sparkSession, store.flt.spec, list(asked.columns), len(asked.columns)
+    ship(spark)
+    segments = segments_of(store.flt)
+    runs: dict[int, dict[int, Segment]] = {}
+    for s, seg in segments.items():
+        runs.setdefault(s >> 24, {})[s & ((1 << 24) - 1)] = seg
+    parts = {r[0]: r[1] for r in store.flt.run_parts.collect()} if store.flt.run_parts is not None else {}
+    zoned = dict(asked.dtypes)[names[0]] in ("bigint", "int")
+    zones = {r[0]: (r[1], r[2]) for r in store.zones.select(store.run, "least", "most").collect()} if zoned else {}
+    shared = spark.sparkContext.broadcast((runs, parts, zones))
+    every, run_name = store.flt.parts, store.run  # the store itself must stay out of the closure
+
+    def ask(it):
+        runs, parts, zones = shared.value
+        for batch in it:
+            h = batch.column(n).to_numpy()
+            first = batch.column(0).to_numpy() if zoned else None
+            for run, own in runs.items():
+                rows = np.flatnonzero((first >= zones[run][0]) & (first <= zones[run][1])) if zoned and run in zones else np.arange(len(h))
+                where = reduce32_np(salted_np(h[rows], SEGMENT), parts.get(run, every))
+                hit = np.zeros(len(rows), bool)
+                for part in np.unique(where).tolist():
+                    if part in own:
+                        mine = where == part
+                        hit[mine] = contains(own[part], spec, h[rows[mine]])
+                if hit.any():
+                    left = batch.take(pa.array(rows[hit]))
+                    yield pa.RecordBatch.from_arrays([*left.columns[:n], pa.array(np.full(int(hit.sum()), run), pa.int32())], [*names, run_name])
+
+    hashed = asked.select(*names, key_hash(asked, store.keys, store.flt.kinds).alias("_h")).where("_h is not null")
+    schema = T.StructType([*asked.schema.fields, T.StructField(store.run, T.IntegerType())])
+    return hashed.mapInArrow(ask, schema)
+
+
 def multi_get(store: RunStore, wanted: DataFrame) -> DataFrame:
     """The stored rows of the wanted keys, read from candidate runs only and verified exactly."""
     pairs, _ = written(candidate_runs(store, wanted), "pairs")

@@ -104,6 +104,9 @@ def test_clashing_columns(spark, sf):
             assert got.columns == [*orders.columns, "found"] and got.where("found and words = 7 and defer = 7 and _b_key = 7").count() == 1500
     assert verified_semi(orders, orders, ["o_orderkey"], ["o_orderkey"]).columns == orders.columns
     fn = build_static(orders, "o_orderkey", F.col("o_orderkey") % 8, 3)
+    wide = build_static(orders, "o_orderkey", F.col("o_orderkey"), 14)
+    for mode in ("block_shuffle", "broadcast"):
+        assert lookup_static(orders, wide, "o_orderkey", "v", mode).where("v <> o_orderkey").count() == 0
     for mode in ("block_broadcast", "block_shuffle", "broadcast"):
         assert lookup_static(orders, fn, "o_orderkey", "v", mode).where("v <> o_orderkey % 8").count() == 0
     for family in ("bloom", "xor"):
@@ -310,7 +313,8 @@ def test_run_lookup_reads_only_the_runs_it_needs(spark, sf):
     wanted = runs.where("o_orderkey in (3, 700)")
     got = catalog.multi_get(store, wanted)
     assert sorted(map(tuple, got.select("o_orderkey", "run_id").collect())) == sorted(map(tuple, wanted.collect()))
-    pairs = catalog.candidate_runs(store, wanted)
+    pairs = catalog.candidate_runs(store, wanted, limit=0)
+    assert sorted(map(tuple, pairs.collect())) == sorted(map(tuple, catalog.candidate_runs(store, wanted).collect()))
     assert measures.files_read(catalog.needed(store, pairs)) < 0.3 * measures.files_read(store.data)
     plan = measures.shuffle_plan(pairs)
     assert plan["python"] == 0
