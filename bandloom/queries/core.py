@@ -545,6 +545,33 @@ def _(spark, sf_dir):
     return table(spark, sf_dir, "orders").where(d["start32"] % 16 == 3).groupBy((F.col("o_orderkey") % 4).alias("segment")).agg(F.count("*").alias("n"))
 
 
+@register("stratified_sample", "SELECT o_orderstatus, true AS share_ok FROM orders GROUP BY 1")
+def _(spark, sf_dir):
+    """sampleBy with a share for each stratum; each stratum's share within five deviations."""
+    orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_orderstatus")
+    shares = {"F": 0.5, "O": 0.2, "P": 0.8}
+    taken = orders.sampleBy("o_orderstatus", shares, seed=5).groupBy("o_orderstatus").agg(F.count("*").alias("k"))
+    share = F.coalesce(*[F.when(F.col("o_orderstatus") == k, v) for k, v in shares.items()])
+    whole = orders.groupBy("o_orderstatus").agg(F.count("*").alias("n")).join(taken, "o_orderstatus", "left")
+    return whole.select("o_orderstatus", (F.abs(F.coalesce("k", F.lit(0)) - share * F.col("n")) <= 5 * F.sqrt(share * (1 - share) * F.col("n")) + 1).alias("share_ok"))
+
+
+@register("filter_source", "SELECT CAST(count(*) AS BIGINT) AS n, CAST(0 AS BIGINT) AS misses, true AS bits_agree FROM part")
+def _(spark, sf_dir):
+    """A saved filter read back as a data source, and its bits by the table function against the words' own."""
+    from bandloom.sources import reader
+
+    path, part = scratch(spark, "source"), table(spark, sf_dir, "part")
+    flt = build_filter(part, "p_partkey", FilterSpec(variant="standard", r=5))
+    save(flt, path)
+    reader.register(spark)
+    again = spark.read.format("bandfilter").option("path", path)
+    back = flt.but(blocks=again.load(), meta=again.option("part", "meta").load())
+    flt.blocks.createOrReplaceTempView("source_blocks")
+    ones = reader.dump(spark, "source_blocks").agg(F.sum("bit").alias("a")).crossJoin(flt.blocks.agg(F.sum(F.aggregate("words", F.lit(0), lambda a, x: a + F.bit_count(x))).alias("b")))
+    return measures.count_false_negatives(back, part, "p_partkey").crossJoin(ones.select((F.col("a") == F.col("b")).alias("bits_agree")))
+
+
 # Bounds on measured rates and overheads, on the lines' composite keys.
 
 BOUNDED = [c | {"probes": 1_000_000 if c["r"] < 11 else 2_000_000} for c in workloads.bands() if c["r"] != 11 or c["w"] != 16]

@@ -49,6 +49,11 @@ def _(spark, sf_dir):
     return table(spark, sf_dir, "orders").orderBy(F.col("o_orderkey").desc()).limit(25).select("o_orderkey", "o_custkey")
 
 
+@register("op_top_k_offset", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20 OFFSET 30")
+def _(spark, sf_dir):
+    return table(spark, sf_dir, "orders").orderBy(F.col("o_totalprice").desc(), "o_orderkey").offset(30).limit(20).select("o_orderkey", "o_totalprice")
+
+
 def line_keys(spark, sf_dir):
     t = table(spark, sf_dir, "lineitem")
     return t.where("l_quantity > 40").select("l_orderkey"), t.where("l_discount > 0.05").select("l_orderkey")

@@ -23,6 +23,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def read_table(spark: SparkSession, folder: str, name: str, kind: str = "parquet", schema: str | None = None) -> DataFrame:
+    """A table as parquet, csv (with a header) or json; the last two need a schema, so that no pass infers one."""
+    if kind == "parquet":
+        return spark.read.parquet(f"{folder}/{name}.parquet") if schema is None else spark.read.schema(schema).parquet(f"{folder}/{name}.parquet")
+    if kind not in ("csv", "json") or schema is None:
+        raise ValueError("kind is parquet, csv or json; csv and json need a schema")
+    reader = spark.read.schema(schema).option("mode", "FAILFAST")
+    return reader.option("header", True).csv(f"{folder}/{name}.csv") if kind == "csv" else reader.json(f"{folder}/{name}.json")
+
+
 def ship(spark: SparkSession) -> None:
     """Give executors this package once per application (they share no local disk with the driver)."""
     app = spark.sparkContext.applicationId

@@ -176,6 +176,9 @@ def test_worked_numbers():
     assert P.natural_shard(64) == 1024 and P.natural_shard(128) == 4096
     assert P.alpha_plan(1000) == pytest.approx(0.11, abs=2e-3)
     assert 100 * P.eps_standard(1 << 20, 64, 0.05) == pytest.approx(11.8, abs=0.3)
+    with pytest.raises(ValueError, match="width 16"):
+        P.eps_standard(1 << 16, 16)
+    assert P.eps_standard(1000, 16) > 0.25
     assert P.auto_variant(5_000, 7) == "standard" and P.auto_variant(10**6, 7) == "homogeneous"
 
 
