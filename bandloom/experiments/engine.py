@@ -11,7 +11,7 @@ from bandloom.operators import elastic, surface
 from bandloom.operators.build import build_filter, build_static
 from bandloom.operators.prefilter import prefilter, verified_semi
 from bandloom.operators.probe import lookup_static, probe
-from bandloom.runtime import scratch, table
+from bandloom.runtime import scratch, spread, table
 from bandloom.sources.catalog import skip_counts, write_runs
 from bandloom.spec import FilterSpec
 
@@ -185,7 +185,7 @@ def contamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """
     docs, bench = table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark")
     hashes = shingle_hashes(bench, "item_id").select("h").distinct()
-    hit = verified_semi(shingle_hashes(docs, "doc_id"), hashes, ["h"], ["h"], FilterSpec(variant="standard", edge=16)).select("doc_id").distinct()
+    hit = verified_semi(shingle_hashes(spread(docs), "doc_id"), hashes, ["h"], ["h"], FilterSpec(variant="standard", edge=16)).select("doc_id").distinct()
     marks = shingles(bench, "item_id").select("shingle").distinct()
     found = shingles(docs.join(hit, "doc_id", "left_semi"), "doc_id").join(marks, "shingle", "left_semi")
     return found.groupBy("doc_id").agg(F.count("*").alias("n_shingles"))

@@ -23,6 +23,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """df, dealt out over all cores if its scan has few splits; for costly work on each row.
+
+    A file of one row group is one task, whatever its size. Inputs of at least twice as many splits as cores (all large ones)
+    stay where they are and cost no shuffle; no row is dropped either way.
+    """
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    splits = df._jdf.queryExecution().toRdd().getNumPartitions()
+    return df if splits >= 2 * cores else df.repartition(2 * cores)
+
+
 def read_table(spark: SparkSession, folder: str, name: str, kind: str = "parquet", schema: str | None = None) -> DataFrame:
     """A table as parquet, csv (with a header) or json; the last two need a schema, so that no pass infers one."""
     if kind == "parquet":

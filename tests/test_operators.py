@@ -385,3 +385,12 @@ def test_static_lookup_broadcasts_only_what_was_measured(spark, sf, monkeypatch)
     assert got.where("v <> o_orderkey % 16").count() == 0
     flt = build_filter(orders, "o_orderkey")
     assert "hint" not in streams.probe_stream(orders, flt, ["o_orderkey"])._jdf.queryExecution().logical().toString().lower()
+
+
+def test_spread_moves_only_inputs_of_few_splits(spark, tmp_path):
+    from bandloom.runtime import spread
+
+    spark.range(1000).coalesce(1).write.parquet(str(tmp_path / "one"))
+    one, many = spark.read.parquet(str(tmp_path / "one")), spark.range(1000).repartition(50)
+    assert spread(one).count() == 1000 and measures.shuffle_plan(spread(one))["exchanges"] == 1
+    assert spread(many) is many
