@@ -23,7 +23,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bandloom.runtime import ship
+from bandloom.runtime import ship, spread
 
 # The pre-token pattern that the vocabulary's byte-level pre-tokenizer defines.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -272,5 +272,5 @@ def bpe_encode(docs: DataFrame, vocabulary: str, digests: bool = True) -> DataFr
                 names = ["doc_id", "ids", "decoded"]
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), *arrays], names)
 
-    thin = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    thin = spread(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"))
     return thin.mapInArrow(run, SCHEMA if digests else "doc_id long, ids array<int>, decoded string")

@@ -28,7 +28,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bandloom.runtime import delete, scratch, ship, written
+from bandloom.runtime import delete, scratch, ship, spread, written
 
 # The seeds; 1 marks a position that is compared.
 MASKS = ("111111", "1110111", "11011011", "1010110101")
@@ -230,7 +230,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """One row per contaminated document and item: SCHEMA. Clean documents have no row."""
     spark = docs.sparkSession
     ship(spark)
-    thin = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    thin = spread(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"))
     path = None
     kinds = [pa.int64(), pa.int64(), *[pa.int32()] * 4]
     names = [f.split()[0] for f in SCHEMA.split(", ")]
@@ -256,7 +256,7 @@ def without_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The documents in which no benchmark item is found, with their columns; no shuffle."""
     spark = docs.sparkSession
     ship(spark)
-    path = None
+    path, docs = None, spread(docs)
     for shared, more in each_block(spark, benchmark):
 
         def run(it, shared=shared):

@@ -27,7 +27,7 @@ from pyspark.sql import types as T
 
 from bandloom.llm.common import TOTAL_CHARS, bounded_per_class, bounded_rows, fit_logistic, held_out, learnable
 from bandloom.llm.ngrams import code_points, pieces
-from bandloom.runtime import ship
+from bandloom.runtime import ship, spread
 
 BITS = 15
 ORDERS = 3
@@ -195,7 +195,7 @@ def identified(docs: DataFrame, model: LangModel, prefix: str = "") -> DataFrame
             cols = [pa.array([g[i] for g in got], kind) for i, kind in enumerate((pa.string(), pa.float64(), pa.bool_()))]
             yield pa.RecordBatch.from_arrays([*batch.columns, *cols], [*batch.schema.names, *names])
 
-    plain = docs.drop(*names)
+    plain = spread(docs.drop(*names))
     added = [T.StructField(n, t()) for n, t in zip(names, (T.StringType, T.DoubleType, T.BooleanType), strict=True)]
     return plain.mapInArrow(run, T.StructType([*plain.schema.fields, *added]))
 

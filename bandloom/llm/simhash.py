@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bandloom.runtime import delete, ship, written
+from bandloom.runtime import delete, ship, spread, written
 
 SHINGLE = 4
 CELL_VARIANTS = 4_000_000
@@ -59,7 +59,7 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
 def prints_of(rows: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     """rows with their last column, a text, replaced by fp (the fingerprint's 64 bits as a long)."""
     ship(rows.sparkSession)
-    kept = rows.columns[:-1]
+    rows, kept = spread(rows), rows.columns[:-1]
 
     def run(it):
         for batch in it:

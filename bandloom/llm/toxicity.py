@@ -23,7 +23,7 @@ from pyspark.sql import types as T
 
 from bandloom.llm.common import held_out, labelled_texts, sigmoid
 from bandloom.llm.ngrams import hashed, pieces
-from bandloom.runtime import ship
+from bandloom.runtime import ship, spread
 
 ORDERS = (4, 5, 6)
 PER_CLASS = 2000
@@ -141,7 +141,7 @@ def scored(docs: DataFrame, model, out: str = "score") -> DataFrame:
             score = pa.array([m.score(t.as_py()) for t in batch.column(at)], pa.float64())
             yield pa.RecordBatch.from_arrays([*batch.columns, score], [*batch.schema.names, out])
 
-    plain = docs.drop(out)
+    plain = spread(docs.drop(out))
     return plain.mapInArrow(run, T.StructType([*plain.schema.fields, T.StructField(out, T.DoubleType())]))
 
 
