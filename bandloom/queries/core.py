@@ -225,7 +225,9 @@ def small_system(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     from bandloom.kernel.banding import Bank, back_substitute
 
-    rows = eq(table(spark, sf_dir, "nation"), "n_nationkey", 64, 16).select("start", F.col("coeff").bitwiseAND(F.lit(65535)).alias("c"), F.col("fp").alias("b")).orderBy("key").limit(100).collect()
+    rows = eq(table(spark, sf_dir, "nation"), "n_nationkey", 64, 16).select("start", F.col("coeff").bitwiseAND(F.lit(65535)).alias("c"), F.col("fp").alias("b")).orderBy("key").limit(101).collect()
+    if len(rows) > 100:
+        raise ValueError("the system for SQL's elimination is of at most 100 keys")
     bank = Bank(64, 1)
     report = bank.insert(np.array([r.start for r in rows]), np.array([[r.c for r in rows]], np.uint64), np.array([r.b for r in rows], np.uint64))
     words = back_substitute(bank, 8, 64, "zero")[0, 0]

@@ -99,6 +99,11 @@ def delete(spark: SparkSession, path: str) -> None:
         _scratch.remove(path)
 
 
+def exists(spark: SparkSession, path: str) -> bool:
+    jpath = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return jpath.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(jpath)
+
+
 def written(df: DataFrame, label: str) -> tuple[DataFrame, str]:
     """Cut lineage: write df as Parquet in the shared folder and read it back; survives lost executors."""
     spark = df.sparkSession

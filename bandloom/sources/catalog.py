@@ -15,7 +15,7 @@ from bandloom.functions.hashing import SEGMENT, coefficients, fingerprint, key_h
 from bandloom.kernel.bands import Segment, contains
 from bandloom.operators.build import BandFilter, build_filter, small
 from bandloom.operators.probe import COMPACT_BROADCAST, Names, probe_text, relation_bytes, segments_of, start_column
-from bandloom.runtime import ship, written
+from bandloom.runtime import delete, exists, ship, written
 from bandloom.spec import FilterSpec
 
 
@@ -58,8 +58,8 @@ SKIP = FilterSpec(variant="homogeneous", step=1.1)
 class RunStore:
     """Immutable runs: data partitioned by run, one filter for all of them keyed by (run, segment), and zone maps.
 
-    shelves: the runs' blocks, those of up to RUNS_PER_ROW runs of one size side by side, so that a key asks that many runs
-    with one row; classes: the sizes (m, seed, parts) and shelf numbers there are.
+    path: where all of it lies, and where `shelved` keeps the runs' blocks, those of up to RUNS_PER_ROW runs of one size side
+    by side, so that a key asks that many runs with one row.
     """
 
     data: DataFrame
@@ -67,8 +67,7 @@ class RunStore:
     keys: list[str]
     flt: BandFilter
     zones: DataFrame
-    shelves: DataFrame
-    classes: DataFrame
+    path: str
 
 
 SIZE = ["m", "seed", "parts", "shelf"]
@@ -77,22 +76,33 @@ SIZE = ["m", "seed", "parts", "shelf"]
 def write_runs(df: DataFrame, run: str, keys: list[str], path: str, spec: FilterSpec = SKIP, parts: int | None = None) -> RunStore:
     """Write df partitioned by its int run column, and each run's filter beside it."""
     spark = df.sparkSession
+    delete(spark, f"{path}/shelves")  # of an earlier store at this path
     df.hint("rebalance", run).write.mode("overwrite").partitionBy(run).parquet(f"{path}/data")  # few files a run; large runs are split
     data = spark.read.parquet(f"{path}/data")
     save(build_filter(data, keys, spec, run=run, parts=parts), f"{path}/filters")
     zones = data.groupBy(run).agg(F.count("*").alias("n_rows"), F.min(keys[0]).alias("least"), F.max(keys[0]).alias("most"))
     zones.write.mode("overwrite").parquet(f"{path}/zones")
     flt, zones = load(spark, f"{path}/filters"), spark.read.parquet(f"{path}/zones")
-    own = F.shiftright("segment", 24).cast("int")
-    counted = flt.run_parts if flt.run_parts is not None else flt.meta.select(own.alias("run")).distinct().withColumn("parts", F.lit(flt.parts))
-    shelf = F.pmod(F.xxhash64("run"), F.lit(max(1, -(-zones.count() // RUNS_PER_ROW)))).cast("int").alias("shelf")
-    named = flt.meta.select("segment", "m", "seed", own.alias("run")).join(counted, "run").select("*", shelf, F.col("segment").bitwiseAND(F.lit((1 << 24) - 1).cast("long")).alias("part"))
-    named = named.join(zones.select(F.col(run).alias("run"), "least", "most"), "run")
-    piece = F.struct("run", "least", "most", "words", "next_words", "third_words").alias("piece")
-    flt.blocks.select("segment", "block", "words", "next_words", "third_words").join(named, "segment").groupBy(*SIZE, "part", "block").agg(F.collect_list(piece).alias("pieces")).write.mode("overwrite").parquet(f"{path}/shelves")
-    shelves = spark.read.parquet(f"{path}/shelves")
-    shelves.select(*SIZE).distinct().write.mode("overwrite").parquet(f"{path}/classes")
-    return RunStore(data, run, keys, flt, zones, shelves, spark.read.parquet(f"{path}/classes"))
+    store = RunStore(data, run, keys, flt, zones, path)
+    if relation_bytes(flt)[0] > COMPACT_BROADCAST:
+        shelved(store)
+    return store
+
+
+def shelved(store: RunStore) -> tuple[DataFrame, DataFrame]:
+    """The shelves of runs' blocks, and the sizes (m, seed, parts) and shelf numbers there are; written once beside the filters."""
+    spark, flt, run, path = store.data.sparkSession, store.flt, store.run, f"{store.path}/shelves"
+    if not exists(spark, f"{path}/_SUCCESS"):
+        own = F.shiftright("segment", 24).cast("int")
+        counted = flt.run_parts if flt.run_parts is not None else flt.meta.select(own.alias("run")).distinct().withColumn("parts", F.lit(flt.parts))
+        shelf = F.pmod(F.xxhash64("run"), F.lit(max(1, -(-store.zones.count() // RUNS_PER_ROW)))).cast("int").alias("shelf")
+        named = flt.meta.select("segment", "m", "seed", own.alias("run")).join(counted, "run").select("*", shelf, F.col("segment").bitwiseAND(F.lit((1 << 24) - 1).cast("long")).alias("part"))
+        named = named.join(store.zones.select(F.col(run).alias("run"), "least", "most"), "run")
+        piece = F.struct("run", "least", "most", "words", "next_words", "third_words").alias("piece")
+        blocks = flt.blocks.select("segment", "block", "words", "next_words", "third_words").join(named, "segment")
+        blocks.groupBy(*SIZE, "part", "block").agg(F.collect_list(piece).alias("pieces")).write.mode("overwrite").parquet(path)
+    shelves = spark.read.parquet(path)
+    return shelves, shelves.select(*SIZE).distinct()
 
 
 class Piece(Names):
@@ -116,7 +126,8 @@ def candidate_runs(store: RunStore, wanted: DataFrame, limit: int = COMPACT_BROA
     my = Piece(asked)
     one = flt.but(by_run=False, segments=1, fixed_m=None, meta=None)
     key = my.col("key")
-    classes = store.classes.select(*[F.col(c).alias(my(c)) for c in SIZE])
+    shelves, classes = shelved(store)
+    classes = classes.select(*[F.col(c).alias(my(c)) for c in SIZE])
     rows = asked.withColumn(my("key"), key_hash(asked, store.keys, flt.kinds)).where(key.isNotNull()).crossJoin(small(classes, 10_000))  # sizes and shelves, not runs
     low, high = coefficients(key, my.col("seed"), spec.w)
     rows = rows.withColumn(my("part"), reduce32(salted(key, SEGMENT), my.col("parts"))).withColumn(my("start"), start_column(one, my, my.col("m"), my.col("seed")))
@@ -124,7 +135,7 @@ def candidate_runs(store: RunStore, wanted: DataFrame, limit: int = COMPACT_BROA
     rows = rows.withColumn(my("low"), low).withColumn(my("high"), high if high is not None else F.lit(None).cast("long"))
     rows = rows.withColumn(my("fp"), F.lit(0).cast("long") if spec.variant == "homogeneous" else fingerprint(key, my.col("seed"), spec.r_hi))
     on = [*SIZE, "part", "block"]
-    shelves = store.shelves.select(*[F.col(c).alias(my(c)) for c in on], F.col("pieces").alias(my("pieces")))
+    shelves = shelves.select(*[F.col(c).alias(my(c)) for c in on], F.col("pieces").alias(my("pieces")))
     rows = rows.join(shelves, [my(c) for c in on])
     match = f"`{first}` BETWEEN x.least AND x.most AND {probe_text(flt, my)}"
     found = F.expr(f"transform(filter({my('pieces')}, x -> {match}), x -> x.run)")
