@@ -16,6 +16,7 @@ U64 = np.uint64
 P1, P2, P3, P4, P5 = (U64(p) for p in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
 SEGMENT, START, LOW, HIGH, PRINT, ROUTE, SECOND = range(1, 8)
 DEFAULT_SEED = 42
+PIECE = 1 << 14
 
 
 def rotl(x: np.ndarray, k: int) -> np.ndarray:
@@ -34,9 +35,12 @@ def xxh64_long(x: np.ndarray, seed) -> np.ndarray:
 
 
 def salted_np(key_h: np.ndarray, salt: int, seed: int = 0) -> np.ndarray:
-    """Twin of salted()."""
-    h = xxh64_long(np.asarray(key_h).view(U64) if key_h.dtype == np.int64 else key_h, U64(DEFAULT_SEED))
-    return xxh64_long(np.full(1, seed).astype(np.int64).view(U64), xxh64_long(np.full(1, salt, U64), h))
+    """Twin of salted(); in pieces that stay in the processor's cache."""
+    keys, out = np.asarray(key_h).view(U64) if key_h.dtype == np.int64 else key_h, np.empty(len(key_h), U64)
+    first, second = np.full(1, salt, U64), np.full(1, seed).astype(np.int64).view(U64)
+    for at in range(0, len(keys), PIECE):
+        out[at : at + PIECE] = xxh64_long(second, xxh64_long(first, xxh64_long(keys[at : at + PIECE], U64(DEFAULT_SEED))))
+    return out
 
 
 def salted(key_h: Column, salt: int, seed: Column | int = 0) -> Column:

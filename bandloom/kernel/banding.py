@@ -289,6 +289,7 @@ def back_substitute(bank: Bank, r: int, m: int, rule: str = "zero") -> np.ndarra
     for all blocks at once; what is left is a recurrence over blocks, from the last to the first.
     """
     segments, blocks, lanes = bank.rows // m, m // 64, bank.lanes
+    n = segments * blocks
     empty = ~bank.used
     rhs = bank.b.copy()
     local = np.arange(bank.rows) % m
@@ -296,21 +297,26 @@ def back_substitute(bank: Bank, r: int, m: int, rule: str = "zero") -> np.ndarra
     c = bank.c.copy()
     c[:, empty] = ZERO
     c[0, empty] = ONE
-    shape = (segments * blocks, 64)
-    o = np.broadcast_to(np.arange(64, dtype=U64), shape)
-    up = (U64(64) - o) & U64(63)
-    c = c.reshape(lanes, *shape)
-    spill = [np.where(o > 0, c[k] >> up, ZERO) for k in range(lanes)]
+    # Row i of every block side by side, so that each step works on whole runs of memory.
+    c = np.ascontiguousarray(c.reshape(lanes, n, 64).transpose(0, 2, 1))
+    rhs = np.ascontiguousarray(rhs.reshape(n, 64).T)
+    o = np.arange(64, dtype=U64)[:, None]
+    spill = c >> ((U64(64) - o) & U64(63))
+    spill[:, 0] = ZERO
     own = c[0] << o
     after = [spill[0] | (c[1] << o), spill[1]] if lanes == 2 else [spill[0]]
-    rhs = rhs.reshape(shape)
-    for j in range(63, 0, -1):
-        hit = (own[:, :j] >> U64(j)) & ONE
-        mask = ZERO - hit
-        for a in after:
-            a[:, :j] ^= a[:, j, None] & mask
-        rhs[:, :j] ^= rhs[:, j, None] & mask
-    after = [a.reshape(segments, blocks, 64) for a in after]
+    for at in range(0, n, 2048):
+        cut = slice(at, at + 2048)
+        bits, values, words_ = own[:, cut].copy(), rhs[:, cut].copy(), [a[:, cut].copy() for a in after]
+        for j in range(63, 0, -1):
+            mask = ZERO - ((bits[:j] >> U64(j)) & ONE)
+            for a in words_:
+                a[:j] ^= a[j] & mask
+            values[:j] ^= values[j] & mask
+        rhs[:, cut] = values
+        for a, b in zip(after, words_, strict=True):
+            a[:, cut] = b
+    rhs, after = rhs.T, [np.ascontiguousarray(a.T).reshape(segments, blocks, 64) for a in after]
     # Right-hand sides as one word per column.
     cols = np.arange(r, dtype=U64)
     bits = ((rhs[:, :, None] >> cols) & ONE).astype(np.uint8)
@@ -327,18 +333,23 @@ def back_substitute(bank: Bank, r: int, m: int, rule: str = "zero") -> np.ndarra
 
 
 def lookup(words: np.ndarray, segment: np.ndarray, start: np.ndarray, coeff: np.ndarray, columns: int | None = None) -> np.ndarray:
-    """Result bits of each query, column j as bit j."""
+    """Result bits of each query, column j as bit j. A block's words are fetched together, in pieces that fit the cache."""
     segments, blocks, r = words.shape
-    lanes = len(coeff)
-    pad = np.concatenate([words, np.zeros((segments, lanes, r), U64)], 1)
-    block, o = start // 64, (start % 64).astype(U64)
-    up, some = (U64(64) - o) & U64(63), o > 0
-    out = np.zeros(len(start), U64)
-    for j in range(r if columns is None else columns):
-        w = [pad[segment, block + k, j] for k in range(lanes + 1)]
-        acc = np.zeros(len(start), np.uint8)
+    lanes, r = len(coeff), r if columns is None else columns
+    flat = np.concatenate([words[:, :, :r], np.zeros((segments, lanes, r), U64)], 1).reshape(-1, r)
+    out = np.zeros((len(start), 8), np.uint8)
+    for at in range(0, len(start), 1 << 14):
+        cut = slice(at, at + (1 << 14))
+        s = start[cut]
+        row, o = segment[cut] * (blocks + lanes) + (s >> 6), (s & 63).astype(U64)[:, None]
+        here, odd = flat[row], None
         for k in range(lanes):
-            aligned = (w[k] >> o) | np.where(some, w[k + 1] << up, ZERO)
-            acc ^= np.bitwise_count(aligned & coeff[k]) & 1
-        out |= acc.astype(U64) << U64(j)
-    return out
+            after = flat[row + k + 1]
+            window = here >> o
+            window |= (after << ONE) << (U64(63) - o)  # two shifts, as one by 64 would not clear the word
+            window &= coeff[k][cut, None]
+            count = np.bitwise_count(window)
+            odd, here = count if odd is None else odd ^ count, after
+        bits = np.packbits(odd & 1, axis=1, bitorder="little")
+        out[cut, : bits.shape[1]] = bits
+    return out.view("<u8")[:, 0]

@@ -27,11 +27,14 @@ def spread(df: DataFrame) -> DataFrame:
     """df, dealt out over all cores if its scan has few splits; for costly work on each row.
 
     A file of one row group is one task, whatever its size. Inputs of at least twice as many splits as cores (all large ones)
-    stay where they are and cost no shuffle; no row is dropped either way.
+    stay where they are and cost no shuffle; no row is dropped either way. Plans with exchanges of their own, whose
+    partitions only running them would tell, are left alone.
     """
+    execution = df._jdf.queryExecution()
+    if execution.executedPlan().getClass().getSimpleName() == "AdaptiveSparkPlanExec":
+        return df
     cores = df.sparkSession.sparkContext.defaultParallelism
-    splits = df._jdf.queryExecution().toRdd().getNumPartitions()
-    return df if splits >= 2 * cores else df.repartition(2 * cores)
+    return df if execution.toRdd().getNumPartitions() >= 2 * cores else df.repartition(2 * cores)
 
 
 def read_table(spark: SparkSession, folder: str, name: str, kind: str = "parquet", schema: str | None = None) -> DataFrame:
