@@ -396,6 +396,15 @@ def test_chat_merges_and_masks(spark):
     assert chat.chat_digest(chat.format_chat(df.limit(0))).count() == 0
 
 
+def test_chat_of_very_long_and_many_turns(spark):
+    long_ = "[x]</s>\\ " * 60_000
+    rows = [(1, 0, "user", long_), (1, 1, "assistant", long_ + "end"), *[(2, i, "assistant" if i % 2 else "user", f"t{i}") for i in range(5000)]]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    got = {r.conv_id: r for r in chat.chat_digest(chat.format_chat(df)).collect()}
+    assert got[1].loss_chars == len(long_) + 3 and got[1].loss_sha256 == hashlib.sha256((long_ + "end").encode()).hexdigest()
+    assert got[2].n_turns == 5000 and got[2].loss_chars == sum(len(f"t{i}") for i in range(1, 5000, 2))
+
+
 def test_chat_plan_is_native(spark, sf):
     text = queries.op4_chat_format(spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in text and "Arrow" not in text and "Pandas" not in text
