@@ -5,6 +5,7 @@ Every family has build(keys, ...), contains(keys) without false negatives, and b
 
 from __future__ import annotations
 
+import itertools
 import math
 from dataclasses import dataclass
 
@@ -145,9 +146,9 @@ class Cuckoo:
             pending = np.concatenate([stay, victims])
         if len(pending):
             raise NoSolution("cuckoo buckets overflow; lower the load")
-        self.cells = np.where(cells >= 0, fp[np.maximum(cells, 0)], -1)
+        self.cells = np.where(cells >= 0, fp[np.maximum(cells, 0)], 0 if sorted_cells else -1)
         if sorted_cells:
-            self.cells = np.take_along_axis(self.cells, np.argsort(self.cells & 15, axis=1, kind="stable"), 1)
+            self.coded, self.cells = SortedBuckets.encode(self.cells, cell_bits), None
 
     def _make_room(self, cells, left, lb, per_block, rng):
         """One key per full block takes a cell of its bucket; a random cell of that bucket or block gives way."""
@@ -177,7 +178,34 @@ class Cuckoo:
 
     def contains(self, keys):
         fp, b1, b2 = self._hash(keys)
-        return (self.cells[b1] == fp[:, None]).any(1) | (self.cells[b2] == fp[:, None]).any(1)
+        if self.sorted_cells:
+            first, second = (SortedBuckets.decode(self.coded[b], self.cell_bits) for b in (b1, b2))
+        else:
+            first, second = self.cells[b1], self.cells[b2]
+        return (first == fp[:, None]).any(1) | (second == fp[:, None]).any(1)
+
+
+class SortedBuckets:
+    """Buckets of four cells in one word each: the four lowest nibbles, sorted, are one of 3876 combinations (12 bits), and
+    the cells' upper bits follow in that order. Cells of 16 bits so take 60 bits a bucket."""
+
+    nibbles = np.array(list(itertools.combinations_with_replacement(range(16), 4)), np.int64)
+    place = np.zeros(1 << 16, np.int64)
+    place[(nibbles << np.array([0, 4, 8, 12])).sum(1)] = np.arange(len(nibbles))
+
+    @classmethod
+    def encode(cls, cells: np.ndarray, bits: int) -> np.ndarray:
+        cells = np.take_along_axis(cells, np.argsort(cells & 15, axis=1, kind="stable"), 1)
+        word = cls.place[((cells & 15) << np.array([0, 4, 8, 12])).sum(1)].astype(U64)
+        for i in range(4):
+            word |= (cells[:, i] >> 4).astype(U64) << U64(12 + (bits - 4) * i)
+        return word
+
+    @classmethod
+    def decode(cls, words: np.ndarray, bits: int) -> np.ndarray:
+        low, mask = cls.nibbles[(words & U64(4095)).astype(np.int64)], U64((1 << (bits - 4)) - 1)
+        high = np.stack([(words >> U64(12 + (bits - 4) * i)) & mask for i in range(4)], 1).astype(np.int64)
+        return (high << 4) | low
 
 
 class Quotient:
@@ -231,16 +259,14 @@ class Xor:
             self.z[own] = U64(0)
             p = pos[:, rows]
             self.z[own] = b[rows] ^ self.z[p[0]] ^ self.z[p[1]] ^ self.z[p[2]]
-        filled = np.zeros(self.m, bool)
-        for _, own in order:
-            filled[own] = True
+        self.bits, self.ranks, self.per_word = self.m * self.cell_bits, None, cells_per_word
         if plus:
-            last = filled[2 * self.third :]
-            self.bits = (2 * self.third + int(last.sum())) * self.cell_bits + self.third * (1 + 16 / 512)
-        else:
-            self.bits = self.m * self.cell_bits
-        if window is not None:
-            self.bits = self.m * self.cell_bits
+            last = np.zeros(self.third, bool)
+            for _, own in order:
+                last[own[own >= 2 * self.third] - 2 * self.third] = True
+            self._drop_empty(last)
+        elif cells_per_word:
+            self._pack()
 
     def _print(self, keys):
         return salted_np(keys, 61, self.seed) & U64((1 << self.r) - 1)
@@ -253,9 +279,40 @@ class Xor:
         base = at(salted_np(keys, 66, self.seed), max(1, self.m - 3 * span))
         return np.stack([base + at(x, span) + i * span for i, x in enumerate(h)])
 
+    def _drop_empty(self, filled: np.ndarray) -> None:
+        """Keep the last third's filled cells only, found by the rank of their bit: a word of bits at a time, and counts
+        of what lies before each run of eight words."""
+        bits = np.zeros(-(-self.third // 512) * 512, bool)
+        bits[: self.third] = filled
+        self.mask = np.packbits(bits, bitorder="little").view("<u8")
+        counts = np.bitwise_count(self.mask).astype(np.int64)
+        self.ranks = np.cumsum(counts.reshape(-1, 8).sum(1)) - counts.reshape(-1, 8).sum(1)
+        self.inside = (np.cumsum(counts.reshape(-1, 8), axis=1) - counts.reshape(-1, 8)).ravel()
+        self.z = np.concatenate([self.z[: 2 * self.third], self.z[2 * self.third :][filled]])
+        self.bits = len(self.z) * self.cell_bits + self.third * (1 + 16 / 512)
+
+    def _pack(self) -> None:
+        """Several cells to a 64-bit word."""
+        i = self.per_word
+        cells = np.concatenate([self.z, np.zeros(-len(self.z) % i, U64)]).reshape(-1, i)
+        self.z = np.bitwise_or.reduce(cells << (np.arange(i, dtype=U64) * U64(self.r)), axis=1)
+        self.bits = 64 * len(self.z)
+
+    def _cell(self, p: np.ndarray, third: int) -> np.ndarray:
+        if self.per_word:
+            word, at = p // self.per_word, (p % self.per_word).astype(U64)
+            return (self.z[word] >> (at * U64(self.r))) & U64((1 << self.r) - 1)
+        if self.ranks is None or third < 2:
+            return self.z[p]
+        p = p - 2 * self.third
+        word, at = self.mask[p >> 6], (p & 63).astype(U64)
+        there = (word >> at) & U64(1) == 1
+        rank = self.ranks[p >> 9] + self.inside[p >> 6] + np.bitwise_count(word & ((U64(1) << at) - U64(1)))
+        return np.where(there, self.z[np.minimum(2 * self.third + rank, len(self.z) - 1)], U64(0))
+
     def contains(self, keys):
         p = self._positions(keys)
-        return (self.z[p[0]] ^ self.z[p[1]] ^ self.z[p[2]]) == self._print(keys)
+        return (self._cell(p[0], 0) ^ self._cell(p[1], 1) ^ self._cell(p[2], 2)) == self._print(keys)
 
 
 def peel(pos: np.ndarray, m: int, early: int) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
