@@ -287,7 +287,7 @@ def segments_of(flt: BandFilter) -> dict[int, Segment]:
     rows = flt.blocks.select("segment", "block", "words").toArrow()
     words = rows.column("words").combine_chunks()
     flat, ends = words.flatten().to_numpy().view(np.uint64), np.cumsum(words.value_lengths().to_numpy())
-    for s, b, lo, hi in zip(rows.column("segment").to_pylist(), rows.column("block").to_pylist(), [0, *ends[:-1].tolist()], ends.tolist(), strict=True):
+    for s, b, lo, hi in zip(rows.column("segment").to_pylist(), rows.column("block").to_pylist(), [0, *ends.tolist()][:-1], ends.tolist(), strict=True):
         out[s].words[b, : hi - lo] = flat[lo:hi]
     return out
 
