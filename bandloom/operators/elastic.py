@@ -45,7 +45,7 @@ def repartition_filter(flt: BandFilter, cuts: list[int]) -> list[tuple[int, int,
     """(first block, end block, part) for parts cut at block boundaries. A block row already holds the rows that follow
     it, which is the (w-1) * r bits a cut duplicates; a query needs the one part that holds its start."""
     edges = [0, *cuts, 1 << 30]
-    return [(a, b, flt.but(blocks=flt.blocks.where((F.col("block") >= a) & (F.col("block") < b)))) for a, b in zip(edges, edges[1:], strict=False)]
+    return [(a, b, flt.but(cut=True, blocks=flt.blocks.where((F.col("block") >= a) & (F.col("block") < b)))) for a, b in zip(edges, edges[1:], strict=False)]
 
 
 def cut_bits(flt: BandFilter, cuts: list[int]) -> int:
