@@ -220,6 +220,39 @@ def test_cut_filters_keep_rows_that_straddle(spark):
             assert sum(g.count() for g in got) == 20_000  # every key in the one part that holds its start
 
 
+def test_static_values_fit(spark):
+    df = spark.range(300).select("id", (F.col("id") * 100).alias("v"))
+    fn = build_static(df, "id", "v")
+    assert fn.spec.r == 15 and lookup_static(df, fn, "id", "got").where("got <> v or got is null").count() == 0
+    with pytest.raises(Exception, match="does not fit"):
+        build_static(df, "id", "v", 14)
+    with pytest.raises(ValueError, match="negative"):
+        build_static(df, "id", -F.col("v"))
+
+
+def larger(spark, sf, folder, **tables):
+    """A folder of the given tables, some of them replaced."""
+    import glob
+    import os
+
+    for p in glob.glob(f"{sf}/*.parquet"):
+        if os.path.basename(p)[:-8] not in tables:
+            os.symlink(p, f"{folder}/{os.path.basename(p)}")
+    for name, df in tables.items():
+        df.write.parquet(f"{folder}/{name}.parquet")
+    return str(folder)
+
+
+def test_static_custkey_beyond_14_bits(spark, sf, tmp_path):
+    from bandloom.queries import core
+
+    wide = table(spark, sf, "orders").withColumn("o_custkey", F.col("o_custkey") + 30_000)
+    lines = table(spark, sf, "lineitem")
+    got = core.QUERIES["static_custkey_lookup"](spark, larger(spark, sf, tmp_path, orders=wide))
+    want = lines.join(wide, F.col("l_orderkey") == F.col("o_orderkey")).groupBy(F.col("o_custkey").alias("value")).agg(F.count("*").alias("n"), F.sum("l_orderkey").alias("key_sum"))
+    assert got.exceptAll(want).count() == 0 and got.count() == want.count()
+
+
 def test_joins_are_exact(spark, sf, duck):
     lines, orders = table(spark, sf, "lineitem").select("l_orderkey"), table(spark, sf, "orders")
     semi = verified_semi(lines, orders.where("o_orderstatus = 'F'"), ["l_orderkey"], ["o_orderkey"], FilterSpec(r=2), "block_shuffle").count()
