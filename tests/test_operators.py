@@ -253,6 +253,15 @@ def test_static_custkey_beyond_14_bits(spark, sf, tmp_path):
     assert got.exceptAll(want).count() == 0 and got.count() == want.count()
 
 
+def test_a_month_is_one_system(spark, sf, tmp_path):
+    from bandloom.queries import core
+
+    orders = table(spark, sf, "orders")
+    many = spark.range(70_000).select(F.col("id").alias("o_orderkey")).crossJoin(orders.drop("o_orderkey").limit(1)).select(orders.columns)
+    (row,) = core.QUERIES["monthly_runs_meta"](spark, larger(spark, sf, tmp_path, orders=many)).collect()
+    assert row.n_rows == 70_000 and row.m == 87_552
+
+
 def test_joins_are_exact(spark, sf, duck):
     lines, orders = table(spark, sf, "lineitem").select("l_orderkey"), table(spark, sf, "orders")
     semi = verified_semi(lines, orders.where("o_orderstatus = 'F'"), ["l_orderkey"], ["o_orderkey"], FilterSpec(r=2), "block_shuffle").count()
