@@ -17,7 +17,7 @@ def test_workload_has_rows(spark, sf, name):
     assert core.QUERIES[name](spark, sf).count() > 0
 
 
-@pytest.mark.parametrize("name", ["access_model_icm", "alpha_plan", "bucket_plan", "eps_recommended", "fractional_model", "info_bound_grid"])
+@pytest.mark.parametrize("name", ["access_model_icm", "alpha_plan", "bucket_plan", "eps_recommended", "fractional_model", "info_bound_grid", "op_recursion"])
 def test_closed_forms_take_their_parameters_from_a_table(spark, sf, name):
     read = core.QUERIES[name](spark, sf).inputFiles()
     assert read and all(sf in f for f in read)
