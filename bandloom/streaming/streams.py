@@ -123,13 +123,13 @@ def probe_prefix_runs(df: DataFrame, keys: list[str], runs: DataFrame, shards: i
     """df with a boolean from the emitted runs: a key asks every closed run of its shard, and the open one's keys.
 
     Each asked key meets its shard's runs in one task; keys are asked once each, in pieces of a shard, so no task holds more
-    than a piece of the keys and one shard's runs.
+    than a piece of the keys and one shard's runs. All runs of a size are asked together, 64 in a word.
     """
     import numpy as np
     import pyarrow as pa
 
     from bandloom.functions.hashing import START, clamp_start_np, coefficients_np, fingerprint_np, key_hash, salted_np, segment_of
-    from bandloom.kernel.banding import lookup
+    from bandloom.kernel.banding import any_matches
     from bandloom.operators.probe import Names, others
     from bandloom.runtime import ship
 
@@ -142,14 +142,15 @@ def probe_prefix_runs(df: DataFrame, keys: list[str], runs: DataFrame, shards: i
 
     def answer(_, left, right):
         h = left.column("key_h").to_numpy()
-        got, newest = np.zeros(len(h), bool), (-1, -1, None)
+        got, newest, closed = np.zeros(len(h), bool), (-1, -1, None), {}
         for run in right.to_pylist():
             if not run["closed"]:
                 newest = max(newest, (run["run"], run["version"], run["keys"]), key=lambda x: x[:2])
                 continue
-            words = np.frombuffer(run["words"], "<u8").reshape(1, -1, r)
-            start = clamp_start_np(salted_np(h, START), run["m"] - w + 1, spec.edge)
-            got |= lookup(words, np.zeros(len(h), np.int64), start, coefficients_np(h, 0, w)) == fingerprint_np(h, 0, r)
+            closed.setdefault(run["m"], []).append(np.frombuffer(run["words"], "<u8").reshape(-1, r))
+        for m, words in closed.items():
+            start = clamp_start_np(salted_np(h, START), m - w + 1, spec.edge)
+            got |= any_matches(np.stack(words), start, coefficients_np(h, 0, w), fingerprint_np(h, 0, r))
         if newest[2]:
             got |= np.isin(h, np.array(newest[2], np.int64))
         return pa.table({"key_h": pa.array(h), "hit": pa.array(got)})

@@ -255,3 +255,29 @@ def test_two_locations_lose_the_band():
     got = two_location_trial({"m": 256, "w": 32, "rep": 0})["extra"]
     assert got["one_reach"] <= 32 < got["two_reach"]
     assert got["two_eps"] < got["one_eps"]
+
+
+@pytest.mark.parametrize("w", [32, 64, 128])
+def test_many_systems_are_asked_together(w):
+    """As one lookup for each system says, also past a word's 64 systems and a pass's."""
+    from bandloom.kernel.banding import any_matches, lookup
+
+    rng = np.random.default_rng(w)
+    words, start = rng.integers(0, 2**64, (150, 8, 5), np.uint64), rng.integers(0, 512 - w + 1, 3000)
+    coeff = rng.integers(0, 2**64 if w > 32 else 2**32, (2 if w == 128 else 1, 3000), np.uint64) | np.uint64(1)
+    for fp in (rng.integers(0, 32, 3000, np.uint64), np.zeros(3000, np.uint64)):
+        for k, at_once in ((1, 1024), (5, 1024), (150, 64)):
+            want = np.any([lookup(words[[i]], np.zeros(3000, np.int64), start, coeff) == fp for i in range(k)], 0)
+            assert (any_matches(words[:k], start, coeff, fp, at_once) == want).all()
+
+
+def test_ranges_in_lock_step_are_the_same():
+    from bandloom.experiments.grids import random_keys
+    from bandloom.kernel import ranges
+
+    spec = FilterSpec(variant="standard", r=7, edge=16, sharding="until_failure", shard_rows=256)
+    groups = {s: (-(1 << 63), random_keys(n, s)) for s, n in enumerate((2000, 1, 1500, 300))}
+    for s, built in ranges.build_many(groups, spec).items():
+        alone = ranges.build(s, *groups[s], spec)
+        assert [(a.n, a.from_h, a.redundant, a.displacement) for a in alone] == [(b.n, b.from_h, b.redundant, b.displacement) for b in built]
+        assert all((a.words == b.words).all() for a, b in zip(alone, built, strict=True))
