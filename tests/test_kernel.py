@@ -281,3 +281,13 @@ def test_ranges_in_lock_step_are_the_same():
         alone = ranges.build(s, *groups[s], spec)
         assert [(a.n, a.from_h, a.redundant, a.displacement) for a in alone] == [(b.n, b.from_h, b.redundant, b.displacement) for b in built]
         assert all((a.words == b.words).all() for a, b in zip(alone, built, strict=True))
+
+
+@pytest.mark.parametrize("w, most", [(32, 0.025), (64, 0.0102), (128, 0.008)])
+def test_balanced_space_is_near_the_published_one(w, most):
+    """Buckets tried by size alone left 1 % of the rows of the first tier empty, which no smaller eps could make up for."""
+    sets = {s: keys(1 << 16, s) for s in range(3)}
+    spec = FilterSpec(variant="balanced", w=w, r=7)
+    made = build_segments(sets, spec)
+    assert sum(g.bits(spec) for g in made) / sum(g.n for g in made) / 7 - 1 <= most
+    assert max(g.attempts for g in made) <= 8 and all(contains(g, spec, sets[g.segment]).all() for g in made)
