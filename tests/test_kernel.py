@@ -1,6 +1,7 @@
 """Elimination, back substitution, tiers and hashing against brute force and worked examples."""
 
 import math
+import time
 
 import numpy as np
 import pytest
@@ -291,3 +292,17 @@ def test_balanced_space_is_near_the_published_one(w, most):
     made = build_segments(sets, spec)
     assert sum(g.bits(spec) for g in made) / sum(g.n for g in made) / 7 - 1 <= most
     assert max(g.attempts for g in made) <= 8 and all(contains(g, spec, sets[g.segment]).all() for g in made)
+
+
+def test_distinct_keys_are_drawn_as_fast_as_they_are_sorted():
+    from bandloom.experiments.grids import random_keys
+
+    drawn = np.random.default_rng(4).integers(-(2**63), 2**63 - 1, 1 << 20, dtype=np.int64)
+    spent = []
+    for action in (lambda: random_keys(1 << 20, 4), lambda: np.sort(drawn)):
+        began = time.perf_counter()
+        action()
+        spent.append(time.perf_counter() - began)
+    assert spent[0] < 10 * spent[1]
+    few = np.repeat(drawn[:1000], 3)
+    assert (H.distinct_np(few) == np.unique(few)).all() and not len(H.distinct_np(few[:0]))
