@@ -447,3 +447,16 @@ def test_spread_moves_only_inputs_of_few_splits(spark, tmp_path):
     one, many = spark.read.parquet(str(tmp_path / "one")), spark.range(1000).repartition(50)
     assert spread(one).count() == 1000 and measures.shuffle_plan(spread(one))["exchanges"] == 1
     assert spread(many) is many
+
+
+def test_batches_are_asked_in_bulk():
+    import numpy as np
+    import pandas as pd
+
+    from bandloom.operators.probe import in_bulk
+
+    calls = []
+    batches = [pd.Series(np.arange(at, at + 1000)) for at in range(0, 10_500, 1000)] + [pd.Series([], dtype="int64")]
+    got = list(in_bulk(lambda k: calls.append(len(k)) or k * 2, iter(batches), 4000))
+    assert [len(g) for g in got] == [len(b) for b in batches] and calls == [4000, 4000, 3000]
+    assert (np.concatenate(got) == 2 * np.concatenate(batches)).all() and not list(in_bulk(len, iter([])))
