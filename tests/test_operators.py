@@ -460,3 +460,13 @@ def test_batches_are_asked_in_bulk():
     got = list(in_bulk(lambda k: calls.append(len(k)) or k * 2, iter(batches), 4000))
     assert [len(g) for g in got] == [len(b) for b in batches] and calls == [4000, 4000, 3000]
     assert (np.concatenate(got) == 2 * np.concatenate(batches)).all() and not list(in_bulk(len, iter([])))
+
+
+def test_experiments_shuffle_no_more_than_a_key_s_hash(spark):
+    """Segments used to be shuffled beside the hashes; a task finds them from the hash."""
+    from bandloom.experiments import grids
+    from bandloom.measures import shuffled
+
+    got = grids.run(spark, "space", grids.synthetic(spark, 200_000), [{"filter": "bloom", "bits_per_key": 10.0, "r": 7}])
+    assert got.first().n == 200_000
+    assert shuffled(got)[2] < 12 * 200_000
