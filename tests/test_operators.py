@@ -470,3 +470,24 @@ def test_experiments_shuffle_no_more_than_a_key_s_hash(spark):
     got = grids.run(spark, "space", grids.synthetic(spark, 200_000), [{"filter": "bloom", "bits_per_key": 10.0, "r": 7}])
     assert got.first().n == 200_000
     assert shuffled(got)[2] < 12 * 200_000
+
+
+def test_a_grid_deals_keys_once_without_writing_them(spark):
+    from bandloom.experiments import grids
+    from bandloom.measures import shuffled
+    from bandloom.runtime import scratch_paths
+
+    before = scratch_paths()
+    df, names = grids.synthetic(spark, 200_000)
+    got = grids.run(spark, "space", (df.union(df).union(spark.sql("SELECT CAST(NULL AS BIGINT)")), names), [{"filter": "bloom", "bits_per_key": 10.0, "r": 7}])
+    assert (got.first().n, got.first().segments, got.first().misses) == (200_000, 4, 0)
+    assert scratch_paths() == before
+    alone = grids.run(spark, "space", grids.synthetic(spark, 200_000), [{"filter": "bloom", "bits_per_key": 10.0, "r": 7}])
+    assert shuffled(alone)[2] < 9 * 200_000
+
+
+def test_packed_keys_come_back_sorted():
+    from bandloom.experiments import grids
+
+    keys = grids.random_keys(5000, 3)
+    assert (grids.unpack(grids.pack(keys)) == keys).all() and len(grids.unpack(grids.pack(keys[:1]))) == 1
